@@ -55,37 +55,43 @@ class Model:
 
     def __init__(self, counts: list) -> None:
         self.langs = sorted({r[0] for r in counts})
-        at = {x: i for i, x in enumerate(self.langs)}
-        self.words: dict[str, np.ndarray] = {}
-        self.grams: dict[str, np.ndarray] = {}
+        at, width = {x: i for i, x in enumerate(self.langs)}, len({r[0] for r in counts})
+        tables: list[dict[str, list[int]]] = [{} for _ in range(LONGEST + 1)]  # 0: words, else n-grams of that length
         for lang, word, n in counts:
-            k = at[lang]
-            self.words.setdefault(word, np.zeros(len(at)))[k] += n
-            padded = f"<{word}>"
+            k, padded = at[lang], f"<{word}>"
+            tables[0].setdefault(word, [0] * width)[k] += n
             for size in range(1, LONGEST + 1):
                 for i in range(len(padded) - size + 1):
-                    self.grams.setdefault(padded[i : i + size], np.zeros(len(at)))[k] += n
-        for table in (self.words, self.grams):
-            total = np.zeros(len(at))
-            sizes: Counter = Counter()
-            by: dict[int, np.ndarray] = {}
-            for key, row in table.items():
-                size = 0 if table is self.words else len(key)
-                by[size] = by.get(size, total) + row
-                sizes[size] += 1
-            for key, row in table.items():
-                size = 0 if table is self.words else len(key)
-                table[key] = np.log((row + 0.5) / (by[size] + 0.5 * sizes[size]))
-
-    def score(self, word: str) -> np.ndarray:
-        if (known := self.words.get(word)) is not None:
-            return known
-        padded = f"<{word[:40]}>"
+                    tables[size].setdefault(padded[i : i + size], [0] * width)[k] += n
+        self.index: list[dict[str, int]] = []
+        self.rows: list[np.ndarray] = []
+        for table in tables:
+            seen = np.array([*table.values()], dtype=float).reshape(-1, width)
+            self.index.append({key: i for i, key in enumerate(table)})
+            self.rows.append(np.log((seen + 0.5) / (seen.sum(axis=0) + 0.5 * max(len(seen), 1))))
+
+    def score(self, words: list[str]) -> np.ndarray:
+        """A row for each word: its own, or the mean over its longest n-grams of which any was seen, or zeros."""
+        out = np.zeros((len(words), len(self.langs)))
+        known = [self.index[0].get(w, -1) for w in words]
+        hit = np.flatnonzero(np.array(known) >= 0)
+        out[hit] = self.rows[0][np.array(known)[hit]]
+        open_words = [(i, f"<{w[:40]}>") for i, (w, k) in enumerate(zip(words, known, strict=True)) if k < 0]
         for size in range(LONGEST, 0, -1):
-            rows = [row for i in range(len(padded) - size + 1) if (row := self.grams.get(padded[i : i + size])) is not None]
-            if rows:
-                return np.mean(rows, axis=0)
-        return np.zeros(len(self.langs))
+            index, found, owner, left = self.index[size], [], [], []
+            for i, padded in open_words:
+                rows = [r for k in range(len(padded) - size + 1) if (r := index.get(padded[k : k + size])) is not None]
+                if rows:
+                    found += rows
+                    owner.append((i, len(rows)))
+                else:
+                    left.append((i, padded))
+            if owner:
+                n = np.array([x[1] for x in owner])
+                sums = np.add.reduceat(self.rows[size][found], np.concatenate([[0], np.cumsum(n)[:-1]]), axis=0)
+                out[[x[0] for x in owner]] = sums / n[:, None]
+            open_words = left
+        return out
 
 
 def train(docs: DataFrame) -> Model:
@@ -96,28 +102,29 @@ class Reader:
     """Applies a model to texts; rows of words met before are kept, up to a bound."""
 
     def __init__(self, model: Model) -> None:
-        self.model, self.at, self.table, self.n = model, {}, np.zeros((CACHE + 1, len(model.langs))), 0
-
-    def __call__(self, text: str) -> tuple[str, float]:
-        words = WORD.findall(text.lower())
+        self.model, self.at, self.table = model, {}, np.zeros((CACHE, len(model.langs)))
+
+    def __call__(self, texts: list[str]) -> list[tuple[str, float]]:
+        return [self._one(words) for words in self._known([WORD.findall(t.lower()) for t in texts])]
+
+    def _known(self, split: list[list[str]]) -> Iterator[list[str]]:
+        new = [w for w in set().union(*split) if w not in self.at]
+        if len(self.at) + len(new) > CACHE:
+            self.at.clear()
+            new = list(set().union(*split))
+        if len(new) <= CACHE and new and self.model.langs:
+            first = len(self.at)
+            self.table[first : first + len(new)] = self.model.score(new)
+            self.at.update(zip(new, range(first, first + len(new)), strict=True))
+        yield from split
+
+    def _one(self, words: list[str]) -> tuple[str, float]:
         if not words or not self.model.langs:
             return "und", 0.0
-        at, total = self.at, np.zeros(len(self.model.langs))
-        for lo in range(0, len(words), 100_000):
-            part = words[lo : lo + 100_000]
-            for w in {w for w in part if w not in at}:
-                if self.n == CACHE:
-                    at.clear()
-                    self.n = 0
-                    break
-                self.table[self.n] = self.model.score(w)
-                at[w] = self.n
-                self.n += 1
-            if all(map(at.__contains__, part)):
-                ids = np.fromiter(map(at.__getitem__, part), dtype=np.int64, count=len(part))
-                total += np.bincount(ids, minlength=1) @ self.table[: ids.max() + 1] if len(part) > 50_000 else self.table[ids].sum(axis=0)
-            else:
-                total += np.sum([self.model.score(w) for w in part], axis=0)
+        if all(map(self.at.__contains__, words)):
+            total = self.table[np.fromiter(map(self.at.__getitem__, words), dtype=np.int64, count=len(words))].sum(axis=0)
+        else:  # one text with more different words than are kept
+            total = sum(self.model.score(words[i : i + 10_000]).sum(axis=0) for i in range(0, len(words), 10_000))
         best = int(total.argmax())
         # Words of one text are far from independent: evidence counts by its square root.
         odds = np.exp((total - total[best]) / np.sqrt(len(words)))
@@ -137,7 +144,8 @@ def identify(docs: DataFrame, model: Model | None = None) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         read = Reader(shared.value)
         for batch in batches:
-            got = [read(t) for t in text_column(batch, "text")]
+            texts = list(text_column(batch, "text"))
+            got = [x for i in range(0, len(texts), 400) for x in read(texts[i : i + 400])]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array([x[0] for x in got], pa.string()), pa.array([x[1] for x in got], pa.float64())], ["doc_id", "held_out", "lang_pred", "score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out(F.col("doc_id")).alias("held_out"), "text").mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")

@@ -1,7 +1,7 @@
 """SentencePiece encoding and decoding with seeded merge dropout.
 
-An agenda (heap) of candidate merges joins the best pair first, as the merge-type model prescribes. With dropout, each
-candidate is skipped if the keyed hash of (seed, stream, place, pair) falls below the rate; a word's stream is itself a
+An agenda of candidate merges joins the best pair of each word first, as the merge-type model prescribes; the agendas of
+many words advance together in numpy. With dropout, each candidate is skipped if the keyed hash of (seed, stream, place, pair) falls below the rate; a word's stream is itself a
 keyed hash of (seed, document, place), so equal words are cut in various ways, any task can make them again, and
 segmentations can be kept per (word, stream). All segmentations decode to the text they came from.
 """
@@ -9,7 +9,6 @@ segmentations can be kept per (word, stream). All segmentations decode to the te
 from __future__ import annotations
 
 import hashlib
-import heapq
 import re
 import zlib
 from collections.abc import Iterator
@@ -21,9 +20,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gleaner.llm.common import text_column
+from gleaner.llm.merges import MergeTable, TwoAges
 
 SEED, RATE, STREAMS = 20240601, 0.1, 4
-CACHE = 200_000
+CACHE = 300_000
 #: Fixed value: the mark that stands for a blank in pieces.
 BLANK = "▁"
 #: No piece goes on after a blank that follows something else, nor over a line end.
@@ -37,63 +37,61 @@ def model_path(name: str = "piece_bpe_32k.model") -> str:
 
 
 class Pieces:
-    """The vocabulary of a merge-type model, and its agenda."""
+    """The vocabulary of a merge-type model, and its agenda of merges."""
 
     def __init__(self, path: str) -> None:
         import sentencepiece
 
         model = sentencepiece.SentencePieceProcessor(model_file=path)
-        n = model.get_piece_size()
+        n = self.n = model.get_piece_size()
         names = [model.id_to_piece(i) for i in range(n)]
         self.bytes = {int(names[i][3:5], 16): i for i in range(n) if model.is_byte(i)}
         plain = [i for i in range(n) if not (model.is_byte(i) or model.is_control(i) or model.is_unknown(i) or model.is_unused(i))]
         self.ids = {names[i]: i for i in plain}
-        self.score = {names[i]: model.get_score(i) for i in plain}
+        splits = [(self.ids[a], self.ids[b], i) for i in plain for k in range(1, len(names[i])) if (a := names[i][:k]) in self.ids and (b := names[i][k:]) in self.ids]
+        order = {i: k for k, i in enumerate(sorted(plain, key=lambda i: (-model.get_score(i), i)))}
+        self.table = MergeTable(*(np.array(x) for x in zip(*((a, b, order[i], i) for a, b, i in splits), strict=True)))
         self.raw = [b""] * n
         for i in plain:
             self.raw[i] = names[i].replace(BLANK, " ").encode()
         for b, i in self.bytes.items():
             self.raw[i] = bytes([b])
-
-    def encode(self, chunk: str, stream: int = -1, seed: int = SEED, rate: float = 0.0) -> list[int]:
-        """Ids of one chunk (blanks written as the mark)."""
-        part = list(chunk)
-        left, right = list(range(-1, len(part) - 1)), [*range(1, len(part)), -1]
-        agenda: list[tuple[float, int, int, str]] = []
-
-        def offer(i: int, j: int) -> None:
-            if i < 0 or j < 0:
-                return
-            both = part[i] + part[j]
-            score = self.score.get(both)
-            if score is None:
-                return
-            if rate and xxhash.xxh64_intdigest(f"{stream}|{i}|{part[i]}|{part[j]}", seed) < rate * 2**64:
-                return
-            heapq.heappush(agenda, (-score, i, j, both))
-
-        for i in range(len(part) - 1):
-            offer(i, i + 1)
-        while agenda:
-            _, i, j, both = heapq.heappop(agenda)
-            if not part[i] or not part[j] or part[i] + part[j] != both:
-                continue
-            part[i], part[j] = both, ""
-            right[i] = right[j]
-            if right[j] >= 0:
-                left[right[j]] = i
-            offer(left[i], i)
-            offer(i, right[i])
-        out: list[int] = []
-        for piece in part:
-            if piece:
-                known = self.ids.get(piece)
-                out += [known] if known is not None else [self.bytes[b] for b in piece.encode()]
-        return out
-
-    def decode(self, ids: list[int]) -> str:
+        self.codes = np.full(0x110000, -1, dtype=np.int64)  # of single characters; others go beyond the vocabulary, to become bytes
+        for name, i in self.ids.items():
+            if len(name) == 1:
+                self.codes[ord(name)] = i
+        self.codes[ord(BLANK)] = -1  # in a text it is no blank
+        self.codes[ord(" ")] = self.ids[BLANK]
+        self.codes = np.where(self.codes < 0, n + np.arange(0x110000), self.codes)
+
+    def encode(self, chunks: list[str], stream: int = -1, seed: int = SEED, rate: float = 0.0) -> list[bytes]:
+        """Ids (little-endian uint32 bytes) of each chunk; with a rate, under the dice of one stream."""
+        size = np.array([len(c) for c in chunks])
+        symbols = self.codes[np.frombuffer("".join(chunks).encode("utf-32-le", "surrogatepass"), dtype="<u4")]
+        key = np.uint64(xxhash.xxh64_intdigest(str(stream), seed))
+
+        def skip(word: np.ndarray, place: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+            x = key ^ ((place.astype(np.uint64) << np.uint64(48)) | (left.astype(np.uint64) << np.uint64(24)) | right.astype(np.uint64))
+            for by in (0xD6E8FEB86659FD93, 0xA0761D6478BD642F):
+                x = (x ^ (x >> np.uint64(32))) * np.uint64(by)
+            return (x >> np.uint64(11)).astype(np.float64) < rate * 2.0**53
+
+        ids, word = self.table.segment(symbols, np.repeat(np.arange(len(chunks)), size), skip if rate else None)
+        strange = np.flatnonzero(ids >= self.n)
+        if len(strange):
+            spelt = [[self.bytes[b] for b in chr(int(x) - self.n).encode("utf-8", "surrogatepass")] for x in ids[strange]]
+            times = np.ones(len(ids), dtype=np.int64)
+            times[strange] = [len(x) for x in spelt]
+            at = np.repeat(ids >= self.n, times)
+            ids, word = np.repeat(ids, times), np.repeat(word, times)
+            ids[at] = [b for x in spelt for b in x]
+        flat = ids.astype("<u4").tobytes()
+        cut = [0, *(4 * np.cumsum(np.bincount(word, minlength=len(chunks)))).tolist()]
+        return [flat[a:b] for a, b in zip(cut, cut[1:], strict=False)]
+
+    def decode(self, ids: bytes) -> str:
         """The text of ids: pieces joined, less the blank put before the first."""
-        raw = b"".join(map(self.raw.__getitem__, ids))
+        raw = b"".join(map(self.raw.__getitem__, np.frombuffer(ids, dtype="<u4").tolist()))
         return (raw[1:] if raw[:1] == b" " else raw).decode("utf-8", "replace")
 
 
@@ -103,60 +101,57 @@ def chunks(text: str) -> list[str]:
 
 
 class Encoder:
-    """Whole texts, with segmentations kept per (chunk, stream) up to a bound."""
+    """Whole texts, with segmentations kept per chunk and stream up to a bound."""
 
     def __init__(self, pieces: Pieces, seed: int, rate: float, streams: int) -> None:
         self.pieces, self.seed, self.rate, self.streams = pieces, seed, rate, streams
-        self.known: dict = {}
-
-    def _one(self, chunk: str, stream: int) -> list[int]:
-        rate = self.rate if stream >= 0 else 0.0
-        if BLANK not in chunk:
-            return self.pieces.encode(chunk.replace(" ", BLANK), stream, self.seed, rate)
-        out: list[int] = []  # the mark itself is written as bytes, so that it isn't read as a blank
-        for i, part in enumerate(chunk.split(BLANK)):
-            out += [self.pieces.bytes[b] for b in BLANK.encode()] if i else []
-            out += self.pieces.encode(part.replace(" ", BLANK), stream, self.seed, rate) if part else []
-        return out
-
-    def __call__(self, text: str, doc: int | None) -> list[int]:
-        """Ids of ``text``; ``doc``: key of the document for the dice, None: no dropout."""
-        parts = chunks(text)
-        if len(self.known) > CACHE:
-            self.known.clear()
-        if doc is None:
-            keys: list = [(c, -1) for c in parts]
-        else:
+        self.known = [TwoAges(CACHE) for _ in range(streams + 1)]  # the last is without dropout
+
+    def _learn(self, stream: int, wanted: set[str]) -> None:
+        new = self.known[stream].missing(wanted)
+        if new:
+            dice = stream < self.streams
+            self.known[stream].update(zip(new, self.pieces.encode(new, stream if dice else -1, self.seed, self.rate if dice else 0.0), strict=True))
+
+    def __call__(self, texts: list[str], docs: list[int]) -> list[tuple[bytes, bytes]]:
+        """Ids without and with dropout of each text; ``docs``: the documents' keys for the dice."""
+        split = [chunks(t) for t in texts]
+        dice = []
+        for doc, parts in zip(docs, split, strict=True):
             place = np.arange(len(parts), dtype=np.uint64) + np.uint64(xxhash.xxh64_intdigest(str(doc), self.seed))
             place = (place ^ (place >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
-            keys = list(zip(parts, ((place >> np.uint64(40)) % np.uint64(self.streams)).tolist(), strict=True))
-        known = self.known
-        out: list[int] = []
-        for key in keys:
-            ids = known.get(key)
-            if ids is None:
-                ids = known[key] = self._one(*key)
-            out += ids
-        return out
+            dice.append(((place >> np.uint64(40)) % np.uint64(self.streams)).tolist())
+        self._learn(self.streams, set().union(*split))
+        wanted: list[set[str]] = [set() for _ in range(self.streams)]
+        for parts, streams in zip(split, dice, strict=True):
+            for c, s in zip(parts, streams, strict=True):
+                wanted[s].add(c)
+        for s, w in enumerate(wanted):
+            self._learn(s, w)
+        known, plain = self.known, self.known[self.streams]
+        return [(b"".join(map(plain.__getitem__, parts)), b"".join([known[s][c] for c, s in zip(parts, streams, strict=True)])) for parts, streams in zip(split, dice, strict=True)]
 
 
 SCHEMA = "doc_id long, n_pieces long, ids_crc32 long, n_varied long, varied_crc32 long, lossless boolean, decoded_sha256 string"
 
 
+def _batches(batch: pa.RecordBatch, size: int = 400) -> Iterator[tuple[pa.RecordBatch, list[int], list[str]]]:
+    for at in range(0, batch.num_rows, size):
+        part = batch.slice(at, size)
+        yield part, [-1 if d is None else d for d in part.column("doc_id").to_pylist()], list(text_column(part, "text"))
+
+
 def encode(docs: DataFrame, model: str | None = None, seed: int = SEED, rate: float = RATE, streams: int = STREAMS) -> DataFrame:
     """(doc_id, ids, varied): ids without and with dropout, for every row of ``docs`` (doc_id, text); null text gives no ids."""
     path = model or model_path()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = Encoder(Pieces(path), seed, rate, streams)
+        numbers = lambda column: pa.array([np.frombuffer(x, dtype="<u4").astype(np.int32) for x in column], pa.list_(pa.int32()))
         for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                part = batch.slice(at, 500)
-                doc = part.column("doc_id").to_pylist()
-                texts = list(text_column(part, "text"))
-                plain = pa.array([encoder(t, None) for t in texts], pa.list_(pa.int32()))
-                varied = pa.array([encoder(t, -1 if d is None else d) for t, d in zip(texts, doc, strict=True)], pa.list_(pa.int32()))
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), plain, varied], ["doc_id", "ids", "varied"])
+            for part, keys, texts in _batches(batch):
+                got = encoder(texts, keys)
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), numbers(g[0] for g in got), numbers(g[1] for g in got)], ["doc_id", "ids", "varied"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, ids array<int>, varied array<int>")
 
@@ -174,15 +169,14 @@ def round_trip(docs: DataFrame, model: str | None = None, seed: int = SEED, rate
         pieces = Pieces(path)
         encoder = Encoder(pieces, seed, rate, streams)
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.string())
+        names = [c.split()[0] for c in SCHEMA.split(", ")][1:]
         for batch in batches:
-            rows = []
-            for doc, text in zip(batch.column("doc_id").to_pylist(), text_column(batch, "text"), strict=True):
-                plain, varied = encoder(text, None), encoder(text, -1 if doc is None else doc)
-                decoded = pieces.decode(varied)
-                ok = decoded == text and pieces.decode(plain) == text
-                crc = [zlib.crc32(np.array(x, dtype="<u4").tobytes()) for x in (plain, varied)]
-                rows.append((len(plain), crc[0], len(varied), crc[1], ok, hashlib.sha256(decoded.encode()).hexdigest()))
-            names = [c.split()[0] for c in SCHEMA.split(", ")][1:]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds))], ["doc_id", *names])
+            for part, keys, texts in _batches(batch):
+                rows = []
+                for text, (plain, varied) in zip(texts, encoder(texts, keys), strict=True):
+                    decoded = pieces.decode(varied)
+                    ok = decoded == text and pieces.decode(plain) == text
+                    rows.append((len(plain) // 4, zlib.crc32(plain), len(varied) // 4, zlib.crc32(varied), ok, hashlib.sha256(decoded.encode()).hexdigest()))
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), *(pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds))], ["doc_id", *names])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, SCHEMA)

@@ -17,14 +17,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from gleaner.llm.merges import TwoAges, WordEnds
 from gleaner.sources.shared import written
 
 SIZE, END_ID = 4096, 1
 BUCKETS = 32
-CACHE = 300_000
+CACHE = 1_000_000
 #: The white space of Unicode, at which the tokenizer separates; marks that always end a piece.
 SPACES = re.compile(r"[\t\n\x0b\x0c\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]+")
-MARKS = ".,!?;:"
+CONTROLS = re.compile("[\x1c-\x1f]")
+MARKS = ".,!?;:*#$%&"
 
 
 def vocabulary(name: str = "word_bpe_49k.json") -> str:
@@ -33,30 +35,38 @@ def vocabulary(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
-class ChunkIds(dict):
-    """Ids (little-endian uint32 bytes) of each white-space separated chunk; unseen ones are encoded in one batch."""
+class ChunkIds:
+    """Ids (little-endian uint32 bytes) of white-space separated chunks; unseen ones are made many at a time."""
 
     def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer
 
-        self.encode = Tokenizer.from_file(path).encode_batch
+        self.encode, self.words, self.known = Tokenizer.from_file(path).encode_batch, WordEnds(path), TwoAges(CACHE)
 
     def learn(self, chunks: set[str]) -> None:
-        if len(self) > CACHE:
-            self.clear()
-            new = chunks
-        else:
-            new = {c for c in chunks if c not in self}
-        bare = {c: core for c in new if c[-1] in MARKS and (core := c.rstrip(MARKS)) and core[-1].isalpha()}
-        whole = {core for core in bare.values()} | {c[len(core) :] for c, core in bare.items()} | (new - bare.keys())
-        todo = [c for c in whole if c not in self]
-        for c, e in zip(todo, self.encode(todo, add_special_tokens=False), strict=True):
-            self[c] = np.array(e.ids, dtype="<u4").tobytes()
-        for c, core in bare.items():
-            self[c] = self[core] + self[c[len(core) :]]
+        known = self.known
+        new = known.missing(chunks)
+        cut = {c: core for c in new if c[-1] in MARKS and (core := c.rstrip(MARKS)) and core[-1].isalpha()}
+        parts = {core for core in cut.values()} | {c[len(core) :] for c, core in cut.items()} | {c for c in new if c not in cut}
+        todo = [c for c in parts if c not in known]
+        plain = [c for c in todo if self.words.takes(c)]
+        if plain:
+            known.update(zip(plain, self.words.ids(plain), strict=True))
+        other = [c for c in todo if c not in known]
+        for c, e in zip(other, self.encode(other, add_special_tokens=False), strict=True):
+            known[c] = np.array(e.ids, dtype="<u4").tobytes()
+        for c, core in cut.items():
+            known[c] = known[core] + known[c[len(core) :]]
 
     def ids(self, chunks: list[str]) -> bytes:
-        return b"".join(map(self.__getitem__, chunks))
+        return b"".join(map(self.known.__getitem__, chunks))
+
+
+def separated(text: str | None) -> list[str]:
+    """Chunks between white space. str.split also cuts at four control characters that are no white space."""
+    if not text:
+        return []
+    return [c for c in SPACES.split(text) if c] if CONTROLS.search(text) else text.split()
 
 
 def pieces(docs: DataFrame, tokenizer: str, size: int = SIZE, end_id: int = END_ID) -> DataFrame:
@@ -68,9 +78,9 @@ def pieces(docs: DataFrame, tokenizer: str, size: int = SIZE, end_id: int = END_
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         known, last = ChunkIds(tokenizer), np.array([end_id], dtype="<u4").tobytes()
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
-                split = [[c for c in SPACES.split(t) if c] if t else [] for t in part.column("text").to_pylist()]
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                split = [separated(t) for t in part.column("text").to_pylist()]
                 known.learn(set().union(*split))
                 rows: list[tuple] = []
                 for doc_id, chunks in zip(part.column("doc_id").to_pylist(), split, strict=True):

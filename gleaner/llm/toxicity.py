@@ -18,6 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gleaner.llm.common import held_out, text_column
+from gleaner.llm.merges import TwoAges
 
 #: Parameters: labelled rows to learn from (chosen by hash of doc_id), candidate features, lexicon size, threshold.
 MAX_TRAIN, MAX_CANDIDATES, MAX_LEXICON, THRESHOLD = 40_000, 20_000, 2_000, 0.3
@@ -212,18 +213,27 @@ def learn(docs: DataFrame, labels: DataFrame, lm: np.ndarray, bound: int = MAX_T
     return {f: (rate[f][0] + 0.5) / (sum(rate[f]) + 2) for f in taken}, min(rest, 0.25)
 
 
-def score(text: str, lm: np.ndarray, lexicon: dict[str, float], rest: float, known: dict[str, str], hits: dict[str, float]) -> float:
-    """Noisy-or of the words found; ``rest`` without any."""
-    if len(hits) > CACHE:
-        hits.clear()
-    miss = 1.0 - rest
-    for word in words_of(text, lm, known):
-        p = hits.get(word)
-        if p is None:
-            p = hits[word] = max((lexicon.get(f, 0.0) for f in features(word)), default=0.0)
-        if p:
+class Scorer:
+    """Scores texts; what a token counts is kept, up to a bound."""
+
+    def __init__(self, lm: np.ndarray, lexicon: dict[str, float], rest: float) -> None:
+        self.lm, self.lexicon, self.rest, self.hits = lm, lexicon, rest, TwoAges(CACHE)
+
+    def weight(self, token: str) -> float:
+        lexicon = self.lexicon
+        return max((lexicon.get(f, 0.0) for f in features(restored(token, self.lm))), default=0.0)
+
+    def __call__(self, text: str) -> float:
+        """Noisy-or of the words found; ``rest`` without any."""
+        low = text.lower()
+        tokens, hits = set(low.split()), self.hits
+        tokens.update(re.sub(r"[ .\-_*]", "", m[0]) for m in SPACED.finditer(low))
+        for token in hits.missing(tokens):
+            hits[token] = self.weight(token)
+        miss = 1.0 - self.rest
+        for p in sorted({restored(t, self.lm): p for t in tokens if (p := hits[t])}.values()):
             miss *= 1.0 - p
-    return 1.0 - miss
+        return 1.0 - miss
 
 
 def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
@@ -237,11 +247,9 @@ def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast((lm, lexicon, rest))  # A**3 and MAX_LEXICON numbers
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        lm, lexicon, rest = shared.value
-        known: dict[str, str] = {}
-        hits: dict[str, float] = {}
+        score = Scorer(*shared.value)
         for batch in batches:
-            got = [score(t, lm, lexicon, rest, known, hits) for t in text_column(batch, "text")]
+            got = [score(t) for t in text_column(batch, "text")]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array(got, pa.float64()), pa.array([int(x >= THRESHOLD) for x in got], pa.int32())], ["doc_id", "held_out", "score", "predicted"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out(F.col("doc_id")).alias("held_out"), "text").mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
@@ -255,10 +263,8 @@ def drop_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
     schema = docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        lm, lexicon, rest = shared.value
-        known: dict[str, str] = {}
-        hits: dict[str, float] = {}
+        score = Scorer(*shared.value)
         for batch in batches:
-            yield batch.filter(pa.array([score(t, lm, lexicon, rest, known, hits) < THRESHOLD for t in text_column(batch, "text")], pa.bool_()))
+            yield batch.filter(pa.array([score(t) < THRESHOLD for t in text_column(batch, "text")], pa.bool_()))
 
     return docs.mapInArrow(run, schema)
