@@ -159,7 +159,7 @@ def _(s: SparkSession, d: str) -> DataFrame:
 
 
 query("agg_pivot_lengths", f"{TX} SELECT tid % 4 AS part, count(*) FILTER (n = 1) AS \"1\", count(*) FILTER (n = 2) AS \"2\", count(*) FILTER (n = 3) AS \"3\" FROM t GROUP BY 1")(
-    lambda s, d: model.sizes(basket(s, d)).groupBy(F.pmod("tid", F.lit(4)).alias("part")).pivot("n", [1, 2, 3]).agg(F.count("*")).na.fill(0)
+    lambda s, d: model.sizes(basket(s, d)).groupBy(F.pmod("tid", F.lit(4)).alias("part")).pivot("n", [1, 2, 3]).agg(F.count("tid")).na.fill(0)
 )
 query("agg_percentiles", f"{TX} SELECT n, quantile_cont(s, 0.5) AS median, quantile_cont(s, 0.25) AS low FROM t GROUP BY n")(
     lambda s, d: model.sizes(basket(s, d)).groupBy(F.col("n").cast("long").alias("n")).agg(F.percentile("s", 0.5).alias("median"), F.percentile("s", 0.25).alias("low"))
@@ -202,7 +202,7 @@ def _(s: SparkSession, d: str) -> DataFrame:
     return s.sql("SELECT n, k, round(log_binom(cast(n AS INT), cast(k AS INT)), 6) + 0D AS v FROM (SELECT id AS n FROM range(1, 80)) JOIN (SELECT id AS k FROM range(0, 80)) ON k <= n")
 
 
-@query("math_prefix_mass", "SELECT l, i, round(CASE WHEN l > i THEN 0 ELSE CAST(factorial(i) / (factorial(l) * factorial(i - l)) AS DOUBLE) * (l * (10.0 * i) / i + 3) END, 4) AS m FROM range(1, 15) a(l), range(1, 15) b(i) WHERE l <= i")
+@query("math_prefix_mass", "SELECT l, i, round(CASE WHEN l > i THEN 0 ELSE CAST(factorial(CAST(i AS INTEGER)) // (factorial(CAST(l AS INTEGER)) * factorial(CAST(i - l AS INTEGER))) AS DOUBLE) * (l * (10.0 * i) / i + 3) END, 4) AS m FROM range(1, 15) a(l), range(1, 15) b(i) WHERE l <= i")
 def _(s: SparkSession, d: str) -> DataFrame:
     chance.register(s)
     return s.sql("SELECT l, i, round(prefix_mass(cast(l AS INT), cast(i AS INT), cast(10 * i AS DOUBLE), 3D), 4) AS m FROM (SELECT id AS l FROM range(1, 15)) JOIN (SELECT id AS i FROM range(1, 15)) ON l <= i")
