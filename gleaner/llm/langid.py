@@ -66,7 +66,7 @@ class Model:
         self.index: list[dict[str, int]] = []
         self.rows: list[np.ndarray] = []
         for table in tables:
-            seen = np.array([*table.values()], dtype=float).reshape(-1, width)
+            seen = np.array([*table.values()], dtype=float).reshape(len(table), width)
             self.index.append({key: i for i, key in enumerate(table)})
             self.rows.append(np.log((seen + 0.5) / (seen.sum(axis=0) + 0.5 * max(len(seen), 1))))
 
