@@ -265,7 +265,7 @@ def spans(docs: DataFrame, window: int = WINDOW, keep_first: bool = False, crowd
     rows = written(docs.select("doc_id", "_k", "text").mapInArrow(_anchor_rows(window), "h long, c long, doc_id long, _k long, lo long, n long"), "anchors")
     twice = rows.groupBy("h").agg(F.count("*").alias("m")).where("m > 1").select("h")
     rows = written(rows.join(twice, "h"), "anchors")
-    kinds = rows.groupBy("h", "c").agg(F.count("*").alias("m"), F.min(F.struct("doc_id", "lo", "_k", "n")).alias("first"))
+    kinds = rows.groupBy("h", "c").agg(F.count("*").alias("m"), F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "lo", "_k", "n")).alias("first"))
     mixed = kinds.groupBy("h").agg(F.count("*").alias("kinds")).where("kinds > 1")
     asked = kinds.join(mixed, "h").select("h", "c", "kinds", "first.*")
     asked = asked.groupBy("doc_id", "_k").agg(F.collect_list(F.struct("h", "c", "lo", "n", "kinds")).alias("asked"))  # at most one per 2 bytes of its document
