@@ -216,6 +216,8 @@ def _marks(window: int):
         size = 0
         for batch in batches:
             for row in zip(*(batch.column(c).to_pylist() for c in ("h", "c", "context")), strict=True):
+                if group and group[-1][:2] == row[:2]:  # of a repeated row of the table
+                    continue
                 if group and group[0][0] != row[0]:
                     done += group
                     group = []
@@ -275,7 +277,7 @@ def spans(docs: DataFrame, window: int = WINDOW, keep_first: bool = False, crowd
     near = written(near, "contexts")
     few = near.where(F.col("kinds") <= crowd).repartition("h").sortWithinPartitions("h", F.asc_nulls_last("doc_id"), "lo", "c")
     marks = few.select("h", "c", "context").mapInArrow(_marks(window), "h long, c long, either array<int>, later array<int>")
-    single = near.where(F.col("kinds") > crowd).mapInArrow(_window_rows(window), "w1 long, w2 long, h long, c long, doc_id long, lo long, i int")
+    single = near.where(F.col("kinds") > crowd).dropDuplicates(["h", "c"]).mapInArrow(_window_rows(window), "w1 long, w2 long, h long, c long, doc_id long, lo long, i int")
     place = F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "lo", "c")
     many = single.groupBy("w1", "w2").agg(F.count("*").alias("m"), F.min(place).alias("least")).where("m > 1")
     step = F.array(F.col("i"), F.col("i") + 1)
