@@ -25,7 +25,7 @@ def train_rows(docs: DataFrame, bound: int = MAX_TRAIN) -> DataFrame:
     may = docs.where(F.col("lang").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", "text", "lang")
     n = may.select("doc_id").count()
     share = min(1.0, bound / max(n, 1))
-    return may.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(share * 1_000_000)).select("text", "lang")
+    return may.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)) < int(share * (1 << 40))).select("text", "lang")
 
 
 def word_counts(rows: DataFrame, least: int = 2, most: int = MAX_WORDS) -> list:
@@ -76,7 +76,7 @@ class Model:
         known = [self.index[0].get(w, -1) for w in words]
         hit = np.flatnonzero(np.array(known) >= 0)
         out[hit] = self.rows[0][np.array(known)[hit]]
-        open_words = [(i, f"<{w[:40]}>") for i, (w, k) in enumerate(zip(words, known, strict=True)) if k < 0]
+        open_words = [(i, f"<{w}>") for i, (w, k) in enumerate(zip(words, known, strict=True)) if k < 0]
         for size in range(LONGEST, 0, -1):
             index, found, owner, left = self.index[size], [], [], []
             for i, padded in open_words:

@@ -95,10 +95,10 @@ def lattice(token: str) -> list[list[tuple[str, float]]]:
 
 def decode(token: str, lm: np.ndarray) -> str:
     """The likeliest word behind ``token``: Viterbi over states of the last two characters."""
-    best: dict[tuple[int, int], tuple[float, str]] = {(0, 0): (0.0, "")}
-    for choices in lattice(token[:60]):
-        after: dict[tuple[int, int], tuple[float, str]] = {}
-        for (a, b), (score, word) in best.items():
+    best: dict[tuple[int, int], tuple[float, tuple]] = {(0, 0): (0.0, ())}  # score, and the way back: (earlier, letters)
+    for choices in lattice(token):
+        after: dict[tuple[int, int], tuple[float, tuple]] = {}
+        for (a, b), (score, way) in best.items():
             for letters, cost in choices:
                 x, y, s = a, b, score - cost
                 for c in letters:
@@ -106,9 +106,14 @@ def decode(token: str, lm: np.ndarray) -> str:
                     s += lm[x, y, z]
                     x, y = y, z
                 if (x, y) not in after or after[x, y][0] < s:
-                    after[x, y] = (s, word + letters)
+                    after[x, y] = (s, (way, letters))
         best = after
-    return max((s + lm[a, b, 0], w) for (a, b), (s, w) in best.items())[1]
+    way = best[max(best, key=lambda ab: (best[ab][0] + lm[ab[0], ab[1], 0], ab))][1]
+    parts = []
+    while way:
+        way, letters = way
+        parts.append(letters)
+    return "".join(reversed(parts))
 
 
 def restored(token: str, lm: np.ndarray) -> str:
@@ -149,7 +154,7 @@ def features(word: str) -> list[str]:
 def _train_rows(docs: DataFrame, labels: DataFrame, bound: int) -> DataFrame:
     may = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     share = min(1.0, bound / max(may.count(), 1))
-    few = may.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(share * 1_000_000))
+    few = may.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)) < int(share * (1 << 40)))
     return docs.select("doc_id", "text").join(F.broadcast(few), "doc_id")  # at most about `bound` rows of two numbers
 
 

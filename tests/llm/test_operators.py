@@ -145,3 +145,20 @@ def test_language_and_toxicity(spark, docs, empty):
     assert all(r.predicted == (r.doc_id % 3 == 0) for r in toxicity.toxicity(train, labels).collect())
     assert toxicity.toxicity(docs, labels.limit(0)).count() == 12 and toxicity.toxicity(empty, labels).count() == 0
     assert toxicity.drop_toxic(train, labels).count() == 133
+
+
+def test_viterbi_reads_whole_tokens():
+    from itertools import product
+
+    rng = np.random.default_rng(3)
+    lm = np.log(rng.dirichlet(np.ones(toxicity.A), (toxicity.A, toxicity.A)))
+
+    def score(path):
+        letters = [toxicity._INDEX[c] for x, _ in path for c in x]
+        padded = [0, 0, *letters, 0]
+        return sum(lm[tuple(padded[i : i + 3])] for i in range(len(padded) - 2)) - sum(cost for _, cost in path)
+
+    for token in ("1d10t", "h44te", "b@$$", "l0ve.", "xx5%"):
+        best = max(product(*toxicity.lattice(token)), key=score)
+        assert toxicity.decode(token, lm) == "".join(x for x, _ in best)
+    assert len(toxicity.decode("ab0" * 500, lm)) == 1500
