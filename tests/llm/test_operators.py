@@ -161,4 +161,5 @@ def test_viterbi_reads_whole_tokens():
     for token in ("1d10t", "h44te", "b@$$", "l0ve.", "xx5%"):
         best = max(product(*toxicity.lattice(token)), key=score)
         assert toxicity.decode(token, lm) == "".join(x for x, _ in best)
-    assert len(toxicity.decode("ab0" * 500, lm)) == 1500
+    whole = toxicity.decode("ab0" * 500, lm)  # a look-alike may be dropped, a letter not
+    assert (whole.count("a"), whole.count("b")) == (500, 500)
