@@ -88,7 +88,9 @@ class TwoAges(dict):
             self.old = dict(self)
             self.clear()
         out = []
-        for k in keys - self.keys():
+        for k in keys:  # a set less a dictionary's keys would walk the whole dictionary
+            if k in self:
+                continue
             known = self.old.get(k)
             if known is None:
                 out.append(k)
