@@ -178,16 +178,3 @@ def simhash_components(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     label = placed.groupBy("component").agg(F.min("least").alias("component_id"))
     named = placed.join(label, "component").select("fp", "component_id")
     return fps.join(named, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
-
-
-def drop_near(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """``docs`` with all its columns, less every row that is not the one its component is named after.
-
-    Of repeated rows of that doc_id one stays.
-    """
-    from pyspark.sql import Window
-
-    stay = simhash_components(docs, radius).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__gleaner_stay")).distinct()
-    kept = docs.join(stay, F.col("doc_id").eqNullSafe(F.col("__gleaner_stay")), "left_semi")
-    one = F.row_number().over(Window.partitionBy("doc_id").orderBy(F.xxhash64(*docs.columns)))
-    return kept.withColumn("__gleaner_n", one).where("__gleaner_n = 1").select(*docs.columns)
