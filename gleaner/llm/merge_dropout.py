@@ -1,9 +1,9 @@
 """SentencePiece encoding and decoding with seeded merge dropout.
 
 An agenda of candidate merges joins the best pair of each word first, as the merge-type model prescribes; the agendas of
-many words advance together in numpy. With dropout, each candidate is skipped if the keyed hash of (seed, stream, place, pair) falls below the rate; a word's stream is itself a
-keyed hash of (seed, document, place), so equal words are cut in various ways, any task can make them again, and
-segmentations can be kept per (word, stream). All segmentations decode to the text they came from.
+many words advance together in numpy. With dropout, each candidate is skipped if the keyed hash of (seed, document, place of
+the chunk, place in the chunk, pair) falls below the rate, so that every occurrence of a word has dice of its own and any
+task can make them again. Only segmentations without dropout are kept. All segmentations decode to the text they came from.
 """
 
 from __future__ import annotations
@@ -22,8 +22,9 @@ from pyspark.sql import functions as F
 from gleaner.llm.common import text_column
 from gleaner.llm.merges import MergeTable, TwoAges
 
-SEED, RATE, STREAMS = 20240601, 0.1, 4
-CACHE = 300_000
+SEED, RATE = 20240601, 0.1
+#: Chunks without dropout that are kept; symbols that advance together with dropout.
+CACHE, TOGETHER = 300_000, 1_000_000
 #: Fixed value: the mark that stands for a blank in pieces.
 BLANK = "▁"
 #: No piece goes on after a blank that follows something else, nor over a line end.
@@ -36,6 +37,15 @@ def model_path(name: str = "piece_bpe_32k.model") -> str:
     return public_tokenizers.path(name)
 
 
+GOLDEN = np.uint64(0x9E3779B97F4A7C15)
+
+
+def mixed(x: np.ndarray) -> np.ndarray:
+    for by in (0xD6E8FEB86659FD93, 0xA0761D6478BD642F):
+        x = (x ^ (x >> np.uint64(32))) * np.uint64(by)
+    return x
+
+
 class Pieces:
     """The vocabulary of a merge-type model, and its agenda of merges."""
 
@@ -64,16 +74,14 @@ class Pieces:
         self.codes[ord(" ")] = self.ids[BLANK]
         self.codes = np.where(self.codes < 0, n + np.arange(0x110000), self.codes)
 
-    def encode(self, chunks: list[str], stream: int = -1, seed: int = SEED, rate: float = 0.0) -> list[bytes]:
-        """Ids (little-endian uint32 bytes) of each chunk; with a rate, under the dice of one stream."""
+    def encode(self, chunks: list[str], keys: np.ndarray | None = None, rate: float = 0.0) -> list[bytes]:
+        """Ids (little-endian uint32 bytes) of each chunk; with a rate, under the dice that each chunk's key gives."""
         size = np.array([len(c) for c in chunks])
         symbols = self.codes[np.frombuffer("".join(chunks).encode("utf-32-le", "surrogatepass"), dtype="<u4")]
-        key = np.uint64(xxhash.xxh64_intdigest(str(stream), seed))
 
         def skip(word: np.ndarray, place: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
-            x = key ^ ((place.astype(np.uint64) << np.uint64(48)) | (left.astype(np.uint64) << np.uint64(24)) | right.astype(np.uint64))
-            for by in (0xD6E8FEB86659FD93, 0xA0761D6478BD642F):
-                x = (x ^ (x >> np.uint64(32))) * np.uint64(by)
+            x = mixed(keys[word] + place.astype(np.uint64) * GOLDEN)
+            x = mixed(x ^ ((left.astype(np.uint64) << np.uint64(32)) | right.astype(np.uint64)))
             return (x >> np.uint64(11)).astype(np.float64) < rate * 2.0**53
 
         ids, word = self.table.segment(symbols, np.repeat(np.arange(len(chunks)), size), skip if rate else None)
@@ -101,35 +109,32 @@ def chunks(text: str) -> list[str]:
 
 
 class Encoder:
-    """Whole texts, with segmentations kept per chunk and stream up to a bound."""
-
-    def __init__(self, pieces: Pieces, seed: int, rate: float, streams: int) -> None:
-        self.pieces, self.seed, self.rate, self.streams = pieces, seed, rate, streams
-        self.known = [TwoAges(CACHE) for _ in range(streams + 1)]  # the last is without dropout
-
-    def _learn(self, stream: int, wanted: set[str]) -> None:
-        new = self.known[stream].missing(wanted)
-        if new:
-            dice = stream < self.streams
-            self.known[stream].update(zip(new, self.pieces.encode(new, stream if dice else -1, self.seed, self.rate if dice else 0.0), strict=True))
+    """Whole texts; segmentations without dropout are kept up to a bound, those with it are made for each occurrence."""
+
+    def __init__(self, pieces: Pieces, seed: int, rate: float) -> None:
+        self.pieces, self.seed, self.rate, self.plain = pieces, seed, rate, TwoAges(CACHE)
+
+    def _varied(self, split: list[list[str]], docs: list[int]) -> list[bytes]:
+        """Ids with dropout of each text, chunks of many texts together."""
+        parts = [c for text in split for c in text]
+        base = np.array([xxhash.xxh64_intdigest(str(d), self.seed) for d in docs], dtype=np.uint64)
+        count = np.array([len(t) for t in split], dtype=np.int64)
+        ends = np.cumsum(count)
+        place = np.arange(len(parts)) - np.repeat(ends - count, count)
+        keys = mixed(np.repeat(base, count) + place.astype(np.uint64) * GOLDEN)
+        size = np.cumsum([len(c) for c in parts]) // TOGETHER
+        cuts = [0, *(np.flatnonzero(np.diff(size)) + 1).tolist(), len(parts)]
+        made = [x for i, j in zip(cuts, cuts[1:], strict=False) if j > i for x in self.pieces.encode(parts[i:j], keys[i:j], self.rate)]
+        return [b"".join(made[e - n : e]) for e, n in zip(ends.tolist(), count.tolist(), strict=True)]
 
     def __call__(self, texts: list[str], docs: list[int]) -> list[tuple[bytes, bytes]]:
         """Ids without and with dropout of each text; ``docs``: the documents' keys for the dice."""
         split = [chunks(t) for t in texts]
-        dice = []
-        for doc, parts in zip(docs, split, strict=True):
-            place = np.arange(len(parts), dtype=np.uint64) + np.uint64(xxhash.xxh64_intdigest(str(doc), self.seed))
-            place = (place ^ (place >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
-            dice.append(((place >> np.uint64(40)) % np.uint64(self.streams)).tolist())
-        self._learn(self.streams, set().union(*split))
-        wanted: list[set[str]] = [set() for _ in range(self.streams)]
-        for parts, streams in zip(split, dice, strict=True):
-            for c, s in zip(parts, streams, strict=True):
-                wanted[s].add(c)
-        for s, w in enumerate(wanted):
-            self._learn(s, w)
-        known, plain = self.known, self.known[self.streams]
-        return [(b"".join(map(plain.__getitem__, parts)), b"".join([known[s][c] for c, s in zip(parts, streams, strict=True)])) for parts, streams in zip(split, dice, strict=True)]
+        new = self.plain.missing(set().union(*split))
+        if new:
+            self.plain.update(zip(new, self.pieces.encode(new), strict=True))
+        plain = [b"".join(map(self.plain.__getitem__, parts)) for parts in split]
+        return list(zip(plain, self._varied(split, docs) if self.rate else plain, strict=True))
 
 
 SCHEMA = "doc_id long, n_pieces long, ids_crc32 long, n_varied long, varied_crc32 long, lossless boolean, decoded_sha256 string"
@@ -141,12 +146,12 @@ def _batches(batch: pa.RecordBatch, size: int = 400) -> Iterator[tuple[pa.Record
         yield part, [-1 if d is None else d for d in part.column("doc_id").to_pylist()], list(text_column(part, "text"))
 
 
-def encode(docs: DataFrame, model: str | None = None, seed: int = SEED, rate: float = RATE, streams: int = STREAMS) -> DataFrame:
+def encode(docs: DataFrame, model: str | None = None, seed: int = SEED, rate: float = RATE) -> DataFrame:
     """(doc_id, ids, varied): ids without and with dropout, for every row of ``docs`` (doc_id, text); null text gives no ids."""
     path = model or model_path()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(Pieces(path), seed, rate, streams)
+        encoder = Encoder(Pieces(path), seed, rate)
         numbers = lambda column: pa.array([np.frombuffer(x, dtype="<u4").astype(np.int32) for x in column], pa.list_(pa.int32()))
         for batch in batches:
             for part, keys, texts in _batches(batch):
@@ -156,7 +161,7 @@ def encode(docs: DataFrame, model: str | None = None, seed: int = SEED, rate: fl
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, ids array<int>, varied array<int>")
 
 
-def round_trip(docs: DataFrame, model: str | None = None, seed: int = SEED, rate: float = RATE, streams: int = STREAMS) -> DataFrame:
+def round_trip(docs: DataFrame, model: str | None = None, seed: int = SEED, rate: float = RATE) -> DataFrame:
     """One row per row of ``docs`` (doc_id, text): sizes and checksums of both encodings, and what the varied one decodes to.
 
     Ids are hashed as little-endian unsigned 32-bit numbers. Null text is empty: no pieces, lossless. The same seed and
@@ -167,7 +172,7 @@ def round_trip(docs: DataFrame, model: str | None = None, seed: int = SEED, rate
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pieces = Pieces(path)
-        encoder = Encoder(pieces, seed, rate, streams)
+        encoder = Encoder(pieces, seed, rate)
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.string())
         names = [c.split()[0] for c in SCHEMA.split(", ")][1:]
         for batch in batches:
