@@ -31,10 +31,15 @@ _CODE = np.zeros(0x180, dtype=np.int64)
 for _i, _c in enumerate(LETTERS):
     _CODE[ord(_c)] = _i + 1
 _INDEX = {c: i + 1 for i, c in enumerate(LETTERS)}
-#: A word; single letters set apart by blanks or marks; a token that may be disguised.
-SPACED = re.compile(r"(?<![^\W_])(?:[^\W_][ .\-_*]){3,}[^\W_](?![^\W_])")
-EDGE = re.compile(r"^[^\w@$!|+(€]+|[^\w]+$")
-THRICE = re.compile(r"(.)\1\1")
+#: A run of short tokens set apart by blanks or marks, and what sets them apart; what is cut off the ends of a token; a doubled letter.
+_UNIT = rf"(?:[{re.escape(LETTERS + ''.join(LOOKS))}]{{1,2}}|([{re.escape(LETTERS + ''.join(LOOKS))}])\1{{2,}})"
+GAP = re.compile(r"[\s.\-_*]+")
+SPACED = re.compile(rf"(?<![^\s.\-_*]){_UNIT}(?:[\s.\-_*]{{1,3}}{_UNIT.replace(chr(92) + '1', chr(92) + '2')}){{2,}}(?![^\s.,;:?\-_*\"')\]])")
+_MARKS = re.escape("".join(c for c in LOOKS if not c.isalnum()))
+EDGE = re.compile(rf"^[^\w{_MARKS}]+|[^\w{_MARKS}]+$")
+TWICE = re.compile(r"(.)\1")
+#: Costs of a gap in a run: inside a word, between two.
+INSIDE_WORD, BETWEEN = 0.3, 0.0
 
 
 # --- character language model -------------------------------------------------------------------------------------
@@ -84,7 +89,9 @@ def lattice(token: str) -> list[list[tuple[str, float]]]:
     out = []
     for run in re.finditer(r"(.)\1*", token, re.DOTALL):
         c, n = run[1], len(run[0])
-        if c in _INDEX:
+        if c == " ":  # only runs have it
+            out.append([("", INSIDE_WORD), (" ", BETWEEN)])
+        elif c in _INDEX:
             out.append([(c, 0.0)] if n == 1 else [(c, 1.0 if n == 2 else 0.2), (c * 2, 0.0 if n == 2 else 0.7)])
         else:
             drop = [("", 2.0)] if not c.isalnum() or n == 1 else []
@@ -102,13 +109,14 @@ def decode(token: str, lm: np.ndarray) -> str:
             for letters, cost in choices:
                 x, y, s = a, b, score - cost
                 for c in letters:
-                    z = _INDEX[c]
+                    z = _INDEX.get(c, 0)  # 0: between words
                     s += lm[x, y, z]
                     x, y = y, z
                 if (x, y) not in after or after[x, y][0] < s:
                     after[x, y] = (s, (way, letters))
         best = after
-    way = best[max(best, key=lambda ab: (best[ab][0] + lm[ab[0], ab[1], 0], ab))][1]
+    ends = [ab for ab in best if ab != (0, 0)] or [*best]  # without any letter only if there is no other reading
+    way = best[max(ends, key=lambda ab: (best[ab][0] + lm[ab[0], ab[1], 0], ab))][1]
     parts = []
     while way:
         way, letters = way
@@ -117,30 +125,37 @@ def decode(token: str, lm: np.ndarray) -> str:
 
 
 def restored(token: str, lm: np.ndarray) -> str:
-    """A word of plain letters without a triple stands for itself; any other goes through the lattice."""
+    """A word of plain letters, none doubled, stands for itself; any other with a letter or look-alike goes through the lattice."""
     token = EDGE.sub("", token)
-    if not token or token.isalpha() and not THRICE.search(token):
+    if not token or token.isalpha() and not TWICE.search(token):
         return token
-    if not any(c in _INDEX for c in token):
+    if not any(c in _INDEX or c in LOOKS for c in token):
         return ""
     return decode(token, lm)
 
 
-def words_of(text: str, lm: np.ndarray, known: dict[str, str]) -> set[str]:
+def parts(text: str) -> set[str]:
+    """Tokens of a lower-cased text, and its runs of short tokens, each gap as one blank."""
+    found = set(text.split())
+    found.update(GAP.sub(" ", m[0]) for m in SPACED.finditer(text))
+    return found
+
+
+def read(part: str, lm: np.ndarray) -> list[str]:
+    """The words behind a token or a run."""
+    return decode(part, lm).split() if " " in part else [w] if (w := restored(part, lm)) else []
+
+
+def words_of(text: str, lm: np.ndarray, known: dict[str, list[str]]) -> set[str]:
     """Restored words of a text, among them those joined from letters set apart."""
-    low = text.lower()
-    raw = set(low.split())
     if len(known) > CACHE:
         known.clear()
     out = set()
-    for token in raw:
-        word = known.get(token)
-        if word is None:
-            word = known[token] = restored(token, lm)
-        out.add(word)
-    for m in SPACED.finditer(low):
-        out.add(restored(re.sub(r"[ .\-_*]", "", m[0]), lm))
-    out.discard("")
+    for part in parts(text.lower()):
+        words = known.get(part)
+        if words is None:
+            words = known[part] = read(part, lm)
+        out.update(words)
     return out
 
 
@@ -170,7 +185,7 @@ def learn(docs: DataFrame, labels: DataFrame, lm: np.ndarray, bound: int = MAX_T
     shared = docs.sparkSession.sparkContext.broadcast(lm)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known: dict[str, str] = {}
+        known: dict[str, list[str]] = {}
         seen: dict[str, list[int]] = defaultdict(lambda: [0, 0])
 
         def flush() -> pa.RecordBatch:
@@ -192,7 +207,7 @@ def learn(docs: DataFrame, labels: DataFrame, lm: np.ndarray, bound: int = MAX_T
     rate = {r.feature: (r.bad, r.good) for r in chosen}
 
     def own(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known: dict[str, str] = {}
+        known: dict[str, list[str]] = {}
         for batch in batches:
             got, toxic = [], batch.column("toxic").to_pylist()
             for text in text_column(batch, "text"):
@@ -224,19 +239,18 @@ class Scorer:
     def __init__(self, lm: np.ndarray, lexicon: dict[str, float], rest: float) -> None:
         self.lm, self.lexicon, self.rest, self.hits = lm, lexicon, rest, TwoAges(CACHE)
 
-    def weight(self, token: str) -> float:
+    def weights(self, part: str) -> tuple[tuple[str, float], ...]:
+        """The words behind a token or a run that are in the lexicon, and what each counts."""
         lexicon = self.lexicon
-        return max((lexicon.get(f, 0.0) for f in features(restored(token, self.lm))), default=0.0)
+        return tuple((w, p) for w in read(part, self.lm) if (p := max(lexicon.get(f, 0.0) for f in features(w))))
 
     def __call__(self, text: str) -> float:
         """Noisy-or of the words found; ``rest`` without any."""
-        low = text.lower()
-        tokens, hits = set(low.split()), self.hits
-        tokens.update(re.sub(r"[ .\-_*]", "", m[0]) for m in SPACED.finditer(low))
-        for token in hits.missing(tokens):
-            hits[token] = self.weight(token)
+        found, hits = parts(text.lower()), self.hits
+        for part in hits.missing(found):
+            hits[part] = self.weights(part)
         miss = 1.0 - self.rest
-        for p in sorted({restored(t, self.lm): p for t in tokens if (p := hits[t])}.values()):
+        for p in sorted(dict(x for part in found for x in hits[part]).values()):
             miss *= 1.0 - p
         return 1.0 - miss
 

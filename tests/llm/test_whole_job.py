@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from gleaner.llm import merge_dropout
+from gleaner.llm import merge_dropout, toxicity
 
 
 def test_dropout_is_drawn_for_each_occurrence(spark):
@@ -16,3 +16,12 @@ def test_dropout_is_drawn_for_each_occurrence(spark):
     words = {encoder([" international"], [i])[0][1] for i in range(300)}
     plain = encoder([" international"], [0])[0][0]
     assert len(words) > 6 and plain in words and len({tuple(x) for x in got.values()}) == 60
+
+
+def test_disguises_reach_the_lattice(spark):
+    said = "you are an idiot and an ass and a bass player said what the duck did to the ducks in the lake today ; "
+    lm = toxicity.language_model(spark.createDataFrame([(said * 50,)], "text string"))
+    for token, word in {"duuck": "duck", "iddiioott": "idiot", "a$$": "ass", "b@$$": "bass", "@$$": "ass", "4$$": "ass", "idiot!": "idiot", "duck,": "duck", "...": ""}.items():
+        assert toxicity.restored(token, lm) == word, token
+    for text, words in {"a s s": {"ass"}, "i d i o t": {"idiot"}, "i d ! o t": {"idiot"}, "an i-d-i-o-t.": {"idiot"}, "y o u  a r e  i d i o t": {"you", "are", "idiot"}, "id i ot": {"idiot"}}.items():
+        assert words <= toxicity.words_of(text, lm, {}), (text, toxicity.words_of(text, lm, {}))
