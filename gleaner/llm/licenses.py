@@ -73,7 +73,10 @@ def postfix(expression: str) -> list[str]:
 
 
 def alternatives(expression: str) -> list[frozenset[str]]:
-    """Sets of licences, each of which satisfies the expression: ``or`` adds sets, ``and`` joins them, ``with`` binds an exception."""
+    """Sets of licences, each of which satisfies the expression: ``or`` adds sets, ``and`` joins them, ``with`` binds an exception.
+
+    All of them, which are as many as the product of the sizes joined by ``and``; ``licences`` needs no such product.
+    """
     stack: list[list[frozenset[str]]] = []
     for token in postfix(expression):
         if token not in BINDS:
@@ -83,14 +86,32 @@ def alternatives(expression: str) -> list[frozenset[str]]:
             continue
         right, left = stack.pop(), stack.pop()
         if token == "or":
-            stack.append(list(dict.fromkeys(left + right))[:64])
+            stack.append(list(dict.fromkeys(left + right)))
         elif token == "and":
-            stack.append(list(dict.fromkeys(x | y for x in left for y in right))[:64])
+            stack.append(list(dict.fromkeys(x | y for x in left for y in right)))
         else:
             stack.append([frozenset(f"{a} with {b}" for a in x for b in y) for x in left for y in right])
     return stack[-1] if stack else []
 
 
+def licences(expression: str) -> set[str]:
+    """Every licence named by an expression: its operands, ``x with y`` as one."""
+    stack: list[set[str]] = []
+    for token in postfix(expression):
+        if token not in BINDS:
+            stack.append({token})
+        elif len(stack) > 1:
+            right = stack.pop()
+            if token == "with":
+                stack[-1] = {f"{a} with {b}" for a in stack[-1] for b in right}
+            elif len(right) > len(stack[-1]):
+                right |= stack[-1]
+                stack[-1] = right
+            else:
+                stack[-1] |= right
+    return stack[-1] if stack else set()
+
+
 def automaton():
     import ahocorasick
 
@@ -123,9 +144,9 @@ def scan(text: bytes, phrases) -> dict:
             score = max(score, weight)
         else:
             for said in _TAG_LINE.findall(text):
-                sets = alternatives(said.decode("utf-8", "ignore"))
-                extra.update(x for s in sets for x in s)
-                score = 1.0 if sets else score
+                named = licences(said.decode("utf-8", "ignore"))
+                extra |= named
+                score = 1.0 if named else score
     return {
         "n_words": len(words), "n_base": len(starts), "first_word": min(starts, default=None), "last_word": max(starts, default=None),
         "base_labels": ",".join(sorted(base)), "labels": ",".join(sorted(base | extra)), "score": score,

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from gleaner.llm import merge_dropout, toxicity
+from gleaner.llm import licenses, merge_dropout, toxicity
 
 
 def test_dropout_is_drawn_for_each_occurrence(spark):
@@ -25,3 +25,12 @@ def test_disguises_reach_the_lattice(spark):
         assert toxicity.restored(token, lm) == word, token
     for text, words in {"a s s": {"ass"}, "i d i o t": {"idiot"}, "i d ! o t": {"idiot"}, "an i-d-i-o-t.": {"idiot"}, "y o u  a r e  i d i o t": {"you", "are", "idiot"}, "id i ot": {"idiot"}}.items():
         assert words <= toxicity.words_of(text, lm, {}), (text, toxicity.words_of(text, lm, {}))
+
+
+def test_no_licence_of_an_expression_is_lost():
+    tag = "SPDX-License-Identifier: "
+    labels = lambda said: set(licenses.scan((tag + said).encode(), licenses.automaton())["labels"].split(","))
+    assert labels(" OR ".join(f"l{i}" for i in range(200))) == {f"l{i}" for i in range(200)}
+    assert labels(" AND ".join(f"(a{i} OR b{i})" for i in range(40))) == {f"{c}{i}" for i in range(40) for c in "ab"}
+    for said in ("a or b and c with d", "(a or b) with c and d", "a and", "(a or (b and c)) or d"):
+        assert labels(said) == {x for s in licenses.alternatives(said) for x in s}
