@@ -104,7 +104,7 @@ def lines(page: str) -> list[tuple[str, int, bool]]:
 
 
 def main_text(page: str) -> str:
-    """The text between surge and dive of the heaviest stretch, and of any article element."""
+    """The text of every article element; on pages without one, of every stretch between a surge and a dive."""
     rows = lines(page)
     if not rows:
         return ""
@@ -112,19 +112,18 @@ def main_text(page: str) -> str:
     if any(inside for *_, inside in rows):  # the page says where its article is: all else is around it
         weight = [w if inside else 0 for w, (*_, inside) in zip(weight, rows, strict=True)]
     sums = [sum(weight[i : i + WINDOW]) for i in range(len(weight))]
-    stretches: list[tuple[int, int, int]] = []
+    stretches: list[tuple[int, int]] = []
     start = None
     for i, total in enumerate([*sums, 0]):
         if start is None and total >= SURGE and i < len(weight) and weight[i]:
             start = i
         elif start is not None and (i == len(weight) or total < SURGE and not weight[i] or not any(weight[i : i + WINDOW])):
-            stretches.append((sum(weight[start:i]), start, i))
+            stretches.append((start, i))
             start = None
     if not stretches:
         best = max(range(len(rows)), key=lambda i: weight[i])
         return rows[best][0] if weight[best] else ""
-    most = max(stretches)[0]
-    return " ".join(rows[i][0] for total, a, b in stretches if 3 * total >= most for i in range(a, b) if weight[i])
+    return " ".join(rows[i][0] for a, b in stretches for i in range(a, b) if weight[i])
 
 
 def extract(pages: DataFrame) -> DataFrame:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from gleaner.llm import licenses, merge_dropout, toxicity
+from gleaner.llm import html_text, licenses, merge_dropout, toxicity
 
 
 def test_dropout_is_drawn_for_each_occurrence(spark):
@@ -34,3 +34,11 @@ def test_no_licence_of_an_expression_is_lost():
     assert labels(" AND ".join(f"(a{i} OR b{i})" for i in range(40))) == {f"{c}{i}" for i in range(40) for c in "ab"}
     for said in ("a or b and c with d", "(a or b) with c and d", "a and", "(a or (b and c)) or d"):
         assert labels(said) == {x for s in licenses.alternatives(said) for x in s}
+
+
+def test_short_sections_of_a_page_stay():
+    long, short = "long words of the first part " * 40, "A short part that closes the text, in a line of more than eighty characters all told."
+    links = "<div><a href=x>Go there</a></div>" * 5
+    one = html_text.main_text(f"<body><p>{long}</p>{links}<p>{short}</p>{links}</body>")
+    two = html_text.main_text(f"<body><article><p>{long}</p><p>{long}</p></article>{links}<article><p>Brief.</p></article></body>")
+    assert one == f"{long}{short}" and two == f"{long}{long}Brief."
