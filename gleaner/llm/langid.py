@@ -9,7 +9,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from gleaner.llm.common import held_out, text_column
@@ -20,16 +20,26 @@ CACHE = 300_000
 WORD = re.compile(r"[^\W\d_]+")
 
 
+def shares(counts: dict[str, int], bound: int) -> dict[str, float]:
+    """The share of each language's rows so that about ``bound`` are taken: small languages whole, the others alike."""
+    out, left = {}, bound
+    for i, (lang, n) in enumerate(sorted(counts.items(), key=lambda x: (x[1], x[0]))):
+        take = min(n, left / (len(counts) - i))
+        out[lang], left = take / n, left - take
+    return out
+
+
 def train_rows(docs: DataFrame, bound: int = MAX_TRAIN) -> DataFrame:
-    """(text, lang) of at most about ``bound`` documents that may be learned from, chosen by the hash of doc_id."""
+    """(text, lang) of at most about ``bound`` documents that may be learned from, chosen by the hash of doc_id in each language."""
     may = docs.where(F.col("lang").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", "text", "lang")
-    n = may.select("doc_id").count()
-    share = min(1.0, bound / max(n, 1))
-    return may.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)) < int(share * (1 << 40))).select("text", "lang")
+    counts = {r["lang"]: r["n"] for r in may.groupBy("lang").agg(F.count("*").alias("n")).collect()}  # one row a language
+    below = [(lang, int(share * (1 << 40))) for lang, share in shares(counts, bound).items()]
+    cuts = docs.sparkSession.createDataFrame(below, "lang string, below long")
+    return may.join(F.broadcast(cuts), "lang").where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)) < F.col("below")).select("text", "lang")
 
 
-def word_counts(rows: DataFrame, least: int = 2, most: int = MAX_WORDS) -> list:
-    """The (lang, word, n) seen most, at most ``most`` of them."""
+def word_counts(rows: DataFrame, most: int = MAX_WORDS) -> list:
+    """At most ``most`` (lang, word, n): of each language the words seen most, as many as of any other that has so many."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: dict[str, Counter] = {}
@@ -47,7 +57,8 @@ def word_counts(rows: DataFrame, least: int = 2, most: int = MAX_WORDS) -> list:
         yield flush()
 
     counted = rows.mapInArrow(run, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
-    return counted.where(F.col("n") >= least).orderBy(F.desc("n"), "lang", "word").limit(most).collect()
+    place = F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "word"))
+    return counted.withColumn("place", place).where(F.col("place") <= most).orderBy("place", F.desc("n"), "lang").limit(most).drop("place").collect()
 
 
 class Model:

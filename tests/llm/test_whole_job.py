@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from gleaner.llm import html_text, licenses, merge_dropout, toxicity
+from gleaner.llm import html_text, langid, licenses, merge_dropout, toxicity
 
 
 def test_dropout_is_drawn_for_each_occurrence(spark):
@@ -42,3 +42,15 @@ def test_short_sections_of_a_page_stay():
     one = html_text.main_text(f"<body><p>{long}</p>{links}<p>{short}</p>{links}</body>")
     two = html_text.main_text(f"<body><article><p>{long}</p><p>{long}</p></article>{links}<article><p>Brief.</p></article></body>")
     assert one == f"{long}{short}" and two == f"{long}{long}Brief."
+
+
+def test_small_languages_keep_their_words(spark):
+    big = [(f"big{chr(97 + i % 26)}{chr(97 + i // 26)} " * 5, "aa") for i in range(400)]
+    small = [("wim wam wom", "bb"), ("kri kra", "cc")]
+    counts = langid.word_counts(spark.createDataFrame(big + small, "text string, lang string"), most=100)
+    assert len(counts) == 100 and {r.word for r in counts if r.lang != "aa"} == {"wim", "wam", "wom", "kri", "kra"}
+    docs = spark.createDataFrame([(i, *(big * 10)[i]) for i in range(4000)] + [(4000 + i, *small[i % 2]) for i in range(40)], "doc_id long, text string, lang string")
+    taken = {r["lang"]: r["count"] for r in langid.train_rows(docs, 200).groupBy("lang").count().collect()}
+    may = docs.where(~langid.held_out(docs.doc_id)).groupBy("lang").count().collect()
+    assert all(taken[r["lang"]] == r["count"] for r in may if r["lang"] != "aa") and 100 < taken["aa"] < 250
+    assert langid.shares({"aa": 1000, "bb": 10}, 110) == {"bb": 1.0, "aa": 0.1}
