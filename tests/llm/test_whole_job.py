@@ -2,22 +2,95 @@
 
 from __future__ import annotations
 
+from itertools import combinations
+
 import numpy as np
+import xxhash
 
-from gleaner.llm import html_text, langid, licenses, merge_dropout, toxicity
+from gleaner.llm import html_text, langid, licenses, merge_dropout, packing, toxicity
 
 
 def test_dropout_is_drawn_for_each_occurrence(spark):
     rows = [(i, " international internationally" * 10) for i in range(60)]
     got = {r.doc_id: list(r.varied) for r in merge_dropout.encode(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
-    encoder = merge_dropout.Encoder(merge_dropout.Pieces(merge_dropout.model_path()), merge_dropout.SEED, merge_dropout.RATE)
-    ids = lambda b: np.frombuffer(b, dtype="<u4").tolist()
-    assert all(got[i] == ids(encoder([t], [i])[0][1]) for i, t in rows)  # the same on its own as among others
-    words = {encoder([" international"], [i])[0][1] for i in range(300)}
-    plain = encoder([" international"], [0])[0][0]
+    encoder = merge_dropout.Encoder(merge_dropout.pieces(merge_dropout.model_path()), merge_dropout.SEED, merge_dropout.RATE)
+    varied = lambda t, i: encoder([t], [i])[2].tolist()
+    assert all(got[i] == varied(t, i) for i, t in rows)  # the same on its own as among others
+    words = {tuple(varied(" international", i)) for i in range(300)}
+    plain = tuple(encoder([" international"], [0])[0].tolist())
     assert len(words) > 6 and plain in words and len({tuple(x) for x in got.values()}) == 60
 
 
+def test_dropout_is_the_agenda_of_each_chunk():
+    """Against one heap-free agenda in plain Python: the best pair that is not skipped, again and again."""
+    pieces, seed, rate = merge_dropout.pieces(merge_dropout.model_path()), 5, 0.3
+    table = dict(zip(pieces.table.key[:-1].tolist(), zip(pieces.table.rank.tolist(), pieces.table.made.tolist(), strict=True), strict=False))
+    wide = (1 << 64) - 1
+
+    def mixed(x):
+        for by in (0xD6E8FEB86659FD93, 0xA0761D6478BD642F):
+            x = ((x ^ (x >> 32)) * by) & wide
+        return x
+
+    def brute(text, doc):
+        out = []
+        for n, chunk in enumerate(merge_dropout.chunks(text)):
+            key = mixed((xxhash.xxh64_intdigest(str(doc), seed) + n * int(merge_dropout.GOLDEN)) & wide)
+            now = [(i, int(pieces.codes[ord(c)])) for i, c in enumerate(chunk)]
+            while True:
+                can = []
+                for k, ((at, a), (_, b)) in enumerate(zip(now, now[1:], strict=False)):
+                    pair = a << 32 | b
+                    if pair in table and mixed(mixed((key + at * int(merge_dropout.GOLDEN)) & wide) ^ pair) >> 11 >= int(rate * 2**53):
+                        can.append((table[pair][0], k, table[pair][1]))
+                if not can:
+                    break
+                _, k, made = min(can)
+                now[k : k + 2] = [(now[k][0], made)]
+            out += [x for _, c in now for x in ([c] if c < pieces.n else [pieces.bytes[b] for b in chr(c - pieces.n).encode()])]
+        return out
+
+    texts = ["The internationalisation of unbelievable words, naïvely 漢字 😀 said.\n  Two  blanks", "x" * 200 + " " + "abcdefghij" * 12, "", " a", "été " * 30]
+    encoder = merge_dropout.Encoder(pieces, seed, rate)
+    ids, ends, varied, stops = encoder(texts, [11, 12, 13, 14, 15])
+    for i, (text, a, b) in enumerate(zip(texts, [0, *stops.tolist()], stops.tolist(), strict=False)):
+        assert varied[a:b].tolist() == brute(text, 11 + i), text
+        assert pieces.decode(varied[a:b]) == text
+
+
+def test_best_fit_is_that_of_pieces_one_by_one():
+    """The residual phase, against the fullest sequence that still fits, piece by piece; and complements against all sums."""
+    rng = np.random.default_rng(7)
+    for _ in range(60):
+        lengths = sorted(rng.integers(1, 41, rng.integers(1, 60)).tolist(), reverse=True)
+        left = np.bincount(lengths, minlength=41).tolist()
+        bins: list[list[int]] = []
+        for x in lengths:
+            fits = [b for b in bins if sum(b) + x <= 40]
+            if fits:
+                max(fits, key=sum).append(x)
+            else:
+                bins.append([x])
+        done = list(packing.best_fit(left, 40))
+        assert sum(n for _, n in done) == len(bins)
+        assert sorted(sum(p) for p, n in done for _ in range(n)) == sorted(map(sum, bins))
+        exact = list(packing.complements(left, 40))
+        assert all(sum(p) == 40 and len(p) <= 4 for p, _ in exact)
+        rest = [x for x in range(1, 41) for _ in range(left[x])]
+        assert not any(sum(c) == 40 and max(c) == c[-1] for k in (1, 2, 3, 4) for c in combinations(rest, k) if len(rest) < 25)
+
+
+def test_lengths_above_a_window_are_ranked_in_buckets(spark):
+    docs = spark.createDataFrame([(i, "a b c" if i % 3 else "word " * 90) for i in range(300)], "doc_id long, text string")
+    rows = packing.pack(docs, size=64, window=20).collect()
+    assert len({(r.sequence_id, r.offset) for r in rows}) == len(rows) == 200 + 100 * len({r.piece for r in rows if r.doc_id == 0})
+    ends: dict = {}
+    for r in sorted(rows, key=lambda r: (r.sequence_id, r.offset)):
+        assert r.offset == ends.get(r.sequence_id, 0)
+        ends[r.sequence_id] = r.offset + r.length
+    assert max(ends.values()) <= 64
+
+
 def test_disguises_reach_the_lattice(spark):
     said = "you are an idiot and an ass and a bass player said what the duck did to the ducks in the lake today ; "
     lm = toxicity.language_model(spark.createDataFrame([(said * 50,)], "text string"))
