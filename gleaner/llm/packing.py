@@ -8,6 +8,7 @@ joined to ranks within a length; of lengths with many pieces, each bucket has a
 
 from __future__ import annotations
 
+import math
 import re
 import zlib
 from collections import Counter
@@ -23,8 +24,8 @@ from gleaner.llm.merges import WordEnds
 from gleaner.sources.shared import written
 
 SIZE, END_ID = 4096, 1
-#: Rows of one length that are ranked in one window; chunks whose ids are kept.
-WINDOW_ROWS, CACHE = 200_000, 1_000_000
+#: Rows of one length that are always ranked in one window; chunks whose ids are kept.
+LEAST_ROWS, CACHE = 1000, 1_000_000
 #: The white space of Unicode, at which the tokenizer separates; marks that always end a piece.
 SPACES = re.compile(r"[\t\n\x0b\x0c\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]+")
 CONTROLS = re.compile("[\x1c-\x1f]")
@@ -201,23 +202,28 @@ def plan(counts: dict[int, int], size: int = SIZE) -> list[tuple[tuple[int, ...]
     return [*complements(left, size), *best_fit(left, size)]
 
 
-def pack(docs: DataFrame, tokenizer: str | None = None, size: int = SIZE, end_id: int = END_ID, window: int = WINDOW_ROWS) -> DataFrame:
+def buckets(n: int, least: int = LEAST_ROWS) -> int:
+    """In how many windows n pieces of one length are ranked: windows and their number both grow as the square root."""
+    return 1 if n <= least else -(-math.isqrt(n) // 8)
+
+
+def pack(docs: DataFrame, tokenizer: str | None = None, size: int = SIZE, end_id: int = END_ID, least: int = LEAST_ROWS) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset: one row per piece.
 
     Null text is empty: such a document is its end id alone. Repeated rows are packed each; a null doc_id stays null;
-    other columns are not read; an empty table gives an empty one. Pieces of a length above ``window`` are ranked in
+    other columns are not read; an empty table gives an empty one. More than ``least`` pieces of a length are ranked in
     buckets, each in a window of its own.
     """
     spark = docs.sparkSession
     cut = written(pieces(docs, tokenizer or vocabulary(), size, end_id), "pieces")
     counts = {r["length"]: r["n"] for r in cut.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most `size` rows
-    split = {length: -(-n // window) for length, n in counts.items() if n > window}
+    split = {length: b for length, n in counts.items() if (b := buckets(n, least)) > 1}
     bucket = F.lit(0)
     if split:
         wide = F.broadcast(spark.createDataFrame(list(split.items()), "length long, buckets int"))  # at most `size` rows
         cut, bucket = cut.join(wide, "length", "left"), F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.coalesce("buckets", F.lit(1))).cast("int")
     cut = cut.withColumn("bucket", bucket)
-    # Rows before each bucket of a split length: one row for every `window` rows.
+    # Rows before each bucket of a split length: at most sqrt(size * pieces) / 8 rows.
     tally = cut.where(F.col("buckets").isNotNull()).groupBy("length", "bucket").agg(F.count("*").alias("n")).collect() if split else []
     before, seen = [(length, 0, 0) for length in counts if length not in split], dict.fromkeys(split, 0)
     for r in sorted(tally, key=lambda r: (r.length, r.bucket)):

@@ -81,9 +81,10 @@ def test_best_fit_is_that_of_pieces_one_by_one():
 
 
 def test_lengths_above_a_window_are_ranked_in_buckets(spark):
-    docs = spark.createDataFrame([(i, "a b c" if i % 3 else "word " * 90) for i in range(300)], "doc_id long, text string")
-    rows = packing.pack(docs, size=64, window=20).collect()
-    assert len({(r.sequence_id, r.offset) for r in rows}) == len(rows) == 200 + 100 * len({r.piece for r in rows if r.doc_id == 0})
+    docs = spark.createDataFrame([(i, "a b c" if i % 3 else "word " * 90) for i in range(600)], "doc_id long, text string")
+    rows = packing.pack(docs, size=64, least=20).collect()
+    assert len({(r.sequence_id, r.offset) for r in rows}) == len(rows) == 400 + 200 * len({r.piece for r in rows if r.doc_id == 0})
+    assert packing.buckets(400, 20) == 3 and packing.buckets(20, 20) == 1 and packing.buckets(10**9) == 3953
     ends: dict = {}
     for r in sorted(rows, key=lambda r: (r.sequence_id, r.offset)):
         assert r.offset == ends.get(r.sequence_id, 0)
