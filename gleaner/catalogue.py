@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gleaner.functions.chance import duck_uniform
-from gleaner.operators import encode, jump, kg, matrix, metrics, mining, model, sampler
+from gleaner.operators import encode, experiments, jump, kg, matrix, metrics, mining, model, sampler
 from gleaner.operators.lengths import MEAN, SUM, LengthUtility, coefficient, length_law, pascal_cells
-from gleaner.sources.shared import written
+from gleaner.sources import tables
+from gleaner.sources.shared import shared_dir, written
 
 _queries: dict[str, Callable] = {}
 _sql: dict[str, str] = {}
@@ -166,7 +168,7 @@ query("matrix_weights_basket", _interval(1, 10).replace("SELECT tid, n, s, round
     lambda s, d: matrix.matrix_weights(model.pack(basket(s, d)), 1, 10).select("tid", F.round("w", 2).alias("w"))
 )
 query("matrix_cells", f"{TX} SELECT CAST(sum(CASE WHEN n <= 10 THEN n * (n + 1) ELSE 110 + 20 * (n - 10) END) AS BIGINT) AS cells, false AS refused FROM t")(lambda s, d: matrix.cells(model.sizes(basket(s, d)), 10))
-query("matrix_refused", None)(lambda s, d: matrix.cells(model.sizes(BUILD["words"](s, d)), 1 << 20))
+query("matrix_refused", f"WITH q AS ({QDB['words']}), t AS (SELECT count(*) AS n FROM q GROUP BY tid) SELECT CAST(sum(n * (n + 1)) AS BIGINT) AS cells, sum(n * (n + 1)) > 50000000 AS refused FROM t")(lambda s, d: matrix.cells(model.sizes(BUILD["words"](s, d)), 1 << 20))
 query("storage_model", f"{TX} SELECT count(*) AS weights, CAST(CASE WHEN max(n) % 2 = 0 THEN (max(n) // 2 + 1) * (max(n) // 2 + 1) ELSE (max(n) + 1) * (max(n) + 3) // 4 END AS BIGINT) AS cells, max(n) + 1 AS factors, CAST(sum(n * (n + 1)) AS BIGINT) AS matrix FROM t")(
     lambda s, d: metrics.storage_model(basket(s, d))
 )
@@ -184,24 +186,30 @@ _PATTERN, _DUCK_KEY = "array_join(cast(pattern as array<string>), ',') AS patter
 query("enumerate_visit", f"{_occurrences('visit', 5)} SELECT {_DUCK_KEY}, round(CAST(utility AS DOUBLE), 3) AS utility, support FROM e")(
     lambda s, d: mining.enumerate_patterns(encode.visit(s, d), 1, 5).select(F.expr(_PATTERN), F.round(F.col("utility").cast("double"), 3).alias("utility"), "support")
 )
+query("language_visit", f"{_occurrences('visit', 5)} SELECT {_DUCK_KEY}, len(pattern) >= 2 AND len(pattern) <= 3 AS inside FROM e")(
+    lambda s, d: mining.enumerate_patterns(encode.visit(s, d), 1, 5).select(F.expr(_PATTERN), model.in_language(F.col("pattern"), 2, 3).alias("inside"))
+)
 query("enumerate_basket_pairs", f"{_occurrences('basket', 2)} SELECT {_DUCK_KEY}, CAST(utility AS BIGINT) AS utility, support FROM e")(
     lambda s, d: mining.enumerate_patterns(basket(s, d), 1, 2).select(F.expr(_PATTERN), "utility", "support")
 )
 query("target_distribution_visit", f"{_occurrences('visit', 5)} SELECT {_DUCK_KEY}, round(CAST(utility AS DOUBLE) / len(pattern) / (SELECT sum(CAST(utility AS DOUBLE) / len(pattern)) FROM e), 9) AS p FROM e")(
     lambda s, d: mining.target(encode.visit(s, d), LengthUtility("mean", 1, 5)).select(F.expr(_PATTERN), F.round("p", 9).alias("p"))
 )
-query("topk_sum", f"{_occurrences('basket', 2)} SELECT {_DUCK_KEY}, CAST(utility AS BIGINT) AS utility FROM e ORDER BY e.utility DESC, e.pattern LIMIT 20")(lambda s, d: mining.mine_topk(basket(s, d), 20, SUM, 2).select(F.expr(_PATTERN), "utility"))
-query("topk_mean", f"{_occurrences('basket', 2)} SELECT {_DUCK_KEY}, round(CAST(utility AS DOUBLE) / len(pattern), 4) AS value FROM e ORDER BY CAST(utility AS DOUBLE) / len(pattern) DESC, e.pattern LIMIT 20")(
-    lambda s, d: mining.mine_topk(basket(s, d), 20, MEAN, 2).select(F.expr(_PATTERN), F.round("value", 4).alias("value"))
+_ALL = 64  # longer than any basket: SQL enumerates every pattern
+query("topk_sum", f"{_occurrences('basket', _ALL)} SELECT {_DUCK_KEY}, CAST(utility AS BIGINT) AS utility FROM e ORDER BY e.utility DESC, e.pattern LIMIT 20")(lambda s, d: mining.mine_topk(basket(s, d), 20, SUM).select(F.expr(_PATTERN), "utility"))
+query("topk_mean", f"{_occurrences('basket', _ALL)} SELECT {_DUCK_KEY}, round(CAST(utility AS DOUBLE) / len(pattern), 4) AS value FROM e ORDER BY CAST(utility AS DOUBLE) / len(pattern) DESC, e.pattern LIMIT 20")(
+    lambda s, d: mining.mine_topk(basket(s, d), 20, MEAN).select(F.expr(_PATTERN), F.round("value", 4).alias("value"))
 )
-query("threshold_mining", f"{_occurrences('basket', 2)} SELECT {_DUCK_KEY}, CAST(utility AS BIGINT) AS utility FROM e WHERE utility >= 30000000")(lambda s, d: mining.mine_threshold(basket(s, d), 30_000_000, 2).select(F.expr(_PATTERN), "utility"))
+query("threshold_mining", f"{_occurrences('basket', _ALL)} SELECT {_DUCK_KEY}, CAST(utility AS BIGINT) AS utility FROM e WHERE utility >= 30000000")(lambda s, d: mining.mine_threshold(basket(s, d), 30_000_000).select(F.expr(_PATTERN), "utility"))
 _SUPER = "{0} SELECT {1} FROM e WHERE NOT EXISTS (SELECT 1 FROM e b WHERE len(b.pattern) > len(e.pattern) AND list_has_all(b.pattern, e.pattern){2})"
 query("condensed_maximal", _SUPER.format(_occurrences("visit", 5), _DUCK_KEY, ""))(lambda s, d: mining.condense(mining.enumerate_patterns(encode.visit(s, d), 1, 5)).select(F.expr(_PATTERN)))
 query("condensed_closed", _SUPER.format(_occurrences("visit", 5), _DUCK_KEY, " AND b.support = e.support"))(lambda s, d: mining.condense(mining.enumerate_patterns(encode.visit(s, d), 1, 5), "closed").select(F.expr(_PATTERN)))
-query("mining_on_sample", None)(lambda s, d: mining.mine_on_sample(basket(s, d), 0.5, 30_000_000, 2).select(F.expr(_PATTERN), "utility", "support"))
+query("mining_on_sample", _occurrences("basket", _ALL).replace(f"({QDB['basket']})", f"(SELECT * FROM ({QDB['basket']}) WHERE {duck_uniform('0', 'tid', chr(39) + 'sample' + chr(39))} < 0.5)", 1) + f" SELECT {_DUCK_KEY}, CAST(utility AS DOUBLE) / 0.5 AS utility, support FROM e WHERE utility >= 15000000")(
+    lambda s, d: mining.mine_on_sample(basket(s, d), 0.5, 30_000_000).select(F.expr(_PATTERN), F.col("utility").cast("double").alias("utility"), "support")
+)
 query("mcmc_sample", None)(lambda s, d: mining.mcmc(encode.visit(s, d).withColumn("w", F.col("w").cast("double")), 16, 50, LengthUtility("const", 1, 3)))
-_pairs = lambda s, d: basket(s, d).where("tid <= 500").groupBy("tid").agg(F.slice(F.array_sort(F.collect_set("item")), 1, 2).alias("pattern")).select("pattern").distinct()
-_PAIRS_SQL = f"WITH q AS ({QDB['basket']}), p AS (SELECT DISTINCT list_slice(list_sort(list(DISTINCT item)), 1, 2) AS pattern FROM q WHERE tid <= 500 GROUP BY tid), x AS (SELECT pattern, unnest(pattern) AS item FROM p), m AS (SELECT pattern, tid, count(*) AS k, sum(w) AS u FROM x JOIN q USING (item) GROUP BY 1, 2)"
+_pairs = lambda s, d: basket(s, d).groupBy("tid").agg(F.slice(F.array_sort(F.collect_set("item")), 1, 2).alias("pattern")).select("pattern").distinct()
+_PAIRS_SQL = f"WITH q AS ({QDB['basket']}), p AS (SELECT DISTINCT list_slice(list_sort(list(DISTINCT item)), 1, 2) AS pattern FROM q GROUP BY tid), x AS (SELECT pattern, unnest(pattern) AS item FROM p), m AS (SELECT pattern, tid, count(*) AS k, sum(w) AS u FROM x JOIN q USING (item) GROUP BY 1, 2)"
 query("pattern_utility_pairs", f"{_PAIRS_SQL} SELECT {_DUCK_KEY}, CAST(coalesce(sum(u), 0) AS BIGINT) AS utility FROM m WHERE k = len(pattern) GROUP BY m.pattern")(lambda s, d: model.pattern_utility(basket(s, d), _pairs(s, d)).select(F.expr(_PATTERN), "utility"))
 query("mean_utility_pairs", f"{_PAIRS_SQL} SELECT {_DUCK_KEY}, round(CAST(coalesce(sum(u), 0) AS DOUBLE) / len(m.pattern), 4) AS value FROM m WHERE k = len(pattern) GROUP BY m.pattern")(
     lambda s, d: model.pattern_utility(basket(s, d), _pairs(s, d)).select(F.expr(_PATTERN), F.round(F.col("utility") * model.length_factor(F.size("pattern"), MEAN), 4).alias("value"))
@@ -256,13 +264,51 @@ query("draw_jump_arrow", _jump_sql())(lambda s, d: _drawn(sampler.sample(basket(
 query("twopass_basket", _jump_sql())(lambda s, d: _drawn(sampler.two_pass(basket(s, d), K, seed=SEED)))
 
 
+@query("twopass_stored_basket", _jump_sql())
+def _(s: SparkSession, d: str) -> DataFrame:
+    """The database laid out in buckets; the second pass reads those of the chosen transactions."""
+    path = f"{shared_dir(s)}/qdb-{uuid.uuid4().hex}"
+    tables.write_qdb(basket(s, d), path)
+    return _drawn(sampler.two_pass_stored(path, s, K, seed=SEED))
+
+
+def _log_sql(name: str, most: int, sequential: bool = False) -> str:
+    """Draws of mean utility up to ``most`` items from long transactions, with logarithms of masses."""
+    choose = lambda n, k: f"(lgamma({n} + 1) - lgamma({k} + 1) - lgamma({n} - {k} + 1))"
+    mass = lambda i: f"({choose(i, 'rem')} + ln(rem * s[{i}] / {i} + u))"
+    head = f"""WITH RECURSIVE q AS ({QDB[name]}), t AS (SELECT tid, count(*) AS n, CAST(sum(w) AS BIGINT) AS s FROM q GROUP BY tid),
+      c AS (SELECT n, l, {choose('(n - 1)', '(l - 1)')} - ln(l) AS g FROM (SELECT DISTINCT n FROM t), range(1, {most + 1}) r(l) WHERE l <= n), m AS (SELECT n, max(g) AS top FROM c GROUP BY n),
+      o AS (SELECT c.n, l, exp(g - top) AS c, top FROM c JOIN m ON c.n = m.n), k AS (SELECT n, any_value(top) + ln(sum(c)) AS logc FROM o GROUP BY n), y_ AS (SELECT tid, t.n, s, ln(s) + logc AS logw FROM t JOIN k ON t.n = k.n),
+      {_pick_sql('exp(logw - (SELECT max(logw) FROM y_))').replace('FROM t)', 'FROM y_)', 1)},
+      law AS (SELECT n, l, sum(c) OVER (PARTITION BY n ORDER BY l) AS hi, sum(c) OVER (PARTITION BY n) AS all_c FROM o),
+      dl AS (SELECT draw_id, tid, pk.n, min(l) AS l FROM pk JOIN law ON pk.n = law.n AND hi >= {duck_uniform(str(SEED), 'draw_id', "'length'")} * all_c GROUP BY 1, 2, 3), {_ARRAYS}"""
+    if sequential:
+        u = duck_uniform(str(SEED), "draw_id", "i")
+        stay = f"(i = rem OR ln({u}) + {mass('i')} > (CASE WHEN i > rem THEN {mass('greatest(i - 1, rem)')} ELSE 0 END))"
+        return f"""{head}, st AS (SELECT draw_id, dl.tid, CAST(n AS BIGINT) AS i, CAST(l AS BIGINT) AS rem, CAST(0 AS DOUBLE) AS u, items, w, s, CAST([] AS BIGINT[]) AS pat FROM dl JOIN a ON dl.tid = a.tid
+          UNION ALL SELECT draw_id, tid, i - 1, CASE WHEN hit THEN rem - 1 ELSE rem END, CASE WHEN hit THEN u + w[i] ELSE u END, items, w, s, CASE WHEN hit THEN list_append(pat, items[i]) ELSE pat END FROM (SELECT *, {stay} AS hit FROM st WHERE rem > 0))
+          SELECT draw_id, tid, array_to_string(list_sort(pat), ',') AS pattern, len(pat) AS length FROM st WHERE rem = 0"""
+    step = f"SELECT draw_id, tid, step + 1 AS step, rem, j, u, items, w, s, pat, list_filter(range(rem, j + 1), lambda i: {mass('i')} >= ln({duck_uniform(str(SEED), 'draw_id', 'step')}) + {mass('j')})[1] AS i FROM st WHERE rem > 0"
+    return f"""{head}, st AS (SELECT draw_id, dl.tid, CAST(1 AS BIGINT) AS step, CAST(l AS BIGINT) AS rem, CAST(n AS BIGINT) AS j, CAST(0 AS DOUBLE) AS u, items, w, s, CAST([] AS BIGINT[]) AS pat FROM dl JOIN a ON dl.tid = a.tid
+      UNION ALL SELECT draw_id, tid, step, rem - 1, i - 1, u + w[i], items, w, s, list_append(pat, items[i]) FROM ({step}))
+      SELECT draw_id, tid, array_to_string(list_sort(pat), ',') AS pattern, len(pat) AS length FROM st WHERE rem = 0"""
+
+
+for _name in ("supply", "shopper"):
+    query(f"draw_jump_{_name}", _log_sql(_name, 10))(lambda s, d, build=BUILD[_name]: _drawn(sampler.sample(build(s, d), K, LengthUtility("mean", 1, 10), SEED, pick="prefix", engine="arrow")))
+query("draw_sequential_supply", _log_sql("supply", 10, True))(lambda s, d: _drawn(sampler.sample(encode.supply(s, d), K, LengthUtility("mean", 1, 10), SEED, "sequential", pick="prefix", engine="arrow")))
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _drawn(sampler.two_pass(basket(spark, sf_dir), 200, LengthUtility("mean", 1, 5), SEED))
 
 
-def _sequential_sql() -> str:
+def _sequential_sql(matrix: bool = False) -> str:
     mass = lambda i: f"(CASE WHEN {i} < rem THEN 0.0 ELSE {CHOOSE.format(f'greatest({i} - 1, rem - 1)', '(rem - 1)')} * s[greatest({i}, 1)] + {CHOOSE.format(f'greatest({i}, rem)', 'rem')} * u END)"
     stay = f"({duck_uniform(str(SEED), 'draw_id', 'i')} * {mass('i')} > {mass('(i - 1)')})"
+    if matrix:
+        u = duck_uniform(str(SEED), "draw_id", "'m'", "i")
+        stay = f"({u} * {mass('i')} <= {mass('i')} - {mass('(i - 1)')})"
     return f"""{TX.replace('WITH', 'WITH RECURSIVE', 1)}, {_pick_sql('s * pow(2, n - 1)')}, {_length_sql()}, {_ARRAYS},
       st AS (SELECT draw_id, dl.tid, CAST(n AS BIGINT) AS i, CAST(l AS BIGINT) AS rem, CAST(0 AS DOUBLE) AS u, items, w, s, CAST([] AS BIGINT[]) AS pat, CAST(0 AS BIGINT) AS seen FROM dl JOIN a ON dl.tid = a.tid
         UNION ALL SELECT draw_id, tid, i - 1, CASE WHEN hit THEN rem - 1 ELSE rem END, CASE WHEN hit THEN u + w[i] ELSE u END, items, w, s, CASE WHEN hit THEN list_append(pat, items[i]) ELSE pat END, seen + 1
@@ -278,7 +324,7 @@ def _with_packed(s: SparkSession, d: str) -> DataFrame:
 query("draw_sequential_basket", _sequential_sql())(
     lambda s, d: (r := jump.sequential_in_sql(_with_packed(s, d), SEED)).select("draw_id", "tid", F.expr(_PATTERN), F.col("length").cast("long").alias("length"), F.col("visited").cast("long").alias("visited"))
 )
-query("draw_matrix_basket", None)(lambda s, d: _drawn(sampler.sample(basket(s, d), K, seed=SEED, method="matrix", pick="prefix")))
+query("draw_matrix_basket", _sequential_sql(True).replace(", seen AS visited", ""))(lambda s, d: _drawn(sampler.sample(basket(s, d), K, seed=SEED, method="matrix", pick="prefix")))
 _SEED_SQL = f"""{TX}, {_pick_sql('s * pow(2, n - 1)')}, {_length_sql()},
   x AS (SELECT draw_id, dl.tid, l, item, -ln({duck_uniform(str(SEED), 'draw_id', 'item', "'seed'")}) / w AS race, {duck_uniform(str(SEED), 'draw_id', 'item', "'rest'")} AS u FROM dl JOIN q ON dl.tid = q.tid),
   f AS (SELECT draw_id, arg_min(item, race) AS first FROM x GROUP BY draw_id),
@@ -302,10 +348,13 @@ query("distinct_patterns", f"WITH drawn AS ({_jump_sql()}) SELECT pattern, count
 query("str_pattern_key", f"WITH drawn AS ({_jump_sql()}) SELECT draw_id, md5(pattern) AS key FROM drawn")(
     lambda s, d: sampler.sample(basket(s, d), K, seed=SEED, pick="prefix", engine="sql").select("draw_id", F.md5(F.array_join(F.array_sort("pattern").cast("array<string>"), ",")).alias("key"))
 )
-query("pick_tx_race", None)(lambda s, d: jump.pick_by_race(model.weights(basket(s, d)), 20, SEED))
+_GUMBEL = duck_uniform(str(SEED), "draw_id", "tid", "'race'")
+query("pick_tx_race", f"{TX}, x AS (SELECT range AS draw_id, tid, n, ln(s) + (n - 1) * ln(2) - ln(-ln({_GUMBEL})) AS key FROM t, range(20)) SELECT draw_id, arg_max(tid, key) AS tid, arg_max(n, key) AS n FROM x GROUP BY draw_id")(
+    lambda s, d: jump.pick_by_race(model.weights(basket(s, d)), 20, SEED).select("draw_id", "tid", F.col("n").cast("long").alias("n"))
+)
 query("reservoir_sample", None)(lambda s, d: jump.pick_by_reservoir(model.weights(basket(s, d)), K, SEED))
-query("draw_jump_words", None)(lambda s, d: sampler.sample(BUILD["words"](s, d), 50, LengthUtility("mean", 1, 10), SEED, pick="prefix").select("draw_id", "tid", "pattern", "length"))
-query("draw_jump_words_unbounded", None)(lambda s, d: sampler.sample(BUILD["words"](s, d), 20, SUM, SEED, pick="prefix").select("draw_id", "tid", "length"))
+query("draw_jump_words", None)(lambda s, d: sampler.sample(BUILD["words"](s, d), K, LengthUtility("mean", 1, 10), SEED, pick="prefix").select("draw_id", "tid", "pattern", "length"))
+query("draw_jump_words_unbounded", None)(lambda s, d: sampler.sample(BUILD["words"](s, d), 200, SUM, SEED, pick="prefix").select("draw_id", "tid", "length"))
 query("udf_exact_big_draw", None)(lambda s, d: _exact_draws(s, d))
 
 
@@ -329,8 +378,8 @@ def _exact_draws(s: SparkSession, d: str) -> DataFrame:
 # --- measures -----------------------------------------------------------------------------------------------------
 
 
-def _numbered_graph(s: SparkSession, d: str) -> DataFrame:
-    return written(kg.numbered(kg.to_qdb(kg.simple_profile(encode.schema_triples(s, d)))).withColumnRenamed("qty", "w"), "graph")
+def _graph(s: SparkSession, d: str, triples: Callable = encode.schema_triples) -> DataFrame:
+    return written(kg.priced(kg.to_qdb(kg.simple_profile(triples(s, d)))), "graph")
 
 
 def _two_samples(q: DataFrame) -> dict[str, DataFrame]:
@@ -338,16 +387,31 @@ def _two_samples(q: DataFrame) -> dict[str, DataFrame]:
     return {"jump": written(sampler.sample(q, K, f, SEED, pick="prefix"), "draws"), "uniform": written(sampler.uniform_patterns(q, K, 1, 5, "length_first", SEED), "draws")}
 
 
-query("representativeness", None)(lambda s, d: metrics.representativeness(q := _numbered_graph(s, d), _two_samples(q)).groupBy("method").agg(F.count("*").alias("distinct"), F.max("times").alias("most"), F.avg("value").alias("mean_value")))
-query("normalised_utility", None)(lambda s, d: metrics.normalised(metrics.representativeness(q := _numbered_graph(s, d), _two_samples(q))).select("method", "pattern", "times", "share"))
-query("ci_summary", None)(lambda s, d: metrics.spread(metrics.normalised(metrics.representativeness(q := _numbered_graph(s, d), _two_samples(q)))))
-query("fit_graph_marginals", None)(lambda s, d: metrics.marginals(sampler.sample(q := _numbered_graph(s, d), K, SUM, SEED, pick="prefix"), model.item_marginals(q)))
+query("representativeness", None)(lambda s, d: metrics.representativeness(q := _graph(s, d), _two_samples(q)).groupBy("method").agg(F.count("*").alias("distinct"), F.max("times").alias("most"), F.avg("value").alias("mean_value")))
+query("normalised_utility", None)(lambda s, d: metrics.normalised(metrics.representativeness(q := _graph(s, d), _two_samples(q))).select("method", "pattern", "times", "share"))
+query("ci_summary", None)(lambda s, d: metrics.spread(metrics.normalised(metrics.representativeness(q := _graph(s, d), _two_samples(q)))))
+query("fit_graph_marginals", None)(lambda s, d: metrics.marginals(sampler.sample(q := _graph(s, d), K, SUM, SEED, pick="prefix"), model.item_marginals(q)))
 query("fit_basket", None)(lambda s, d: metrics.fit(sampler.sample(q := basket(s, d), K, f := LengthUtility("const", 1, 2), SEED, pick="prefix"), mining.target(q, f)))
 query("diversity", f"WITH drawn AS ({_jump_sql()}), c AS (SELECT pattern, count(*) AS t FROM drawn GROUP BY pattern) SELECT CAST(sum(t) AS BIGINT) AS k, count(*) AS distinct, round(ln(sum(t)) - sum(t * ln(t)) / sum(t), 6) AS entropy FROM c".replace(" AS distinct", ' AS "distinct"'))(
     lambda s, d: metrics.diversity(sampler.sample(basket(s, d), K, seed=SEED, pick="prefix", engine="sql")).select("k", "distinct", F.round("entropy", 6).alias("entropy"))
 )
 query("mean_jaccard", None)(lambda s, d: metrics.mean_jaccard(sampler.sample(basket(s, d), K, seed=SEED, pick="prefix")))
-query("draw_costs", None)(lambda s, d: jump.sequential_in_sql(_with_packed(s, d), SEED).agg(F.avg("visited").alias("sequential_uniforms"), F.avg("length").alias("jump_uniforms")))
+
+
+@query("draw_costs", None)
+def _(s: SparkSession, d: str) -> DataFrame:
+    """Uniforms and looks at masses that each method needs for the same picks: one uniform an item and a search, or one a visit."""
+    q = written(encode.supply(s, d), "qdb")
+    one = sampler.Sampler(q, LengthUtility("mean", 1, 10), SEED)
+    rows = jump.grouped(one.picks(K, "prefix"), model.pack(q), "items", "w", "s")
+    by = lambda name, df, uniforms: df.agg(F.lit(name).alias("method"), F.count("*").alias("draws"), F.sum(uniforms).alias("uniforms"), F.sum("visited").alias("looks"))
+    return by("jump", jump.jump_in_arrow(rows, SEED), "length").unionByName(by("sequential", jump.sequential_in_arrow(rows, SEED), "visited"))
+
+
+query("draw_support_basket", None)(lambda s, d: _drawn(sampler.support_sample(basket(s, d), K, 1, 5, SEED)))
+for _name, _triples in (("schema", encode.schema_triples), ("links", encode.link_triples)):
+    query(f"violin_{_name}", None)(lambda s, d, triples=_triples: metrics.violin(metrics.normalised(metrics.representativeness(q := _graph(s, d, triples), _two_samples(q)))))
+query("spread_links", None)(lambda s, d: metrics.spread(metrics.normalised(metrics.representativeness(q := _graph(s, d, encode.link_triples), _two_samples(q)))))
 
 
 # --- knowledge graphs ---------------------------------------------------------------------------------------------
@@ -363,13 +427,44 @@ query("graph_weights", f"WITH q AS ({QDB['graph']}) SELECT tid, count(*) AS n, r
 query("graph_stats", f"WITH t AS ({SCHEMA_TRIPLES}), n AS (SELECT subj AS x FROM t UNION SELECT obj FROM t) SELECT (SELECT count(*) FROM t) AS triples, (SELECT count(*) FROM (SELECT DISTINCT subj, obj FROM t)) AS links, (SELECT count(*) FROM n) AS nodes")(lambda s, d: kg.stats(_SIMPLE(s, d)))
 
 
-def _sub(s: SparkSession, d: str, k: int = 10) -> tuple[DataFrame, DataFrame, DataFrame]:
-    profile = written(_SIMPLE(s, d), "profile")
-    q = written(kg.numbered(kg.to_qdb(profile)).withColumnRenamed("qty", "w"), "graph")
+def _sub(s: SparkSession, d: str, k: int = 10, triples: Callable = encode.schema_triples) -> tuple[DataFrame, DataFrame, DataFrame]:
+    profile = written(kg.simple_profile(triples(s, d)), "profile")
+    q = written(kg.priced(kg.to_qdb(profile)), "graph")
     drawn = written(sampler.sample(q, k, LengthUtility("mean", 1, 5), SEED, pick="prefix").withColumn("all", F.lit(0)), "draws")
     return drawn, *kg.sub_profile(drawn, profile, "all")
 
 
+_PRED = "SELECT 'contains' AS pred, CAST(2 AS BIGINT) AS price UNION ALL SELECT 'partOf', 5"
+query("graph_predicate_weights", f"WITH t AS ({SCHEMA_TRIPLES}), p AS ({_PRED}), x AS (SELECT 'out|' || subj AS tid, weight * coalesce(price, 1) AS w FROM t LEFT JOIN p ON t.pred = p.pred UNION ALL SELECT 'in|' || obj, weight * coalesce(price, 1) FROM t LEFT JOIN p ON t.pred = p.pred) SELECT tid, count(*) AS n, CAST(sum(w) AS BIGINT) AS s FROM x GROUP BY tid")(
+    lambda s, d: model.sizes(kg.priced(kg.to_qdb(_SIMPLE(s, d)), s.sql(_PRED))).select("tid", F.col("n").cast("long").alias("n"), "s")
+)
+query("graph_reweighted", f"WITH t AS ({SCHEMA_TRIPLES}), p AS ({_PRED}), x AS (SELECT 'out|' || subj AS tid, weight * coalesce(price, 1) AS w FROM t LEFT JOIN p ON t.pred = p.pred UNION ALL SELECT 'in|' || obj, weight * coalesce(price, 1) FROM t LEFT JOIN p ON t.pred = p.pred) SELECT tid, round(ln(sum(w)) + (count(*) - 1) * ln(2), 6) AS logw FROM x GROUP BY tid")(
+    lambda s, d: sampler.Sampler(kg.priced(kg.to_qdb(_SIMPLE(s, d)), s.sql("SELECT 'contains' AS pred, 7L AS price")), SUM, SEED).reweight(s.sql(_PRED), key="pred").weights.select("tid", F.round("logw", 6).alias("logw"))
+)
+_CLASSES = "SELECT 'c' || c_custkey AS node, unnest(['Customer', c_mktsegment, 'N' || c_nationkey]) AS type FROM customer UNION ALL SELECT 'o' || o_orderkey, unnest(['Order', o_orderpriority]) FROM orders"
+query("profile_built", f"WITH y AS ({_CLASSES}), k AS (SELECT node, array_to_string(list_sort(list(DISTINCT type)), ',') AS labels FROM y GROUP BY node) SELECT a.labels AS subj, 'places' AS pred, b.labels AS obj, count(*) AS weight FROM orders JOIN k a ON a.node = 'c' || o_custkey JOIN k b ON b.node = 'o' || o_orderkey GROUP BY 1, 3")(
+    lambda s, d: _built(s, d).select(F.array_join("subj", ",").alias("subj"), "pred", F.array_join("obj", ",").alias("obj"), "weight")
+)
+query("profile_merged_nodes", f"WITH y AS ({_CLASSES}), b AS (SELECT type, node, left(node, 1) AS side FROM y WHERE node IN (SELECT 'c' || o_custkey FROM orders) OR left(node, 1) = 'o'), m AS (SELECT side, min(type) AS node FROM b GROUP BY side) SELECT DISTINCT b.type AS label, m.node FROM b JOIN m ON b.side = m.side")(
+    lambda s, d: kg.merge_nodes(_built(s, d))
+)
+query("profile_merged_weights", "SELECT p || '|' || k AS tid, count(*) AS n, CAST(sum(w) AS BIGINT) AS s FROM (SELECT c, o, count(*) AS w FROM (SELECT concat(c_mktsegment, c_nationkey) AS c, o_orderpriority AS o FROM orders JOIN customer ON o_custkey = c_custkey) GROUP BY 1, 2), (SELECT 'out' AS p, (SELECT least(min(c_mktsegment), 'Customer', min('N' || c_nationkey)) FROM orders JOIN customer ON o_custkey = c_custkey) AS k UNION ALL SELECT 'in', (SELECT least(min(o_orderpriority), 'Order') FROM orders)) GROUP BY 1")(
+    lambda s, d: model.sizes(kg.priced(kg.to_qdb(_built(s, d)))).select("tid", F.col("n").cast("long").alias("n"), "s")
+)
+
+
+def _built(s: SparkSession, d: str) -> DataFrame:
+    """A profile built from instances with several classes each: who places which orders."""
+    orders, customers = tables.load(s, d, "orders", "o_orderkey", "o_custkey", "o_orderpriority"), tables.load(s, d, "customer", "c_custkey", "c_mktsegment", "c_nationkey")
+    name = lambda kind, column: F.concat(F.lit(kind), F.col(column).cast("string"))
+    triples = orders.select(name("c", "o_custkey").alias("s"), F.lit("places").alias("p"), name("o", "o_orderkey").alias("o"))
+    types = customers.select(name("c", "c_custkey").alias("node"), F.explode(F.array(F.lit("Customer"), "c_mktsegment", name("N", "c_nationkey"))).alias("type"))
+    types = types.unionByName(orders.select(name("o", "o_orderkey").alias("node"), F.explode(F.array(F.lit("Order"), "o_orderpriority")).alias("type")))
+    return written(kg.build_profile(triples, types), "profile")
+
+
+query("sub_profile_top_nodes", None)(lambda s, d: kg.top_nodes(_sub(s, d)[2]))
+query("sub_profile_links", None)(lambda s, d: kg.shape(*_sub(s, d, triples=encode.link_triples)[1:]))
 query("sub_profile_nodes", None)(lambda s, d: _sub(s, d)[1].select(F.array_join("labels", ",").alias("labels")))
 query("sub_profile_edges", None)(lambda s, d: _sub(s, d)[2].select("src", "pred", "dst", "weight"))
 query("sub_profile_isolated", "SELECT CAST(0 AS BIGINT) AS isolated")(lambda s, d: kg.isolated(*_sub(s, d)[1:]).agg(F.count("*").alias("isolated")))
@@ -378,6 +473,28 @@ query("sub_profile_json", None)(lambda s, d: kg.export(*_sub(s, d)[1:]))
 query("sub_profile_dot", None)(lambda s, d: kg.export(*_sub(s, d)[1:], how="dot"))
 
 
+# --- measured experiments: few repeats here, more in bench.py ------------------------------------------------------
+
+_few = lambda s, d: {"basket": basket(s, d), "supply": encode.supply(s, d), "census": encode.census(s, d)}
+query("exp_sweep", None)(lambda s, d: experiments.sweep({"basket": basket(s, d)}, (5, None), K, 1))
+query("exp_speed_up", None)(lambda s, d: experiments.speed_up(experiments.sweep({"basket": basket(s, d)}, (10,), K, 1, ("jump", "matrix"))))
+query("exp_triangle_ways", None)(lambda s, d: experiments.recursion_against_closed(basket(s, d), 1))
+query("exp_sizes", None)(lambda s, d: experiments.sizes_on_disk(_few(s, d)))
+
+
+@query("exp_response", None)
+def _(s: SparkSession, d: str) -> DataFrame:
+    """(patterns, seconds): from new predicate prices to a sub-profile, the graph's database being there."""
+    profile = written(_SIMPLE(s, d), "profile")
+    one = sampler.Sampler(written(kg.priced(kg.to_qdb(profile)), "graph"), LengthUtility("mean", 1, 5), SEED)
+
+    def draw() -> tuple[DataFrame, DataFrame]:
+        drawn = one.reweight(s.sql(_PRED), key="pred").sample(10, pick="prefix").withColumn("all", F.lit(0))
+        return kg.sub_profile(written(drawn, "draws"), profile, "all")
+
+    return s.createDataFrame([(10, experiments.response(draw, 1)[0])], "patterns int, seconds double")
+
+
 # --- worked example -----------------------------------------------------------------------------------------------
 
 _TOY = "VALUES (1, 1, 44), (1, 2, 12), (1, 3, 75), (1, 4, 34), (2, 1, 44), (3, 2, 12), (4, 3, 75), (4, 4, 34)"
@@ -385,5 +502,6 @@ query("toy_weights", "SELECT * FROM (VALUES (1, 1320.0), (2, 44.0), (3, 12.0), (
 query("toy_patterns", "WITH RECURSIVE q AS (SELECT * FROM (" + _TOY + ") v(tid, item, w)), o AS (SELECT tid, [item] AS pattern, item AS last, w AS u FROM q UNION ALL SELECT o.tid, list_append(pattern, q.item), q.item, u + q.w FROM o JOIN q ON o.tid = q.tid AND q.item > o.last) SELECT array_to_string(pattern, ',') AS pattern, CAST(sum(u) AS BIGINT) AS utility FROM o GROUP BY o.pattern")(
     lambda s, d: mining.enumerate_patterns(encode.toy(s), 1, 4).select(F.expr(_PATTERN), "utility")
 )
-query("toy_graph", None)(lambda s, d: kg.to_qdb(kg.toy_profile(s)))
+_TOY_GRAPH = "VALUES ('out|C1', 1, 22, 'P1'), ('in|C1', 1, 22, 'P1'), ('out|C1', 2, 12, 'P2'), ('in|C4', 2, 12, 'P2'), ('out|C1', 3, 25, 'P3'), ('in|e1', 3, 25, 'P3'), ('out|C1', 4, 34, 'P3'), ('in|e1', 4, 34, 'P3')"
+query("toy_graph", f"SELECT tid, CAST(item AS BIGINT) AS item, CAST(qty AS BIGINT) AS qty, pred FROM ({_TOY_GRAPH}) v(tid, item, qty, pred)")(lambda s, d: kg.to_qdb(kg.toy_profile(s)))
 query("coefficients", "SELECT n, pow(2, n - 1) AS c FROM range(1, 31) r(n)")(lambda s, d: s.createDataFrame([(n, float(coefficient(n, SUM))) for n in range(1, 31)], "n long, c double"))

@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from gleaner.catalogue import _PREFIX, K, QDB, SEED, TX, basket, query
+from gleaner.catalogue import _PREFIX, CHOOSE, K, QDB, SEED, TX, _jump_sql, _uniform_sql, basket, query
 from gleaner.functions import chance
 from gleaner.operators import encode, mining, model, sampler
 from gleaner.sources import tables
@@ -133,9 +133,13 @@ def _(s: SparkSession, d: str) -> DataFrame:
     return price.unionByName(click).withColumn("price", last).where("late = 1").select("event_id", "price")
 
 
-query("join_lateral_topitems", f"WITH q AS ({QDB['shopper']}) SELECT tid, item, w FROM (SELECT *, row_number() OVER (PARTITION BY tid ORDER BY w DESC, item) AS r FROM q) WHERE r <= 3")(
-    lambda s, d: encode.shopper(s, d).withColumn("r", F.row_number().over(Window.partitionBy("tid").orderBy(F.desc("w"), "item"))).where("r <= 3").select("tid", "item", "w")
-)
+
+
+@query("join_lateral_topitems", f"WITH q AS ({QDB['shopper']}) SELECT tid, item, w FROM (SELECT *, row_number() OVER (PARTITION BY tid ORDER BY w DESC, item) AS r FROM q) WHERE r <= 3")
+def _(s: SparkSession, d: str) -> DataFrame:
+    encode.shopper(s, d).createOrReplaceTempView("gleaner_shopper")
+    return s.sql("SELECT t.tid, x.item, x.w FROM (SELECT DISTINCT tid FROM gleaner_shopper) t, LATERAL (SELECT item, w FROM gleaner_shopper q WHERE q.tid = t.tid ORDER BY w DESC, item LIMIT 3) x")
+
 
 # --- aggregates ---------------------------------------------------------------------------------------------------
 
@@ -158,9 +162,11 @@ def _(s: SparkSession, d: str) -> DataFrame:
     return s.sql("SELECT pred, obj, sum(weight) AS weight FROM gleaner_triples GROUP BY GROUPING SETS ((pred), (obj), ())")
 
 
-query("agg_pivot_lengths", f"{TX} SELECT tid % 4 AS part, count(*) FILTER (n = 1) AS \"1\", count(*) FILTER (n = 2) AS \"2\", count(*) FILTER (n = 3) AS \"3\" FROM t GROUP BY 1")(
-    lambda s, d: model.sizes(basket(s, d)).groupBy(F.pmod("tid", F.lit(4)).alias("part")).pivot("n", [1, 2, 3]).agg(F.count("tid")).na.fill(0)
-)
+query("agg_pivot_lengths", f"WITH j AS ({_jump_sql()}), e AS ({_uniform_sql('CAST(1 AS DOUBLE)')}), x AS (SELECT length, 'jump' AS m FROM j UNION ALL SELECT length, 'uniform' FROM e) SELECT length, count(*) FILTER (m = 'jump') AS jump, count(*) FILTER (m = 'uniform') AS uniform FROM x GROUP BY length")(
+    lambda s, d: (sampler.sample(basket(s, d), K, seed=SEED, pick="prefix", engine="sql").select("length", F.lit("jump").alias("m")))
+    .unionByName(sampler.uniform_patterns(basket(s, d), K, 1, 5, "length_first", SEED).select("length", F.lit("uniform").alias("m")))
+    .groupBy(F.col("length").cast("long").alias("length")).pivot("m", ["jump", "uniform"]).agg(F.count(F.lit(1))).na.fill(0)
+)
 query("agg_percentiles", f"{TX} SELECT n, quantile_cont(s, 0.5) AS median, quantile_cont(s, 0.25) AS low FROM t GROUP BY n")(
     lambda s, d: model.sizes(basket(s, d)).groupBy(F.col("n").cast("long").alias("n")).agg(F.percentile("s", 0.5).alias("median"), F.percentile("s", 0.25).alias("low"))
 )
@@ -222,21 +228,24 @@ query("json_props_key", "SELECT CAST(json_extract_string(props, '$.k') AS BIGINT
 query("vec_positive_dims", "SELECT vec_id AS tid, len(list_filter(embedding, lambda x: x > 0)) AS n FROM embeddings")(lambda s, d: model.sizes(encode.vector(s, d)).select("tid", F.col("n").cast("long").alias("n")))
 
 
-@query("udtf_subsets", None)
+@query("udtf_subsets", f"{TX} SELECT tid, l AS length, CAST({CHOOSE.format('n', 'l')} AS BIGINT) AS n FROM t, range(1, 4) r(l) WHERE l <= n")
 def _(s: SparkSession, d: str) -> DataFrame:
     chance.register(s)
     model.pack(basket(s, d)).select("tid", "items").createOrReplaceTempView("gleaner_packed")
-    return s.sql("SELECT tid, length, count(*) AS n FROM gleaner_packed, LATERAL subsets(items, 1, 3) GROUP BY tid, length")
+    return s.sql("SELECT tid, cast(length AS BIGINT) AS length, count(*) AS n FROM gleaner_packed, LATERAL subsets(items, 1, 3) GROUP BY tid, length")
 
 
 @query("udtf_draws", None)
 def _(s: SparkSession, d: str) -> DataFrame:
     chance.register(s)
-    model.pack(basket(s, d)).where("n >= 3").createOrReplaceTempView("gleaner_long")
+    model.pack(basket(s, d)).createOrReplaceTempView("gleaner_long")
     return s.sql("SELECT tid, draw, pattern FROM gleaner_long, LATERAL draws(tid, items, w, 2)")
 
 
-query("reweight_redraw", None)(lambda s, d: sampler.Sampler(basket(s, d), seed=SEED).reweight(prices=tables.load(s, d, "part").select(F.col("p_partkey").alias("item"), F.col("p_size").cast("long").alias("price"))).sample(K, pick="prefix"))
+query("reweight_redraw", _jump_sql().replace(QDB["basket"], "SELECT l_orderkey AS tid, l_partkey AS item, CAST(sum(l_quantity) AS BIGINT) * p_size AS w FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY l_orderkey, l_partkey, p_size", 1))(
+    lambda s, d: sampler.Sampler(encode.basket(s, d), seed=SEED).reweight(prices=tables.load(s, d, "part").select(F.col("p_partkey").alias("item"), F.col("p_size").cast("long").alias("price"))).sample(K, pick="prefix", engine="sql")
+    .select("draw_id", "tid", F.expr("array_join(cast(pattern as array<string>), ',') AS pattern"), F.col("length").cast("long").alias("length"))
+)
 query("ablate_methods", None)(lambda s, d: _methods(s, d))
 
 
@@ -282,10 +291,63 @@ def _(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(k, t, n) for k, (t, n) in sorted(held.slots.items())], "slot long, tid long, n int")
 
 
+_DAY = "SELECT user_id, date_trunc('day', ts){0} AS start, event_type AS item, round(sum(value), 4) AS w FROM events{1} WHERE value > 0 GROUP BY 1, 2, 3"
+_flat = lambda df: df.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "item", F.round("w", 4).alias("w"))
+query("stream_thinned", f"SELECT event_id FROM events WHERE value > 0 AND {chance.duck_uniform(str(SEED), 'event_id')} < 0.25")(lambda s, d: st.replay(st.thinned(_stream(s, d), 0.25, SEED).select("event_id")))
+query("replay_tumbling", _DAY.format("", ""))(lambda s, d: _flat(st.replay(st.windowed(_stream(s, d), "tumbling"), "complete")))
+query("replay_sliding", _DAY.format(" - INTERVAL 1 DAY * back", ", range(2) r(back)"))(lambda s, d: _flat(st.replay(st.windowed(_stream(s, d), "sliding", "2 days", "1 day"), "complete")))
+query("stream_join_click_purchase", "SELECT c.user_id, c.event_id, p.event_id AS other_id FROM events c JOIN events p ON c.user_id = p.user_id AND p.ts > c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR WHERE c.event_type = 'click' AND p.event_type = 'purchase' AND c.value > 0 AND p.value > 0")(
+    lambda s, d: st.replay(st.pairs_within(*(_stream(s, d).where(f"event_type = '{k}'") for k in ("click", "purchase"))))
+)
+
+
+@query("stream_late_rows", None)
+def _(s: SparkSession, d: str) -> DataFrame:
+    """(late, kept): events of later days first, all others in a second batch, when the watermark has passed most of them."""
+    rows = s.read.parquet(f"{d}/events.parquet").select("event_id", "ts", "user_id", "event_type", "value", "props")
+    middle = rows.agg(F.percentile(F.unix_seconds(F.col("ts").cast("timestamp")), 0.5)).first()[0]
+    path = f"{shared_dir(s)}/late-{uuid.uuid4().hex}"
+    late = F.unix_seconds(F.col("ts").cast("timestamp")) < middle
+    for part, keep in enumerate((~late, late)):
+        rows.where(keep).coalesce(1).write.mode("append").parquet(path)
+    stream = st.events(s, path, "1 hour", files=1)
+    out, dropped = st.replay_counted(stream.select("event_id", "at"))
+    return out.agg(F.lit(dropped).cast("long").alias("late"), F.count("*").alias("kept"))
+
+
+@query("stream_stateful_reservoir", None)
+def _(s: SparkSession, d: str) -> DataFrame:
+    """Closed days of a stream are written as they close; a second stream keeps slots of them in its state."""
+    days = st.replay(st.windowed(_stream(s, d), "tumbling"))
+    path = f"{shared_dir(s)}/days-{uuid.uuid4().hex}"
+    model.weights(days.select(F.xxhash64("user_id", "start").alias("tid"), "item", "w")).select("tid", "n", "logw").write.parquet(path)
+    seen: list[str] = []
+
+    def each(batch: DataFrame, number: int) -> None:
+        batch.withColumn("batch", F.lit(number)).write.mode("overwrite").parquet(f"{path}-slots/{number}")
+        seen.append(f"{path}-slots/{number}")
+
+    st.replay(st.stored_reservoir(s.readStream.schema("tid long, n int, logw double").parquet(path), 50, SEED), "update", each)
+    slots = s.read.parquet(*seen)
+    newest = slots.groupBy("block", "slot").agg(F.max_by(F.struct("tid", "n", "log_total"), "batch").alias("x")).select("block", "slot", "x.*")
+    return st.merged_slots(newest, SEED)
+
+
+@query("udaf_reservoir", None)
+def _(s: SparkSession, d: str) -> DataFrame:
+    """One transaction in proportion to weight by a grouped aggregate in two levels: of blocks, then of their winners."""
+    pick, total = chance.weighted_pick()
+    w = model.weights(basket(s, d)).select(F.pmod("tid", F.lit(16)).alias("block"), "tid", "logw")
+    level = w.groupBy("block").agg(pick("tid", "logw").alias("tid"), total("logw").alias("logw"))  # 16 rows
+    return level.agg(pick("tid", "logw").alias("tid"))
+
+
 query("tumbling_tx", _closed("day", "date_trunc('day', ts)"))(
     lambda s, d: tables.load(s, d, "events").where("value > 0").groupBy("user_id", F.window(F.col("ts").cast("timestamp"), "1 day").start.cast("timestamp_ntz").alias("start"), F.col("event_type").alias("item")).agg(F.round(F.sum("value"), 4).alias("w"))
 )
-query("session_tx", "WITH e AS (SELECT user_id, ts, value, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WHERE value > 0), g AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e) SELECT user_id, count(*) AS n, round(sum(value), 4) AS s FROM g GROUP BY user_id, k")(
-    lambda s, d: tables.load(s, d, "events").where("value > 0").groupBy("user_id", F.session_window(F.col("ts").cast("timestamp"), "6 hours")).agg(F.count("*").alias("n"), F.round(F.sum("value"), 4).alias("s")).select("user_id", "n", "s")
+query("session_tx", "WITH e AS (SELECT user_id, ts, event_type, value, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WHERE value > 0), g AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e) SELECT user_id, count(DISTINCT event_type) AS n, round(sum(value), 4) AS s FROM g GROUP BY user_id, k")(
+    lambda s, d: tables.load(s, d, "events").where("value > 0").groupBy("user_id", F.session_window(F.col("ts").cast("timestamp"), "6 hours")).agg(F.size(F.collect_set("event_type")).cast("long").alias("n"), F.round(F.sum("value"), 4).alias("s")).select("user_id", "n", "s")
+)
+query("sliding_tx", "SELECT user_id, date_trunc('day', ts) - INTERVAL 1 DAY * back AS start, count(DISTINCT event_type) AS n, round(sum(value), 4) AS s FROM events, range(2) r(back) WHERE value > 0 GROUP BY 1, 2")(
+    lambda s, d: tables.load(s, d, "events").where("value > 0").groupBy("user_id", F.window(F.col("ts").cast("timestamp"), "2 days", "1 day").start.cast("timestamp_ntz").alias("start")).agg(F.size(F.collect_set("event_type")).cast("long").alias("n"), F.round(F.sum("value"), 4).alias("s"))
 )
-query("sliding_tx", None)(lambda s, d: tables.load(s, d, "events").where("value > 0").groupBy("user_id", F.window(F.col("ts").cast("timestamp"), "2 days", "1 day").start.alias("start")).agg(F.count("*").alias("n")))

@@ -35,6 +35,28 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("draws", draws())
 
 
+def weighted_pick():
+    """Two grouped aggregates: (key, log weight) -> one key in proportion to weight, the same for the same rows in any order;
+    and log weight -> log of the total."""
+    import numpy as np
+    import pandas as pd
+    from pyspark.sql.functions import pandas_udf
+
+    def pick(key: pd.Series, logw: pd.Series) -> int:
+        order = np.argsort(key.to_numpy(), kind="stable")
+        run = np.cumsum(np.exp(logw.to_numpy()[order] - logw.max()))
+        x = uniform_value("pick", key.iloc[order[0]], len(key)) * run[-1]
+        return int(key.iloc[order[min(int(np.searchsorted(run, x)), len(run) - 1)]])
+
+    pick.__annotations__ = {"key": pd.Series, "logw": pd.Series, "return": int}
+
+    def total(logw: pd.Series) -> float:
+        return float(np.logaddexp.reduce(np.sort(logw.to_numpy())))
+
+    total.__annotations__ = {"logw": pd.Series, "return": float}
+    return pandas_udf(pick, "long"), pandas_udf(total, "double")
+
+
 def subsets():
     from itertools import combinations
 

@@ -7,17 +7,31 @@ around its smallest node. A round's edges are written to the shared folder, so l
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from gleaner.sources.shared import written
+from gleaner.sources.shared import dropped, written
 
+#: Edges below which hubs are not looked for.
+SMALL = 20_000
 
-def _hand_over(pairs: DataFrame, larger: bool) -> DataFrame:
+#: A key is heavy if it has more than this share of all rows, so there are fewer heavy keys than its inverse.
+HEAVY = 1 / 1000
+
+
+def spread_join(rows: DataFrame, side: DataFrame, key: list[str], heavy: Column) -> DataFrame:
+    """``rows`` joined to ``side`` (one row a key). Heavy keys of ``side``, at most 1 / HEAVY by the way they are chosen, are
+    broadcast, so that no task gets all rows of such a key; the others are joined by shuffle."""
+    hot = F.broadcast(side.where(heavy))
+    rest = rows.join(F.broadcast(side.where(heavy).select(*key)), key, "left_anti")
+    return rows.join(hot, key).unionByName(rest.join(side.where(~heavy), key))
+
+
+def _hand_over(pairs: DataFrame, larger: bool, many: int) -> DataFrame:
     """Edges (u, v), u > v. Links each node's larger (or not larger) neighbours to the least of its neighbourhood."""
     both = pairs.unionByName(pairs.select(F.col("v").alias("u"), F.col("u").alias("v"))) if larger else pairs
-    least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    moved = both.join(least, "u")
+    least = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("degree")).select("u", F.least("u", "m").alias("m"), "degree")
+    moved = spread_join(both, least, ["u"], F.col("degree") > many) if many else both.join(least, "u")
     if larger:
         moved = moved.where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
     else:
@@ -28,17 +42,23 @@ def _hand_over(pairs: DataFrame, larger: bool) -> DataFrame:
 def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -> DataFrame:
     """(node, component) for every node on an edge; ``component`` is the smallest node that it reaches.
 
-    Nodes must be comparable and not null; loops and repeated edges are allowed; an empty table gives an empty one.
+    Nodes must be comparable and not null; loops and repeated edges are allowed; an empty table gives an empty one. Hubs,
+    nodes with more than ``HEAVY`` of all edge ends, are spread over tasks. Edges of earlier rounds are deleted.
     """
     pairs = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct()
     pairs = written(pairs, "edges")
-    state = None
+    count, state = pairs.count(), None
+    if not count:
+        return pairs.select(F.col("u").alias("node"), F.col("v").alias("component"))
     for _ in range(rounds):
-        pairs = written(_hand_over(_hand_over(pairs, True), False), "edges")
+        # A small table has no task that is too large, and needs no second way.
+        old, many = pairs, int(2 * count * HEAVY) if count > SMALL else 0
+        pairs = written(_hand_over(_hand_over(pairs, True, many), False, many), "edges")
         seen = pairs.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
+        dropped(old)
         if tuple(seen) == state:
             break
-        state = tuple(seen)
+        state, count = tuple(seen), seen[0]
     else:
         raise RuntimeError(f"components did not settle in {rounds} rounds")
     stars = pairs.groupBy("u").agg(F.min("v").alias("component")).select(F.col("u").alias("node"), "component")

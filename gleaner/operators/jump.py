@@ -4,55 +4,66 @@ from __future__ import annotations
 
 import bisect
 import math
+import zlib
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from gleaner.functions.chance import uniform
 from gleaner.operators.lengths import LengthUtility, length_law
-from gleaner.operators.model import binomials
+from gleaner.operators.model import known_sizes
+from gleaner.sources.shared import written
 
-BUCKETS, SQL_MOST = 256, 60
+#: Least and most buckets, transactions a bucket is meant to have, longest transaction for nested expressions, draws sent with one copy of a transaction.
+BUCKETS, MOST_BUCKETS, PER_BUCKET, SQL_MOST, TOGETHER = 256, 1 << 20, 4096, 60, 64
 
 
 # --- transactions -------------------------------------------------------------------------------------------------
 
 
-def _bucket(buckets: int):
-    return F.pmod(F.col("tid").cast("long"), F.lit(buckets)).cast("int")
+def _bucket(weights: DataFrame, buckets: int) -> Column:
+    whole = dict(weights.dtypes)["tid"] in ("bigint", "int", "smallint", "tinyint")
+    return F.pmod(F.col("tid").cast("long") if whole else F.xxhash64("tid"), F.lit(buckets)).cast("int")
 
 
-def pick_by_prefix(weights: DataFrame, k: int, seed: int = 0, buckets: int = BUCKETS) -> DataFrame:
+def pick_by_prefix(weights: DataFrame, k: int, seed: int = 0, buckets: int | None = None) -> DataFrame:
     """(draw_id, tid, n): k transactions in proportion to weight, with replacement, by two searches in running totals.
 
-    ``weights`` are relative: exp(logw - top). Totals of buckets come to the driver (one number each), draws are placed in
-    buckets, and running sums are made inside buckets that were hit only: no window sees all transactions.
+    Buckets grow in number with the transactions, so each stays small. Their totals come to the driver (one number a
+    bucket, ``MOST_BUCKETS`` at most); draws find their bucket by binary search there, and are then sorted in among the running
+    totals of the buckets hit, where each takes the transaction that follows it: no draw meets more than one row.
     """
     spark = weights.sparkSession
-    top = weights.agg(F.max("logw")).first()[0]
-    if top is None or k <= 0:
-        return spark.createDataFrame([], "draw_id long, tid long, n int")
-    exact = F.coalesce(F.col("w").cast("double"), F.lit(0.0)) if top < 36 else F.exp(F.col("logw") - top)
-    rows = weights.select("tid", "n", exact.alias("v"), _bucket(buckets).alias("bucket"))
+    kind = dict(weights.dtypes)["tid"]
+    row = weights.agg(F.max("logw").alias("top"), F.count("*").alias("rows")).first()
+    if row.top is None or k <= 0:
+        return spark.createDataFrame([], f"draw_id long, tid {kind}, n int")
+    buckets = buckets or min(MOST_BUCKETS, max(BUCKETS, row.rows // PER_BUCKET))
+    exact = F.coalesce(F.col("w").cast("double"), F.lit(0.0)) if row.top < 36 else F.exp(F.col("logw") - row.top)
+    rows = weights.select("tid", "n", exact.alias("v"), _bucket(weights, buckets).alias("bucket"))
     totals = sorted((r.bucket, r.z) for r in rows.groupBy("bucket").agg(F.sum("v").alias("z")).collect() if r.z > 0)
-    run, ends = 0.0, []
-    for _, z in totals:
-        run += z
-        ends.append(run)
-    array = lambda xs, kind: F.array(*[F.lit(x).cast(kind) for x in xs])
-    table = spark.createDataFrame([(1,)], "one int").select(array(ends, "double").alias("ends"), array([b for b, _ in totals], "int").alias("ids"), array([z for _, z in totals], "double").alias("zs"))
-    draws = spark.range(k).withColumnRenamed("id", "draw_id").crossJoin(F.broadcast(table))  # one row
-    draws = draws.withColumn("x", uniform(seed, F.col("draw_id"), "bucket") * run)
-    draws = draws.withColumn("at", F.least(F.expr("size(filter(ends, e -> e < x))"), F.lit(len(totals) - 1)))
-    draws = draws.select("draw_id", F.expr("get(ids, at)").alias("bucket"), (uniform(seed, F.col("draw_id"), "tx") * F.expr("get(zs, at)")).alias("y"))
-    hit = rows.join(F.broadcast(draws.select("bucket").distinct()), "bucket", "left_semi")  # at most `buckets` rows
-    run_to = F.sum("v").over(Window.partitionBy("bucket").orderBy("tid").rowsBetween(Window.unboundedPreceding, 0))
-    last = F.lead("tid").over(Window.partitionBy("bucket").orderBy("tid")).isNull()
-    spans = hit.withColumn("hi", run_to).withColumn("lo", F.col("hi") - F.col("v")).withColumn("last", last)
-    inside = (F.col("y") > F.col("lo")) & ((F.col("y") <= F.col("hi")) | F.col("last"))
-    return draws.join(spans, "bucket").where(inside).groupBy("draw_id").agg(F.min(F.struct("tid", "n")).alias("t")).select("draw_id", "t.tid", "t.n")
+    ids, zs = (np.array([t[i] for t in totals]) for i in (0, 1))
+    ends = np.cumsum(zs)
+    draws = spark.range(k).select(F.col("id").alias("draw_id"), (uniform(seed, F.col("id"), "bucket") * float(ends[-1])).alias("x"), uniform(seed, F.col("id"), "tx").alias("y"))
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = np.minimum(np.searchsorted(ends, batch.column("x").to_numpy()), len(ends) - 1)
+            yield pa.RecordBatch.from_arrays([batch.column("draw_id"), pa.array(ids[at], pa.int32()), pa.array(batch.column("y").to_numpy() * zs[at])], ["draw_id", "bucket", "y"])
+
+    draws = draws.mapInArrow(place, "draw_id long, bucket int, y double")
+    hit = rows.join(F.broadcast(draws.select("bucket").distinct()), "bucket", "left_semi")  # at most one row a bucket
+    in_order = Window.partitionBy("bucket").orderBy("tid")
+    end = F.when(F.lead("tid").over(in_order).isNull(), F.lit(math.inf)).otherwise(F.sum("v").over(in_order.rowsBetween(Window.unboundedPreceding, 0)))
+    spans = hit.select("bucket", end.alias("at"), F.struct("tid", "n").alias("t"), F.lit(None).cast("long").alias("draw_id"), "tid")
+    points = draws.select("bucket", F.col("y").alias("at"), F.lit(None).cast(spans.schema["t"].dataType).alias("t"), "draw_id", F.lit(None).cast(kind).alias("tid"))
+    # From the largest total down, the last transaction met before a draw is the first whose total reaches it.
+    down = Window.partitionBy("bucket").orderBy(F.desc("at"), F.desc_nulls_last("tid")).rowsBetween(Window.unboundedPreceding, 0)
+    merged = spans.unionByName(points).withColumn("t", F.last("t", ignorenulls=True).over(down))
+    return merged.where("draw_id is not null").select("draw_id", "t.tid", "t.n")
 
 
 def pick_by_race(weights: DataFrame, k: int, seed: int = 0) -> DataFrame:
@@ -63,34 +74,39 @@ def pick_by_race(weights: DataFrame, k: int, seed: int = 0) -> DataFrame:
 
 
 def pick_by_reservoir(weights: DataFrame, k: int, seed: int = 0) -> DataFrame:
-    """The same law in one pass: each partition keeps k winners and its total, and winners of partitions meet again."""
-    import numpy as np
+    """The same law in one pass: each partition keeps k winners and its total, and winners of partitions meet again.
+
+    Rows are dealt and sorted by tid first, so that a task that runs again throws the same dice.
+    """
+    kind = dict(weights.dtypes)["tid"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        win, total, size, dice = np.zeros(k, dtype=np.int64), -math.inf, np.zeros(k, dtype=np.int32), None
+        win, total, size, dice = np.empty(k, dtype=object), -math.inf, np.zeros(k, dtype=np.int32), None
         for batch in batches:
-            tid, n, logw = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("tid", "n", "logw"))
-            if not len(tid):
+            if not batch.num_rows:
                 continue
-            dice = dice or np.random.default_rng([seed, int(tid[0]) & 0xFFFFFFFF, len(tid)])
+            tid = np.array(batch.column("tid").to_pylist(), dtype=object)
+            n, logw = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("n", "logw"))
+            dice = dice or np.random.default_rng([seed, zlib.crc32(str(tid[0]).encode())])
             top = float(logw.max())
             run_to = np.cumsum(np.exp(logw - top))
-            at = np.searchsorted(run_to, dice.random(k) * run_to[-1])
+            at = np.minimum(np.searchsorted(run_to, dice.random(k) * run_to[-1]), len(run_to) - 1)
             own = top + math.log(run_to[-1])
             both = np.logaddexp(total, own)
             new = dice.random(k) < math.exp(own - both)
             win[new], size[new], total = tid[at][new], n[at][new], both
         if total > -math.inf:
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(k)), pa.array(win), pa.array(size), pa.array(np.full(k, total))], ["draw_id", "tid", "n", "logw"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(k)), pa.array(win.tolist()), pa.array(size), pa.array(np.full(k, total))], ["draw_id", "tid", "n", "logw"])
 
-    parts = weights.select("tid", "n", "logw").mapInArrow(run, "draw_id long, tid long, n int, logw double")
+    parts = weights.select("tid", "n", "logw").repartition("tid").sortWithinPartitions("tid").mapInArrow(run, f"draw_id long, tid {kind}, n int, logw double")
     key = F.col("logw") - F.ln(-F.ln(uniform(seed, F.col("draw_id"), F.col("tid"), F.col("logw"), "merge")))
     return parts.groupBy("draw_id").agg(F.max_by(F.struct("tid", "n"), key).alias("t")).select("draw_id", "t.tid", "t.n")
 
 
 def draw_length(picks: DataFrame, f: LengthUtility, seed: int = 0) -> DataFrame:
-    """``picks`` with the length ``l`` of each pattern; the law depends on n alone, so one small table serves all."""
-    law = length_law(picks.sparkSession, [r.n for r in picks.select("n").distinct().collect()], f, tail=1e-18)
+    """``picks`` with the length ``l`` of each pattern; the law depends on n alone, so one small table serves all. Written once."""
+    picks = written(picks, "picks")
+    law = length_law(picks.sparkSession, known_sizes(picks), f, tail=1e-18)
     x = uniform(seed, F.col("draw_id"), "length")
     return picks.withColumn("x", x).join(F.broadcast(law), "n").where("x > lo and x <= hi").drop("x", "lo", "hi")
 
@@ -103,8 +119,11 @@ def _mass(l: str, i: str, u: str) -> str:  # noqa: E741
     return f"(if({i} < {l}, 0D, get(binom, greatest({i} - 1, 0) * 64 + {l} - 1) * get(s, {i} - 1) + get(binom, {i} * 64 + {l}) * {u}))"
 
 
-def _table(spark: SparkSession) -> DataFrame:
-    return spark.createDataFrame([([float(x) for x in binomials(63)],)], "binom array<double>")
+def _guarded(rows: DataFrame) -> DataFrame:
+    """``rows`` with binomials up to ``SQL_MOST``; a longer transaction ends the query rather than being drawn from wrongly."""
+    table = rows.sparkSession.createDataFrame([([float(math.comb(i, x)) for i in range(64) for x in range(64)],)], "binom array<double>")
+    short = F.when(F.size("items") > SQL_MOST, F.raise_error(F.lit(f"a transaction has more than {SQL_MOST} items: draw in Arrow"))).otherwise(F.col("items"))
+    return rows.withColumn("items", short).crossJoin(F.broadcast(table))  # one row
 
 
 def _uniform_sql(step: str, seed: int) -> str:
@@ -126,7 +145,7 @@ def jump_in_sql(rows: DataFrame, seed: int = 0) -> DataFrame:
         f"get(transform(transform(array({_uniform_sql('step', seed)} * {_mass('st.rem', 'st.j', 'st.u')}), goal -> {search}), "
         "i -> named_struct('j', i - 1, 'rem', st.rem - 1, 'u', st.u + get(w, i - 1), 'pat', concat(st.pat, array(i)))), 0)).pat"
     )
-    full = rows.crossJoin(F.broadcast(_table(rows.sparkSession)))  # one row
+    full = _guarded(rows)
     got = full.select("draw_id", "tid", F.expr(f"array_sort(transform({pick}, i -> get(items, i - 1)))").alias("pattern"))
     return got.withColumn("length", F.size("pattern"))
 
@@ -139,11 +158,16 @@ def sequential_in_sql(rows: DataFrame, seed: int = 0) -> DataFrame:
         f"if({stay}, named_struct('rem', st.rem - 1, 'u', st.u + get(w, i - 1), 'pat', concat(st.pat, array(i)), 'seen', st.seen + 1), "
         "named_struct('rem', st.rem, 'u', st.u, 'pat', st.pat, 'seen', st.seen + 1))))"
     )
-    full = rows.crossJoin(F.broadcast(_table(rows.sparkSession)))  # one row
+    full = _guarded(rows)
     got = full.select("draw_id", "tid", "items", F.expr(walk).alias("st"))
     return got.select("draw_id", "tid", F.expr("array_sort(transform(st.pat, i -> get(items, i - 1)))").alias("pattern"), F.col("st.seen").alias("visited")).withColumn("length", F.size("pattern"))
 
 
+def whole_mass(s: list[int]) -> Callable[[int, int, int], int]:
+    """The prefix mass of (l, i, u) in whole numbers of any size; ``s``: prefix sums from 0."""
+    return lambda l, i, u: math.comb(i - 1, l - 1) * s[i] + math.comb(i, l) * u if i >= l else 0  # noqa: E741
+
+
 def draw_exact(items: list, w: list, length: int | None, chance: Callable[[int], float]) -> list:
     """One pattern with whole numbers of any size; ``length`` None: drawn too, for summed utility without bounds."""
     order = sorted(range(len(items)), key=lambda i: items[i])
@@ -156,7 +180,7 @@ def draw_exact(items: list, w: list, length: int | None, chance: Callable[[int],
         while length < n and (not length or run <= goal):
             length += 1
             run += math.comb(n - 1, length - 1) << 53
-    mass = lambda l, i, u: math.comb(i - 1, l - 1) * s[i] + math.comb(i, l) * u if i >= l else 0  # noqa: E731, E741
+    mass = whole_mass(s)
     out, j, u = [], n, 0
     for left in range(length, 0, -1):
         goal = int(chance(length - left + 1) * 2**53) * mass(left, j, u)
@@ -167,36 +191,103 @@ def draw_exact(items: list, w: list, length: int | None, chance: Callable[[int],
     return sorted(out)
 
 
-def jump_in_arrow(rows: DataFrame, seed: int = 0, item: str = "long") -> DataFrame:
-    """The same for transactions of any length: prefix masses in the log domain, in Arrow batches over picked rows only."""
-    from gleaner.functions.chance import uniform_value
+def grouped(picks: DataFrame, packed: DataFrame, *columns: str) -> DataFrame:
+    """(tid, draws array<struct(draw_id, l)>, columns): a transaction stands once for every ``TOGETHER`` or so of its draws."""
+    salts = F.ceil(F.count("*").over(Window.partitionBy("tid")) / TOGETHER)
+    salted = picks.withColumn("salt", F.pmod(F.xxhash64("draw_id"), salts))
+    rows = salted.groupBy("tid", "salt").agg(F.sort_array(F.collect_list(F.struct("draw_id", "l"))).alias("draws"))
+    return rows.join(packed.select("tid", *columns), "tid").select("tid", "draws", *columns)
 
-    def one(draw: int, length: int, s: list[float], w: list[float]) -> list[int]:
-        n = len(s)
-        lf = [math.lgamma(k + 1) for k in range(n + 1)]
-        out, j, u = [], n, 0.0
-        for left in range(length, 0, -1):
-            log_mass = lambda i, left=left, u=u: lf[i] - lf[left] - lf[i - left] + math.log(left * s[i - 1] / i + u)
-            goal = log_mass(j) + math.log(uniform_value(seed, draw, length - left + 1))
-            lo, hi = left - 1, j
-            while hi - lo > 1:
-                mid = (lo + hi) // 2
-                lo, hi = (lo, mid) if log_mass(mid) >= goal else (mid, hi)
-            out.append(hi - 1)
-            u += w[hi - 1]
-            j = hi - 1
-        return out
+
+def in_arrow(rows: DataFrame, make: Callable[..., Callable[[int, int], tuple[list[int], int]]], arrays: tuple[str, ...]) -> DataFrame:
+    """(draw_id, tid, pattern, length, visited) of grouped draws: ``make(arrays of one transaction)`` gives a function of
+    (draw_id, length) that returns places of items and how many steps it took."""
+    kinds = dict(rows.dtypes)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["draw_id", "tid", "pattern", "length", "visited"]
         for batch in batches:
-            cols = {c: batch.column(c).to_pylist() for c in ("draw_id", "tid", "l", "items", "w", "s")}
-            pats = [sorted(it[i] for i in one(d, k, s, w)) for d, k, it, s, w in zip(cols["draw_id"], cols["l"], cols["items"], cols["s"], cols["w"], strict=True)]
-            kind = pa.list_(batch.column("items").type.value_type)
-            yield pa.RecordBatch.from_arrays([batch.column("draw_id"), batch.column("tid"), pa.array(pats, kind), pa.array([len(p) for p in pats], pa.int32())], ["draw_id", "tid", "pattern", "length"])
+            out: list[tuple] = []
+            for r in range(batch.num_rows):
+                items = batch.column("items")[r].values
+                draw = make(*(batch.column(c)[r].values.to_numpy(zero_copy_only=False) for c in arrays))
+                tid = batch.column("tid")[r].as_py()
+                for d in batch.column("draws")[r].as_py():
+                    places, steps = draw(d["draw_id"], d["l"])
+                    out.append((d["draw_id"], tid, items.take(pa.array(sorted(places), pa.int64())).to_pylist(), len(places), steps))
+            types = (pa.int64(), batch.column("tid").type, batch.column("items").type, pa.int32(), pa.int32())
+            yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], t) for i, t in enumerate(types)], names)
+
+    # Draws gather on few long transactions: they are spread by their first draw, not by transaction.
+    spread = rows.withColumn("_first", F.col("draws")[0]["draw_id"]).repartition("_first").drop("_first")
+    return spread.mapInArrow(run, f"draw_id long, tid {kinds['tid']}, pattern {kinds['items']}, length int, visited int")
+
+
+_factorials = np.zeros(1)
+
+
+def log_factorial(n: int) -> np.ndarray:
+    """Logarithms of 0! to at least n!, one table for all transactions that a worker meets."""
+    global _factorials
+    if len(_factorials) <= n:
+        _factorials = np.concatenate([[0.0], np.cumsum(np.log(np.arange(1, 2 * n + 2, dtype=float)))])
+    return _factorials
+
+
+def _log_masses(s: np.ndarray) -> Callable[[int, int, float], float]:
+    """log of the prefix mass of (left, i, u), for left <= i."""
+    lf = log_factorial(len(s))
+    return lambda left, i, u: lf[i] - lf[left] - lf[i - left] + math.log(left * s[i - 1] / i + u)
+
+
+def jump_in_arrow(rows: DataFrame, seed: int = 0) -> DataFrame:
+    """The jump draw for transactions of any length: prefix masses in the log domain, over grouped draws. Steps: probes made."""
+    from gleaner.functions.chance import uniform_value
+
+    def make(s: np.ndarray, w: np.ndarray) -> Callable[[int, int], tuple[list[int], int]]:
+        mass = _log_masses(s)
+
+        def one(draw: int, length: int) -> tuple[list[int], int]:
+            out, j, u, steps = [], len(s), 0.0, 0
+            for left in range(length, 0, -1):
+                goal = mass(left, j, u) + math.log(uniform_value(seed, draw, length - left + 1))
+                lo, hi = left - 1, j
+                while hi - lo > 1:
+                    mid = (lo + hi) // 2
+                    steps += 1
+                    lo, hi = (lo, mid) if mass(left, mid, u) >= goal else (mid, hi)
+                out.append(hi - 1)
+                u += float(w[hi - 1])
+                j = hi - 1
+            return out, steps
+
+        return one
+
+    return in_arrow(rows, make, ("s", "w"))
+
+
+def sequential_in_arrow(rows: DataFrame, seed: int = 0) -> DataFrame:
+    """The sequential draw for transactions of any length. Steps: items visited."""
+    from gleaner.functions.chance import uniform_value
+
+    def make(s: np.ndarray, w: np.ndarray) -> Callable[[int, int], tuple[list[int], int]]:
+        mass = _log_masses(s)
+
+        def one(draw: int, length: int) -> tuple[list[int], int]:
+            out, u, left, steps = [], 0.0, length, 0
+            for i in range(len(s), 0, -1):
+                if not left:
+                    break
+                steps += 1
+                if i == left or math.log(uniform_value(seed, draw, i)) + mass(left, i, u) > mass(left, i - 1, u):
+                    out.append(i - 1)
+                    u += float(w[i - 1])
+                    left -= 1
+            return out, steps
+
+        return one
 
-    # Draws gather on few long transactions: they are spread by draw, not by transaction.
-    spread = rows.select("draw_id", "tid", "l", "items", "w", "s").repartition("draw_id")
-    return spread.mapInArrow(run, f"draw_id long, tid long, pattern array<{item}>, length int")
+    return in_arrow(rows, make, ("s", "w"))
 
 
 def seed_split(picks: DataFrame, qdb: DataFrame, seed: int = 0) -> DataFrame:
@@ -210,18 +301,16 @@ def seed_split(picks: DataFrame, qdb: DataFrame, seed: int = 0) -> DataFrame:
 
 
 def path_probability(items: list, w: list, pattern: list, f_length_share: float = 1.0) -> float:
-    """Probability of one pattern as the product of accept and reject ratios from right to left."""
-    s = [0.0]
-    for x in w:
-        s.append(s[-1] + x)
-    mass = lambda l, i, u: math.comb(i - 1, l - 1) * s[i] + math.comb(i, l) * u if i >= l >= 1 else 0.0  # noqa: E731, E741
+    """Probability of one pattern as the product of accept and reject ratios from right to left, for any length."""
+    s = np.cumsum(np.asarray(w, dtype=float))
+    mass, held = _log_masses(s), set(pattern)
     left, u, p = len(pattern), 0.0, f_length_share
     for i in range(len(items), 0, -1):
         if not left:
             break
-        take = 1 - mass(left, i - 1, u) / mass(left, i, u)
-        if items[i - 1] in pattern:
-            p, left, u = p * take, left - 1, u + w[i - 1]
+        stay = math.exp(mass(left, i - 1, u) - mass(left, i, u)) if i > left else 0.0
+        if items[i - 1] in held:
+            p, left, u = p * (1 - stay), left - 1, u + w[i - 1]
         else:
-            p *= 1 - take
+            p *= stay
     return p

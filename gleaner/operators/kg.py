@@ -42,10 +42,10 @@ def placed(profile: DataFrame, nodes: DataFrame | None = None) -> DataFrame:
 
 
 def to_qdb(profile: DataFrame, direction: str = "both") -> DataFrame:
-    """(tid, item, qty): a transaction for each node and direction, its items the triples that leave (or enter) it."""
+    """(tid, item, qty, pred): a transaction for each node and direction, its items the triples that leave (or enter) it."""
     full = placed(profile)
-    out = full.select(F.concat(F.lit("out|"), "src").alias("tid"), "item", F.col("weight").alias("qty"))
-    into = full.select(F.concat(F.lit("in|"), "dst").alias("tid"), "item", F.col("weight").alias("qty"))
+    out = full.select(F.concat(F.lit("out|"), "src").alias("tid"), "item", F.col("weight").alias("qty"), "pred")
+    into = full.select(F.concat(F.lit("in|"), "dst").alias("tid"), "item", F.col("weight").alias("qty"), "pred")
     return {"out": out, "in": into, "both": out.unionByName(into)}[direction]
 
 
@@ -54,9 +54,12 @@ def simple_profile(triples: DataFrame) -> DataFrame:
     return triples.select(F.xxhash64("subj", "pred", "obj").alias("item"), F.array("subj").alias("subj"), "pred", F.array("obj").alias("obj"), F.col("weight").cast("long"))
 
 
-def numbered(qdb: DataFrame) -> DataFrame:
-    """Text ids as numbers, for the samplers."""
-    return qdb.select(F.xxhash64("tid").alias("tid"), "item", "qty")
+def priced(qdb: DataFrame, prices: DataFrame | None = None) -> DataFrame:
+    """(tid, item, qty, pred, w): ``prices``: (pred, price), 1 where there is none. The sampler can change them later."""
+    if prices is None:
+        return qdb.withColumn("w", F.col("qty"))
+    named = prices.select(F.col(prices.columns[0]).alias("pred"), F.col(prices.columns[1]).alias("_price"))
+    return qdb.join(named, "pred", "left").withColumn("w", F.col("qty") * F.coalesce("_price", F.lit(1))).drop("_price").select("tid", "item", "qty", "pred", "w")
 
 
 def sub_profile(drawn: DataFrame, profile: DataFrame, by: str = "draw_id") -> tuple[DataFrame, DataFrame]:
@@ -99,7 +102,8 @@ def stats(profile: DataFrame) -> DataFrame:
 def export(nodes: DataFrame, edges: DataFrame, how: str = "json") -> DataFrame:
     """(g, value): one JSON graph, or one DOT text, for each sub-profile (at most some dozens of triples each)."""
     if how == "dot":
-        said = F.format_string('  "%s" -> "%s" [label="%s (%d)"];', F.element_at(F.split("src", "\x01"), -1), F.element_at(F.split("dst", "\x01"), -1), "pred", "weight")
+        plain = lambda c: F.regexp_replace(F.element_at(F.split(c, "\x01"), -1), r'(["\\])', r"\\$1")
+        said = F.format_string('  "%s" -> "%s" [label="%s (%d)"];', plain("src"), plain("dst"), plain("pred"), "weight")
         return edges.withColumn("l", said).groupBy("g").agg(F.concat(F.lit("digraph {\n"), F.array_join(F.array_sort(F.collect_list("l")), "\n"), F.lit("\n}")).alias("value"))
     n = nodes.groupBy("g").agg(F.array_sort(F.collect_list(F.struct("node", "labels"))).alias("nodes"))
     e = edges.groupBy("g").agg(F.array_sort(F.collect_list(F.struct("src", "pred", "dst", "weight"))).alias("edges"))

@@ -41,6 +41,11 @@ class LengthUtility:
     def unbounded(self) -> bool:
         return self.M is None and self.m <= 1
 
+    @property
+    def closed(self) -> bool:
+        """Whether the coefficient is a closed form of the size."""
+        return self.unbounded and self.kind in ("const", "mean")
+
 
 SUM, MEAN = LengthUtility(), LengthUtility("mean")
 

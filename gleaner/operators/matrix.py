@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from gleaner.sources.shared import written
+
 #: Cells above which a database is refused: the baseline keeps them all in memory.
 CELL_BUDGET = 50_000_000
 
@@ -35,7 +37,8 @@ def cells(sizes: DataFrame, most: int) -> DataFrame:
 
 
 def matrix_weights(packed: DataFrame, m: int = 1, M: int = 10) -> DataFrame:  # noqa: N803
-    """(tid, w, cells): total utility from the last column, after filling the matrix."""
+    """(tid, w, cells): total utility from the last column, after filling the matrix. Refused above ``CELL_BUDGET``."""
+    refuse(packed, M)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -50,27 +53,53 @@ def matrix_weights(packed: DataFrame, m: int = 1, M: int = 10) -> DataFrame:  #
     return packed.select("tid", "w").mapInArrow(run, f"tid {kind}, w double, cells long")
 
 
-def matrix_draw(rows: DataFrame, seed: int = 0) -> DataFrame:
-    """The same law as the jump draw, reading stored values and drawing a uniform for each item visited."""
-    from gleaner.functions.chance import uniform_value
+def refuse(packed: DataFrame, most: int) -> None:
+    """Raises MemoryError where the baseline would store more than ``CELL_BUDGET`` numbers."""
+    row = cells(packed.select("n"), most).first()
+    if row.refused:
+        raise MemoryError(f"the matrices have {row.cells} cells: more than {CELL_BUDGET}")
+
 
-    def one(draw: int, left: int, w: list[float]) -> list[int]:
-        cols, u, out = columns(w, left), 0.0, []
-        for i in range(len(w), 0, -1):
-            if not left:
-                break
-            own, rest = (c[left - 1] if left <= len(c) else 0 for c in cols[i - 1])
-            if uniform_value(seed, draw, "m", i) * (own + rest + comb(i, left) * u) <= own + comb(i - 1, left - 1) * u:
-                out.append(i - 1)
-                u += w[i - 1]
-                left -= 1
-        return out
+def stored(packed: DataFrame, most: int | None = None, budget: bool = True) -> DataFrame:
+    """(tid, items, w, own, rest): the matrices of all transactions, written; columns flattened, item after item."""
+    if budget:
+        refuse(packed, most or 1 << 30)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            c = {k: batch.column(k).to_pylist() for k in ("draw_id", "l", "items", "w")}
-            pats = [sorted(it[i] for i in one(d, k, w)) for d, k, it, w in zip(c["draw_id"], c["l"], c["items"], c["w"], strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column("draw_id"), batch.column("tid"), pa.array(pats, pa.list_(batch.column("items").type.value_type)), pa.array([len(p) for p in pats], pa.int32())], ["draw_id", "tid", "pattern", "length"])
+            made = [columns(w, most or len(w)) for w in batch.column("w").to_pylist()]
+            sides = [pa.array([[float(x) for c in m for x in c[k]] for m in made], pa.list_(pa.float64())) for k in (0, 1)]
+            yield pa.RecordBatch.from_arrays([batch.column("tid"), batch.column("items"), batch.column("w"), *sides], ["tid", "items", "w", "own", "rest"])
 
-    item = dict(rows.dtypes)["items"]
-    return rows.select("draw_id", "tid", "l", "items", "w").mapInArrow(run, f"draw_id long, tid long, pattern {item}, length int")
+    kinds = dict(packed.dtypes)
+    return written(packed.select("tid", "items", "w").mapInArrow(run, f"tid {kinds['tid']}, items {kinds['items']}, w array<double>, own array<double>, rest array<double>"), "matrix")
+
+
+def matrix_draw(picks: DataFrame, matrices: DataFrame, seed: int = 0, most: int | None = None) -> DataFrame:
+    """The same law as the jump draw, reading stored values and drawing a uniform for each item visited. Adds ``visited``."""
+    from gleaner.functions.chance import uniform_value
+    from gleaner.operators.jump import grouped, in_arrow
+
+    def make(w, own, rest):  # noqa: ANN001, ANN202
+        def at(i: int, left: int) -> tuple[float, float]:
+            """Column i (from 1) has min(i, most) entries."""
+            top = most or len(w)
+            start = i * (i - 1) // 2 if i <= top else top * (top + 1) // 2 + (i - 1 - top) * top
+            return (float(own[start + left - 1]), float(rest[start + left - 1])) if left <= min(i, top) else (0.0, 0.0)
+
+        def one(draw: int, left: int) -> tuple[list[int], int]:
+            u, out, steps = 0.0, [], 0
+            for i in range(len(w), 0, -1):
+                if not left:
+                    break
+                steps += 1
+                with_, without = at(i, left)
+                if uniform_value(seed, draw, "m", i) * (with_ + without + comb(i, left) * u) <= with_ + comb(i - 1, left - 1) * u:
+                    out.append(i - 1)
+                    u += float(w[i - 1])
+                    left -= 1
+            return out, steps
+
+        return one
+
+    return in_arrow(grouped(picks, matrices, "items", "w", "own", "rest"), make, ("w", "own", "rest"))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import statistics
 import time
 from collections.abc import Callable
@@ -9,7 +10,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gleaner.operators.lengths import MEAN, LengthUtility, pascal_cells
+from gleaner.functions.chance import uniform
+from gleaner.operators.lengths import MEAN, LengthUtility
 from gleaner.operators.model import length_factor, pattern_utility, sizes
 
 
@@ -29,10 +31,6 @@ def qdb_stats(qdb: DataFrame) -> DataFrame:
     return per.crossJoin(F.broadcast(qdb.agg(F.countDistinct("item").alias("items")))).withColumn("n_avg", F.round(F.col("rows") / F.col("transactions"), 6))  # one row each
 
 
-def binom_cells(n: int) -> int:
-    return pascal_cells(n)
-
-
 def storage_model(qdb: DataFrame) -> DataFrame:
     """(weights, cells, factors, matrix): numbers kept beside the data by the samplers' forms, and by the matrix baseline."""
     n = F.col("n").cast("long")
@@ -57,12 +55,32 @@ def normalised(rep: DataFrame) -> DataFrame:
     return rep.crossJoin(F.broadcast(whole)).withColumn("share", F.col("value") / F.col("whole"))  # one row
 
 
-def spread(norm: DataFrame) -> DataFrame:
-    """(method, k, mean, median, sd, lo, hi): over draws, with the normal 95 % interval of the mean."""
+def spread(norm: DataFrame, rounds: int = 200, seed: int = 0) -> DataFrame:
+    """(method, k, mean, median, variance, sd, lo, hi, boot_lo, boot_hi) over draws: the normal 95 % interval of the mean, and
+    the bootstrap's, where each round counts each distinct pattern as often as a Poisson draw of its times says."""
     each = norm.select("method", F.explode(F.sequence(F.lit(1).cast("long"), F.col("times"))).alias("_"), "share")
-    row = each.groupBy("method").agg(F.count("*").alias("k"), F.avg("share").alias("mean"), F.percentile("share", 0.5).alias("median"), F.stddev_samp("share").alias("sd"))
+    row = each.groupBy("method").agg(F.count("*").alias("k"), F.avg("share").alias("mean"), F.percentile("share", 0.5).alias("median"), F.var_samp("share").alias("variance"), F.stddev_samp("share").alias("sd"))
     half = 1.96 * F.col("sd") / F.sqrt("k")
-    return row.withColumn("lo", F.col("mean") - half).withColumn("hi", F.col("mean") + half)
+    # A Poisson number with mean t is close to the normal with that mean and variance, cut off at zero.
+    u, v = (uniform(seed, F.col("method"), F.array_join(F.col("pattern").cast("array<string>"), ","), F.col("round"), part) for part in ("u", "v"))
+    normal = F.sqrt(-2 * F.ln(u)) * F.cos(2 * math.pi * v)
+    rows = norm.select("method", "pattern", "times", "share", F.explode(F.sequence(F.lit(1), F.lit(rounds))).alias("round"))
+    again = rows.withColumn("c", F.greatest(F.lit(0.0), F.col("times") + F.sqrt("times") * normal))
+    means = again.groupBy("method", "round").agg((F.sum(F.col("c") * F.col("share")) / F.sum("c")).alias("m"))
+    boot = means.groupBy("method").agg(F.percentile("m", 0.025).alias("boot_lo"), F.percentile("m", 0.975).alias("boot_hi"))
+    return row.withColumn("lo", F.col("mean") - half).withColumn("hi", F.col("mean") + half).join(F.broadcast(boot), "method")  # one row a method
+
+
+def violin(norm: DataFrame, bins: int = 40) -> DataFrame:
+    """(method, bin, lo, hi, density): a histogram of shares over draws, all methods on the same bins."""
+    ends = norm.agg(F.min("share").alias("least"), ((F.max("share") - F.min("share")) / bins).alias("step"))
+    row = norm.crossJoin(F.broadcast(ends))  # one row
+    at = F.when(F.col("step") > 0, F.least(F.floor((F.col("share") - F.col("least")) / F.col("step")), F.lit(bins - 1))).otherwise(0)
+    counted = row.groupBy("method", at.cast("int").alias("bin"), "least", "step").agg(F.sum("times").alias("times"))
+    whole = norm.groupBy("method").agg(F.sum("times").alias("k"))
+    out = counted.join(F.broadcast(whole), "method")  # one row a method
+    lo = F.col("least") + F.col("bin") * F.col("step")
+    return out.select("method", "bin", lo.alias("lo"), (lo + F.col("step")).alias("hi"), (F.col("times") / F.col("k") / F.nullif(F.col("step"), F.lit(0.0))).alias("density"))
 
 
 def fit(drawn: DataFrame, law: DataFrame) -> DataFrame:

@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-import math
 import random
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from functools import reduce
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from gleaner.functions.chance import uniform
 from gleaner.operators.lengths import SUM, LengthUtility
 from gleaner.operators.model import length_factor, sizes
+from gleaner.sources.shared import written
 
 
 def occurrences(qdb: DataFrame, m: int = 1, M: int = 3, deny: DataFrame | None = None) -> DataFrame:  # noqa: N803
@@ -37,22 +39,53 @@ def enumerate_patterns(qdb: DataFrame, m: int = 1, M: int = 3, max_n: int = 25)
 def target(qdb: DataFrame, f: LengthUtility) -> DataFrame:
     """(pattern, p): the law that samplers must follow, by enumeration."""
     found = enumerate_patterns(qdb, f.m, f.M or 25)
-    mass = found.select("pattern", (F.col("utility").cast("double") * length_factor(F.size("pattern"), f, 25)).alias("mass"))
+    mass = found.select("pattern", (F.col("utility").cast("double") * length_factor(F.size("pattern"), f)).alias("mass"))
     return mass.crossJoin(F.broadcast(mass.agg(F.sum("mass").alias("z")))).select("pattern", (F.col("mass") / F.col("z")).alias("p"))  # z: one row
 
 
-def mine_threshold(qdb: DataFrame, least: float, M: int = 3) -> DataFrame:  # noqa: N803
-    """(pattern, utility, support) with utility of ``least`` or more; items whose transactions together can't reach it go first."""
-    sums = sizes(qdb).select("tid", "s")
-    useful = qdb.join(sums, "tid").groupBy("item").agg(F.sum("s").alias("bound")).where(F.col("bound") >= least).select("item")
-    return enumerate_patterns(qdb.join(useful, "item", "left_semi"), 1, M).where(F.col("utility") >= least)
+def _levels(qdb: DataFrame, M: int | None, least: Callable[[DataFrame], float], mean: bool = False) -> Iterator[DataFrame]:  # noqa: N803
+    """(pattern, utility, support, value, bound) of each length in turn, of all patterns that can still matter.
 
+    A pattern grows to the right of its last item. In a transaction it can gain no more than what stands to its right, so
+    ``bound``, utility and rest together (for mean utility over one item more), is as much as any longer pattern that
+    begins with it can have. ``least``, asked after each length, is the value below which none is wanted.
+    """
+    right = F.sum("w").over(Window.partitionBy("tid").orderBy(F.desc("item")).rowsBetween(Window.unboundedPreceding, -1))
+    items = written(qdb.select("tid", "item", "w", F.coalesce(right, F.lit(0)).alias("rest")), "items")
+    step = items.select("tid", F.col("item").alias("next"), F.col("w").alias("v"), F.col("rest").alias("next_rest"))
+    level = items.select("tid", F.array("item").alias("pattern"), F.col("item").alias("last"), F.col("w").alias("u"), "rest")
+    size = 1
+    while True:
+        level = written(level, "level")
+        divisor, more = (size, size + 1) if mean else (1, 1)
+        found = level.groupBy("pattern").agg(F.sum("u").alias("utility"), F.count("*").alias("support"), F.sum(F.when(F.col("rest") > 0, F.col("u") + F.col("rest"))).alias("reach"))
+        found = written(found.select("pattern", "utility", "support", (F.col("utility") / divisor if mean else F.col("utility")).alias("value"), (F.col("reach") / more if mean else F.col("reach")).alias("bound")), "patterns")
+        yield found
+        grow = found.where(F.col("bound") >= F.lit(least(found))).select("pattern")
+        if size == M or grow.isEmpty():
+            return
+        kept = level.where("rest > 0").join(grow, "pattern", "left_semi").join(step, "tid").where("next > last")
+        level = kept.select("tid", F.concat("pattern", F.array("next")).alias("pattern"), F.col("next").alias("last"), (F.col("u") + F.col("v")).alias("u"), F.col("next_rest").alias("rest"))
+        size += 1
 
-def mine_topk(qdb: DataFrame, k: int, f: LengthUtility = SUM, M: int = 3) -> DataFrame:  # noqa: N803
-    """The k patterns of most (mean) utility; ties in pattern order."""
-    found = enumerate_patterns(qdb, 1, M)
-    value = F.col("utility") / F.size("pattern") if f.kind == "mean" else F.col("utility")
-    return found.withColumn("value", value).orderBy(F.desc("value"), "pattern").limit(k)
+
+def mine_threshold(qdb: DataFrame, least: float, M: int | None = None) -> DataFrame:  # noqa: N803
+    """(pattern, utility, support) of all patterns, of any length up to M, with utility of ``least`` or more."""
+    return reduce(DataFrame.unionByName, [found.where(F.col("utility") >= least) for found in _levels(qdb, M, lambda _: least)]).select("pattern", "utility", "support")
+
+
+def mine_topk(qdb: DataFrame, k: int, f: LengthUtility = SUM, M: int | None = None) -> DataFrame:  # noqa: N803
+    """The k patterns, of any length up to M, of most (mean) utility; ties in pattern order. What can't reach the k-th best so far isn't grown."""
+    best: list = []
+
+    def least(found: DataFrame) -> float:
+        best.extend(r.value for r in found.orderBy(F.desc("value")).limit(k).select("value").collect())  # k numbers
+        best.sort(reverse=True)
+        del best[k:]
+        return best[-1] if len(best) == k else 0
+
+    tops = [found.orderBy(F.desc("value"), "pattern").limit(k) for found in _levels(qdb, M, least, f.kind == "mean")]
+    return reduce(DataFrame.unionByName, tops).orderBy(F.desc("value"), "pattern").limit(k).select("pattern", "utility", "support", "value")
 
 
 def condense(patterns: DataFrame, how: str = "maximal") -> DataFrame:
@@ -64,17 +97,20 @@ def condense(patterns: DataFrame, how: str = "maximal") -> DataFrame:
     return patterns.join(met, "pattern", "left_anti")
 
 
-def mine_on_sample(qdb: DataFrame, share: float, least: float, M: int = 3, seed: int = 0) -> DataFrame:  # noqa: N803
+def mine_on_sample(qdb: DataFrame, share: float, least: float, M: int | None = None, seed: int = 0) -> DataFrame:  # noqa: N803
     """Threshold mining on a hash sample of transactions; the threshold shrinks with the share."""
-    kept = qdb.where(F.pmod(F.xxhash64("tid", F.lit(seed)), F.lit(1000)) < int(share * 1000))
+    kept = qdb.where(uniform(seed, F.col("tid"), "sample") < share)
     return mine_threshold(kept, least * share, M).withColumn("utility", F.col("utility") / share)
 
 
 def mcmc(qdb: DataFrame, chains: int, steps: int, f: LengthUtility = SUM, seed: int = 0) -> DataFrame:
-    """(chain, pattern): Metropolis walks over patterns of a small database, by adding, dropping or swapping an item."""
-    rows = [(r.tid, r.item, float(r.w)) for r in qdb.select("tid", "item", "w").collect()]
-    if len(rows) > 200_000:
+    """(chain, pattern): Metropolis walks over patterns of a small database, by toggling an item or by swapping a member for another one.
+
+    Both proposals are symmetric, so the walk's law is in proportion to utility. A database above 200,000 rows is refused.
+    """
+    if qdb.limit(200_001).count() > 200_000:
         raise ValueError("the walk needs the whole database in memory: it is refused above 200,000 rows")
+    rows = [(r.tid, r.item, float(r.w)) for r in qdb.select("tid", "item", "w").collect()]  # bounded above
     items = sorted({r[1] for r in rows})
     tx: dict = {}
     for t, i, w in rows:
@@ -91,11 +127,12 @@ def mcmc(qdb: DataFrame, chains: int, steps: int, f: LengthUtility = SUM, seed:
                 now = frozenset([dice.choice(items)])
                 u = utility(now)
                 for _ in range(steps):
-                    new = now ^ {dice.choice(items)}
-                    if dice.random() < 0.3 and now:
-                        new = now - {dice.choice(sorted(now))} | {dice.choice(items)}
+                    if dice.random() < 0.3 and len(now) < len(items):
+                        new = now - {dice.choice(sorted(now))} | {dice.choice([i for i in items if i not in now])}
+                    else:
+                        new = now ^ {dice.choice(items)}
                     v = utility(new) if new else 0.0
-                    if v and dice.random() * u < v and (len(new) != len(now) or math.isfinite(v)):
+                    if v and dice.random() * u < v:
                         now, u = new, v
                 pats.append(sorted(now))
             yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(pats, pa.list_(pa.from_numpy_dtype("int64") if isinstance(items[0], int) else pa.string()))], ["chain", "pattern"])

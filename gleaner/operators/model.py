@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import math
+from fractions import Fraction
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from gleaner.operators.lengths import SUM, LengthUtility, coefficients
+from gleaner.operators.lengths import SUM, LengthUtility, coefficient, coefficients, log_of
+from gleaner.sources.shared import written
 
 
 def weigh(qdb: DataFrame, prices: DataFrame | None = None, key: str = "item", default: float = 1) -> DataFrame:
-    """(tid, item, w = qty * price); ``prices``: (key, price). Prices join by hash of a broadcast only if they are small."""
+    """(tid, item, w = qty * price); ``prices``: (key, price), where ``key`` is a column of ``qdb`` such as item or pred."""
     if prices is None:
         return qdb.select("tid", "item", (F.col("qty") * F.lit(default)).alias("w"))
     priced = qdb.join(prices.select(F.col(prices.columns[0]).alias(key), F.col(prices.columns[1]).alias("price")), key, "left")
@@ -33,16 +37,26 @@ def sizes(qdb: DataFrame) -> DataFrame:
     return qdb.groupBy("tid").agg(F.count("*").cast("int").alias("n"), F.sum("w").alias("s"))
 
 
-def weights(qdb: DataFrame, f: LengthUtility = SUM) -> DataFrame:
+def weights(qdb: DataFrame, f: LengthUtility = SUM, per: DataFrame | None = None) -> DataFrame:
     """(tid, n, s, w, logw): total utility of each transaction's patterns. ``w`` is null where a double can't hold it.
 
-    Transactions without a pattern in the interval drop out. The coefficients are one row per distinct size.
+    Transactions without a pattern in the interval drop out. Closed forms are column expressions over one scan of
+    ``qdb``; else the sizes are written once, and their coefficients, one row per distinct size, joined. ``per``: sizes known.
     """
-    per = sizes(qdb)
-    known = [r.n for r in per.select("n").distinct().collect()]
-    coef = coefficients(qdb.sparkSession, known, f)
-    joined = per.join(F.broadcast(coef), "n")
-    return joined.select("tid", "n", "s", (F.col("s") * F.col("c")).alias("w"), (F.ln(F.col("s").cast("double")) + F.col("logc")).alias("logw"))
+    n, log_s = F.col("n"), F.ln(F.col("s").cast("double"))
+    if f.closed:
+        log2 = math.log(2)
+        logc = (n - 1) * log2 if f.kind == "const" else n * log2 + F.log1p(-F.pow(F.lit(2.0), -n)) - F.ln(n)
+        c = F.pow(F.lit(2.0), n - 1) if f.kind == "const" else (F.pow(F.lit(2.0), n) - 1) / n
+        return (sizes(qdb) if per is None else per).select("tid", "n", "s", F.when(logc < 700, F.col("s") * c).alias("w"), (log_s + logc).alias("logw"))
+    per = written(sizes(qdb), "sizes") if per is None else per
+    coef = coefficients(qdb.sparkSession, known_sizes(per), f)
+    return per.join(F.broadcast(coef), "n").select("tid", "n", "s", (F.col("s") * F.col("c")).alias("w"), (log_s + F.col("logc")).alias("logw"))
+
+
+def known_sizes(per: DataFrame) -> list[int]:
+    """The distinct sizes of transactions, ascending: as many as the longest transaction has items at most."""
+    return sorted(r.n for r in per.select("n").distinct().collect())
 
 
 def log_sum_exp(df: DataFrame, column: str = "logw") -> DataFrame:
@@ -52,11 +66,14 @@ def log_sum_exp(df: DataFrame, column: str = "logw") -> DataFrame:
 
 
 def pack(qdb: DataFrame) -> DataFrame:
-    """(tid, items, w, s, n): arrays in item order; s holds prefix sums. For picked transactions."""
-    rows = qdb.groupBy("tid").agg(F.array_sort(F.collect_list(F.struct("item", "w"))).alias("r"))
-    rows = rows.select("tid", F.expr("transform(r, x -> x.item)").alias("items"), F.expr("transform(r, x -> cast(x.w as double))").alias("w"))
-    run = F.expr("aggregate(w, cast(array() as array<double>), (a, x) -> concat(a, array(x + coalesce(get(a, size(a) - 1), 0D))))")
-    return rows.select("tid", "items", "w", run.alias("s"), F.size("w").alias("n"))
+    """(tid, items, w, s, n): arrays in item order; s holds prefix sums. For picked transactions.
+
+    Prefix sums are a running window before the arrays are collected, so their cost is that of a sort.
+    """
+    run = F.sum(F.col("w").cast("double")).over(Window.partitionBy("tid").orderBy("item").rowsBetween(Window.unboundedPreceding, 0))
+    rows = qdb.select("tid", "item", "w").withColumn("s", run).groupBy("tid").agg(F.array_sort(F.collect_list(F.struct("item", "w", "s"))).alias("r"))
+    rows = rows.select("tid", F.expr("transform(r, x -> x.item)").alias("items"), F.expr("transform(r, x -> cast(x.w as double))").alias("w"), F.expr("transform(r, x -> x.s)").alias("s"))
+    return rows.withColumn("n", F.size("items"))
 
 
 def utility_in_tx(qdb: DataFrame, patterns: DataFrame) -> DataFrame:
@@ -72,16 +89,15 @@ def pattern_utility(qdb: DataFrame, patterns: DataFrame) -> DataFrame:
     return patterns.select("pattern").distinct().join(total, "pattern", "left").select("pattern", F.coalesce("utility", F.lit(0)).alias("utility"))
 
 
-def length_factor(length: Column, f: LengthUtility, most: int = 64) -> Column:
-    """f as a column expression."""
-    if f.kind == "const":
-        value: Column = F.lit(1.0)
-    elif f.kind == "mean":
-        value = 1 / length.cast("double")
+def length_factor(length: Column, f: LengthUtility) -> Column:
+    """f as a column expression, for every length."""
+    x = length.cast("double")
+    if f.kind == "table":
+        table = F.create_map(*[F.lit(v) for k, y in f.table for v in (int(k), float(y))]) if f.table else F.create_map()
+        value: Column = F.coalesce(table[length.cast("int")], F.lit(0.0))
     else:
-        table = F.create_map(*[x for k in range(1, (f.M or most) + 1) for x in (F.lit(k), F.lit(float(f(k))))])
-        value = F.coalesce(table[length.cast("int")], F.lit(0.0))
-    inside = length >= f.m
+        value = {"const": F.lit(1.0), "mean": 1 / x, "power": F.pow(x, F.lit(-f.a)), "decay": F.exp(-f.a * x)}[f.kind]
+    inside = length >= max(f.m, 1)
     return F.when(inside & (length <= f.M) if f.M is not None else inside, value).otherwise(0.0)
 
 
@@ -99,38 +115,33 @@ def triangle(packed: DataFrame) -> DataFrame:
 
 
 def triangle_by_recursion(packed: DataFrame) -> DataFrame:
-    """The same cells from their neighbours: each column follows from the one before."""
-    step = (
-        "aggregate(sequence(1, n), cast(array() as array<array<double>>), (cols, i) -> concat(cols, array(transform(sequence(1, i), l -> "
-        "if(l = 1, get(s, i - 1), coalesce(get(binom, (i - 1) * 64 + l - 1), 0D) * get(w, i - 1) + coalesce(get(get(cols, i - 2), l - 2), 0D) + coalesce(get(get(cols, i - 2), l - 1), 0D))))))"
-    )
-    table = F.array(*[F.lit(float(x)) for x in binomials(63)])
-    cols = packed.withColumn("binom", table).select("tid", F.posexplode(F.expr(step)).alias("p", "col"))
+    """The same cells from their neighbours: each column, and each row of binomials, follows from the one before."""
+    start = "named_struct('cols', cast(array() as array<array<double>>), 'row', cast(array() as array<double>))"
+    row = "transform(sequence(0, i - 1), k -> if(k = 0 or k = i - 1, 1D, get(st.row, k - 1) + get(st.row, k)))"
+    cell = "if(l = 1, get(s, i - 1), get(row, l - 1) * get(w, i - 1) + coalesce(get(get(st.cols, i - 2), l - 2), 0D) + coalesce(get(get(st.cols, i - 2), l - 1), 0D))"
+    step = f"get(transform(array({row}), row -> named_struct('cols', concat(st.cols, array(transform(sequence(1, i), l -> {cell}))), 'row', row)), 0)"
+    cols = packed.select("tid", F.posexplode(F.expr(f"aggregate(sequence(1, n), {start}, (st, i) -> {step}).cols")).alias("p", "col"))
     return cols.select("tid", (F.col("p") + 1).alias("i"), F.posexplode("col").alias("q", "t")).select("tid", (F.col("q") + 1).alias("l"), "i", "t")
 
 
-def binomials(n: int) -> list[int]:
-    """C(i, l) at i * (n + 1) + l, for i and l up to n."""
-    import math
-
-    return [math.comb(i, x) for i in range(n + 1) for x in range(n + 1)]
-
-
 def item_marginals(qdb: DataFrame, f: LengthUtility = SUM) -> DataFrame:
-    """(item, p): how often each item stands in a drawn pattern, without enumerating: each length's share in closed form."""
-    per = sizes(qdb)
-    known = [r.n for r in per.select("n").distinct().collect()]
-    # An l-subset holds x with mass C(n-1,l-1) w_x + C(n-2,l-2) (S - w_x); summed over lengths, two numbers per size.
-    import math
-    from fractions import Fraction
+    """(item, p): how often each item stands in a drawn pattern, without enumerating: each length's share in closed form.
 
+    Masses are relative to the largest coefficient, so that transactions of any length are held by doubles.
+    """
+    per = written(sizes(qdb), "sizes")
+    # An l-subset holds x with mass C(n-1,l-1) w_x + C(n-2,l-2) (S - w_x); summed over lengths, two numbers per size.
     rows = []
-    for n in known:
+    for n in known_sizes(per):
         top = n if f.M is None else min(f.M, n)
-        own = sum((math.comb(n - 1, x - 1) * f(x) for x in range(max(f.m, 1), top + 1)), Fraction(0))
-        with_others = sum((math.comb(n - 2, x - 2) * f(x) for x in range(max(f.m, 2), top + 1)), Fraction(0))
-        rows.append((n, float(own), float(with_others)))
-    both = qdb.sparkSession.createDataFrame(rows, "n int, own double, others double")
-    mass = qdb.join(per.join(F.broadcast(both), "n"), "tid").select("item", (F.col("own") * F.col("w") + F.col("others") * (F.col("s") - F.col("w"))).alias("mass"), )
-    z = per.join(F.broadcast(both), "n").agg(F.sum(F.col("s") * F.col("own")).alias("z"))
+        own = coefficient(n, f)
+        others = sum((math.comb(n - 2, x - 2) * f(x) for x in range(max(f.m, 2), top + 1)), Fraction(0))
+        if own:
+            rows.append((n, log_of(own), log_of(others) if others else None))
+    most = max((r[1] for r in rows), default=0.0)
+    scaled = [(n, math.exp(own - most), 0.0 if others is None else math.exp(others - most)) for n, own, others in rows]
+    both = F.broadcast(qdb.sparkSession.createDataFrame(scaled, "n int, own double, others double"))  # one row a size
+    known = per.join(both, "n")
+    mass = qdb.join(known, "tid").select("item", (F.col("own") * F.col("w") + F.col("others") * (F.col("s") - F.col("w"))).alias("mass"))
+    z = known.agg(F.sum(F.col("s") * F.col("own")).alias("z"))
     return mass.groupBy("item").agg(F.sum("mass").alias("mass")).crossJoin(F.broadcast(z)).select("item", (F.col("mass") / F.col("z")).alias("p"))  # z: one row

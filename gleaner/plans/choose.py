@@ -9,21 +9,20 @@ from gleaner.operators.lengths import LengthUtility
 
 @dataclass(frozen=True)
 class Choice:
+    """``weight`` is what ``model.weights`` does for the length function; ``pick`` and ``engine`` are what the sampler runs."""
+
     weight: str
-    precision: str
     pick: str
     engine: str
-    layout: str
 
     def text(self) -> str:
         return "\n".join(f"{k}: {v}" for k, v in vars(self).items())
 
 
 def choose(k: int, n_max: int, transactions: int, f: LengthUtility) -> Choice:
-    """Closed forms where there are; logarithms where a double can't hold 2**n; a race only for very few draws from little;
-    Arrow where nested expressions grow too long; long rows where a transaction is too long for an array."""
-    weight = "closed form" if f.unbounded and f.kind in ("const", "mean") else "sum over the interval"
-    precision = "double" if n_max <= 40 else "logarithm"
+    """A race only for very few draws from little; nested expressions while they are short, then arrays in Arrow with
+    logarithms of masses, and long rows where a transaction is too long for an array."""
+    weight = "closed form" if f.closed else "table of sizes"
     pick = "race" if k * transactions <= 10_000 else "prefix"
-    engine = "sql" if n_max <= 60 else "arrow"
-    return Choice(weight, precision, pick, engine, "long rows" if n_max > 1_000_000 else "packed")
+    engine = "sql" if n_max <= 60 else "arrow" if n_max <= 1_000_000 else "long"
+    return Choice(weight, pick, engine)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gleaner.sources.shared import shared_dir
@@ -34,9 +34,10 @@ def write_sparse(qdb: DataFrame, path: str) -> None:
 
 
 def read_sparse(spark: SparkSession, path: str) -> DataFrame:
-    """(tid, item, w) of lines ``items:total:utilities``; a transaction's id is the hash of its line and place in the file."""
+    """(tid, item, w) of lines ``items:total:utilities``. A transaction's id is the hash of its line and its number among equal lines."""
     part = F.split("value", ":")
-    lines = spark.read.text(path).select(F.xxhash64("value", F.expr("_metadata.file_block_start"), F.monotonically_increasing_id()).alias("tid"), F.split(part[0], " ").alias("items"), F.split(part[2], " ").alias("ws"))
+    lines = spark.read.text(path).groupBy("value").agg(F.count("*").alias("times")).select("value", F.explode(F.sequence(F.lit(1).cast("long"), "times")).alias("copy"))
+    lines = lines.select(F.xxhash64("value", "copy").alias("tid"), F.split(part[0], " ").alias("items"), F.split(part[2], " ").alias("ws"))
     return lines.select("tid", F.explode(F.arrays_zip("items", "ws")).alias("x")).select("tid", F.col("x.items").cast("long").alias("item"), F.col("x.ws").cast("long").alias("w"))
 
 
@@ -50,9 +51,23 @@ def read_triples(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.text(path).where(F.col("value").startswith("<")).select(grab(1).alias("s"), grab(2).alias("p"), grab(3).alias("o"))
 
 
+def bucket_of(tid: str, buckets: int) -> Column:
+    return F.pmod(F.xxhash64(tid), F.lit(buckets)).cast("int").alias("bucket")
+
+
 def write_weights(weights: DataFrame, path: str, buckets: int = 16) -> None:
     """Weights laid out by bucket, so that drawing reads only the buckets hit."""
-    weights.withColumn("bucket", F.pmod(F.xxhash64("tid"), F.lit(buckets)).cast("int")).repartition("bucket").sortWithinPartitions("tid").write.partitionBy("bucket").parquet(path)
+    weights.select("*", bucket_of("tid", buckets)).repartition("bucket").sortWithinPartitions("tid").write.partitionBy("bucket").parquet(path)
+
+
+def write_qdb(qdb: DataFrame, path: str, buckets: int = 64) -> None:
+    """A database laid out by bucket of tid, one folder each, in the order of tid and item; the number of buckets stands in the path's ``_buckets``."""
+    qdb.select("tid", "item", "w", bucket_of("tid", buckets)).repartition(buckets, "bucket").sortWithinPartitions("bucket", "tid", "item").write.partitionBy("bucket").parquet(path)
+    qdb.sparkSession.range(1).select(F.lit(buckets).alias("buckets")).write.parquet(f"{path}/_buckets")  # Spark overlooks names that begin so
+
+
+def buckets_in(path: str, spark: SparkSession) -> int:
+    return spark.read.parquet(f"{path}/_buckets").first().buckets
 
 
 def synthetic(spark: SparkSession, transactions: int, items: int, mean_length: int = 50, seed: int = 0) -> DataFrame:
