@@ -1,8 +1,9 @@
 """Main text of web pages by line-block distribution.
 
-Markup is stripped, which leaves one line for each block of a page with the length of its text outside links; lines of
-menus, notices, forms and the like weigh nothing. Sums over sliding windows of lines show where the text surges and where
-it dives; what lies between is kept. A line inside an article element weighs at least ``INSIDE``.
+Markup is stripped, which leaves one line for each block of a page with the length of its text outside links; menus,
+notices, forms and the like leave none. Sums over sliding windows of lines show where the text surges and where it dives;
+what lies between is kept. Where a page says which element is its article, that is a hint: lines inside weigh at least
+``INSIDE``, those outside only a part of their length, so that outside none but long running text surges.
 """
 
 from __future__ import annotations
@@ -16,8 +17,8 @@ from pyspark.sql import DataFrame
 
 from gleaner.llm.common import text_column
 
-#: Parameters: lines a window, sum at which text surges, weight of a line inside an article.
-WINDOW, SURGE, INSIDE = 3, 80, 200
+#: Parameters: lines a window, sum at which text surges, least weight of a line inside an article, part of its length that one outside weighs.
+WINDOW, SURGE, INSIDE, OUTSIDE = 3, 80, 200, 0.1
 #: Elements by what they mean for a reader.
 BLOCKS = frozenset(
     "address article aside blockquote body br caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 "
@@ -32,6 +33,9 @@ MARKED = re.compile(
     r"menu|nav\w*|breadcrumbs?|pagination|pager|footer|masthead|topbar|share|sharing|social|related|recommend\w*|newsletter|subscribe|signup|login|popup|modal|overlay|skip)(?:$|[\s_-])",
     re.IGNORECASE,
 )
+#: Inside an article a name alone tells little: only these, and only on elements that hold others.
+MARKED_INSIDE = re.compile(r"(?:^|[\s_-])(?:ads?|advert\w*|sponsor\w*|promo|cookies?|consent|gdpr|comments?|disqus\w*|repl(?:y|ies)|sidebar|share|sharing|social|newsletter|subscribe|signup|popup|modal)(?:$|[\s_-])", re.IGNORECASE)
+CONTAINERS = frozenset("div section aside ul ol dl table details".split())
 ROLES = re.compile(r"\brole\s*=\s*[\"']?(?:navigation|banner|contentinfo|complementary|search|form|dialog|alert)\b|\bhidden\b(?!-)|aria-hidden\s*=\s*[\"']?true|display\s*:\s*none", re.IGNORECASE)
 NAMES = re.compile(r"\b(?:class|id)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.IGNORECASE)
 TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.DOTALL)
@@ -73,6 +77,8 @@ def lines(page: str) -> list[tuple[str, int, bool]]:
             continue
         if name in BLOCKS:
             close()
+            if end or name in HOLDS:  # a link left open ends with its block
+                links = 0
         if end:
             if name == "a":
                 links = max(0, links - 1)
@@ -89,7 +95,8 @@ def lines(page: str) -> list[tuple[str, int, bool]]:
         attributes = m[3]
         dropped = name in ASIDE or name == "header" and not holds
         if not dropped and attributes and name not in ("html", "body", *HOLDS):
-            dropped = bool(ROLES.search(attributes)) or any(MARKED.search(f"{a}{b}{c}") for a, b, c in NAMES.findall(attributes))
+            marked = MARKED if not holds else MARKED_INSIDE if name in CONTAINERS else None
+            dropped = bool(ROLES.search(attributes)) or marked is not None and any(marked.search(f"{a}{b}{c}") for a, b, c in NAMES.findall(attributes))
         if dropped and name not in VOID and not attributes.endswith("/") and re.compile(rf"</{re.escape(name)}\s*>", re.IGNORECASE).search(page, pos):
             close()
             skip = (name, 1)
@@ -103,27 +110,36 @@ def lines(page: str) -> list[tuple[str, int, bool]]:
     return out
 
 
-def main_text(page: str) -> str:
-    """The text of every article element; on pages without one, of every stretch between a surge and a dive."""
-    rows = lines(page)
-    if not rows:
-        return ""
-    weight = [max(w, INSIDE) if inside else w for _, w, inside in rows]
-    if any(inside for *_, inside in rows):  # the page says where its article is: all else is around it
-        weight = [w if inside else 0 for w, (*_, inside) in zip(weight, rows, strict=True)]
+def kept(weight: list[float], surge: float) -> list[int]:
+    """The lines between each surge and the dive that follows it, but for those that weigh nothing.
+
+    The text surges where the sum of a window reaches ``surge``, and dives where it falls below at a line without weight, or
+    where a whole window has none.
+    """
     sums = [sum(weight[i : i + WINDOW]) for i in range(len(weight))]
-    stretches: list[tuple[int, int]] = []
-    start = None
-    for i, total in enumerate([*sums, 0]):
-        if start is None and total >= SURGE and i < len(weight) and weight[i]:
-            start = i
-        elif start is not None and (i == len(weight) or total < SURGE and not weight[i] or not any(weight[i : i + WINDOW])):
-            stretches.append((start, i))
+    start, out = None, []
+    for i in range(len(weight) + 1):
+        if i == len(weight) or start is not None and not weight[i] and (sums[i] < surge or not sums[i]):
+            if start is not None:
+                out += [k for k in range(start, i) if weight[k]]
             start = None
-    if not stretches:
-        best = max(range(len(rows)), key=lambda i: weight[i])
-        return rows[best][0] if weight[best] else ""
-    return " ".join(rows[i][0] for a, b in stretches for i in range(a, b) if weight[i])
+        elif start is None and weight[i] and sums[i] >= surge:
+            start = i
+    return out
+
+
+def main_text(page: str) -> str:
+    """The text of every stretch between a surge and a dive, blocks joined by blanks. On a page where nothing surges, the heaviest window does."""
+    rows = lines(page)
+    if any(inside for *_, inside in rows):
+        told = [float(max(w, INSIDE)) if inside else 0.0 for _, w, inside in rows]
+        around = [w * OUTSIDE if w >= SURGE and not inside else 0.0 for _, w, inside in rows]
+        chosen = sorted([*kept(told, SURGE), *kept(around, SURGE)])
+    else:
+        plain = [float(w) for _, w, _ in rows]
+        heaviest = max((sum(plain[i : i + WINDOW]) for i in range(len(plain))), default=0.0)
+        chosen = kept(plain, min(SURGE, heaviest))
+    return " ".join(rows[i][0] for i in chosen)
 
 
 def extract(pages: DataFrame) -> DataFrame:
