@@ -18,12 +18,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gleaner.llm.common import binary_column
-from gleaner.sources.shared import written
+from gleaner.llm.common import binary_column, quoted
+from gleaner.operators.components import HEAVY, spread_join
+from gleaner.sources.shared import dropped, written
 
 WINDOW, GRAM = 200, 32
 #: Different contexts of one anchor above which windows are counted one by one.
 CROWD = 4000
+#: Anchors of one hash that are never too many for a task.
+SPREAD = 1000
 CHUNK = 1 << 21
 _R = np.uint64(0x9E3779B97F4A7C15 | 1)
 _RINV = np.uint64(pow(int(_R), -1, 1 << 64))
@@ -181,8 +184,12 @@ def _runs(flags: np.ndarray) -> list[int]:
     return np.flatnonzero(np.diff(np.concatenate([[0], flags.astype(np.int8), [0]]))).tolist()
 
 
-def repeated_windows(contexts: list[bytes], window: int) -> list[tuple[list[int], list[int]]]:
-    """For each context (in order of first place), stretches of windows that stand in another one, and in an earlier one."""
+def repeated_windows(contexts: list[bytes], window: int, both: bool = True) -> list[tuple[list[int], list[int]]]:
+    """For each context (in order of first place), stretches of windows that stand in another one, and in an earlier one.
+
+    The longest previous factor of a place tells whether its window stands earlier, that of the mirrored order of places
+    whether it stands later; ``both``: whether the latter is asked for.
+    """
     data = np.frombuffer(b"".join(contexts), dtype=np.uint8)
     size = np.array([len(c) for c in contexts])
     starts = np.concatenate([[0], np.cumsum(size)[:-1]])
@@ -192,21 +199,23 @@ def repeated_windows(contexts: list[bytes], window: int) -> list[tuple[list[int]
         inside[s + n - window + 1 : s + n] = False
     order = order[inside[order]]
     same = np.concatenate([[False], rank[order[1:]] == rank[order[:-1]]])
-    factor = np.zeros(len(data), dtype=np.int64)
-    got = longest_previous_factors(np.argsort(np.argsort(order)) if len(order) else order, np.where(same, window, 0))
-    factor[np.sort(order)] = got
-    later = factor >= window
-    either = np.zeros(len(data), dtype=bool)
-    either[order] = same | np.concatenate([same[1:], [False]])[: len(same)]
+    common = np.where(same, window, 0)
+    places = np.sort(order)
+    rank_of = np.argsort(np.argsort(order)) if len(order) else order  # positions without gaps, in suffix order
+    later, either = (np.zeros(len(data), dtype=bool) for _ in range(2))
+    later[places] = longest_previous_factors(rank_of, common) >= window
+    if both:  # the same seen from the end: what stands in a later place too
+        either[places] = longest_previous_factors(len(order) - 1 - rank_of, common)[::-1] >= window
+    either |= later
     return [(_runs(either[s : s + n - window + 1]), _runs(later[s : s + n - window + 1])) for s, n in zip(starts.tolist(), size.tolist(), strict=True)]
 
 
-def _marks(window: int):
+def _marks(window: int, both: bool):
     """Contexts sorted by (h, doc_id, lo) come in; groups may span batches. Marks go out."""
     names = ["h", "c", "either", "later"]
 
     def solve(rows: list[tuple]) -> pa.RecordBatch:
-        got = repeated_windows([r[2] for r in rows], window)
+        got = repeated_windows([r[2] for r in rows], window, both)
         kinds = (pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.list_(pa.int32()))
         return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(([r[0] for r in rows], [r[1] for r in rows], [g[0] for g in got], [g[1] for g in got]), kinds, strict=True)], names)
 
@@ -265,26 +274,29 @@ def _contexts(window: int):
 def spans(docs: DataFrame, window: int = WINDOW, keep_first: bool = False, crowd: int = CROWD) -> DataFrame:
     """``docs`` (doc_id as BIGINT, text, _k and more) with ``_cut``: flat [lo, hi, lo, hi ...] byte stretches to remove, unsorted, or null."""
     rows = written(docs.select("doc_id", "_k", "text").mapInArrow(_anchor_rows(window), "h long, c long, doc_id long, _k long, lo long, n long"), "anchors")
-    twice = rows.groupBy("h").agg(F.count("*").alias("m")).where("m > 1").select("h")
-    rows = written(rows.join(twice, "h"), "anchors")
+    heavy = max(int(rows.count() * HEAVY), SPREAD)  # anchors of one hash above which it is broadcast: fewer than 1 / HEAVY hashes
+    all_rows, twice = rows, written(rows.groupBy("h").agg(F.count("*").alias("m")).where("m > 1"), "hashes")
+    rows = written(spread_join(rows, twice, ["h"], F.col("m") > heavy).drop("m"), "anchors")
+    dropped(all_rows)
     kinds = rows.groupBy("h", "c").agg(F.count("*").alias("m"), F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "lo", "_k", "n")).alias("first"))
+    kinds = written(kinds, "kinds")
     mixed = kinds.groupBy("h").agg(F.count("*").alias("kinds")).where("kinds > 1")
-    asked = kinds.join(mixed, "h").select("h", "c", "kinds", "first.*")
+    asked = spread_join(kinds, mixed, ["h"], F.col("kinds") > heavy).select("h", "c", "kinds", "first.*")
     asked = asked.groupBy("doc_id", "_k").agg(F.collect_list(F.struct("h", "c", "lo", "n", "kinds")).alias("asked"))  # at most one per 2 bytes of its document
     same = docs.doc_id.eqNullSafe(F.col("_d")) & (docs._k == F.col("_x"))
     asked = asked.withColumnsRenamed({"doc_id": "_d", "_k": "_x"})
     near = docs.join(asked, same).select("doc_id", "text", "asked").mapInArrow(_contexts(window), "h long, c long, lo long, kinds long, doc_id long, context binary")
     near = written(near, "contexts")
     few = near.where(F.col("kinds") <= crowd).repartition("h").sortWithinPartitions("h", F.asc_nulls_last("doc_id"), "lo", "c")
-    marks = few.select("h", "c", "context").mapInArrow(_marks(window), "h long, c long, either array<int>, later array<int>")
+    marks = few.select("h", "c", "context").mapInArrow(_marks(window, not keep_first), "h long, c long, either array<int>, later array<int>")
     single = near.where(F.col("kinds") > crowd).dropDuplicates(["h", "c"]).mapInArrow(_window_rows(window), "w1 long, w2 long, h long, c long, doc_id long, lo long, i int")
     place = F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "lo", "c")
     many = single.groupBy("w1", "w2").agg(F.count("*").alias("m"), F.min(place).alias("least")).where("m > 1")
     step = F.array(F.col("i"), F.col("i") + 1)
     found = single.join(many, ["w1", "w2"]).groupBy("h", "c").agg(F.flatten(F.collect_list(step)).alias("either"), F.flatten(F.collect_list(F.when(place > F.col("least"), step))).alias("later"))
     kinds = kinds.join(marks.unionByName(found), ["h", "c"], "left").select("h", "c", "m", F.col("first.doc_id").alias("_fd"), F.col("first.lo").alias("_fl"), F.col("later" if keep_first else "either").alias("part"))
-    kinds = kinds.where("m > 1 or size(part) > 0")
-    hit = rows.join(kinds, ["h", "c"])
+    kinds = written(kinds.where("m > 1 or size(part) > 0"), "marks")
+    hit = spread_join(rows, kinds, ["h", "c"], F.col("m") > heavy)
     whole = ~(F.col("doc_id").eqNullSafe(F.col("_fd")) & (F.col("lo") == F.col("_fl"))) if keep_first else F.col("m") > 1
     part = F.when(whole, F.array(F.lit(0), F.col("n").cast("int"))).otherwise(F.coalesce("part", F.array().cast("array<int>")))
     moved = F.transform(part, lambda x, i: x + F.col("lo") + F.when(i % 2 == 1, window - 1).otherwise(0))
@@ -335,7 +347,9 @@ def suffix_dedup(docs: DataFrame, window: int = WINDOW, keep_first: bool = False
 def cut_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """``docs`` with all its columns; later copies of repeated passages are cut from ``text``, the first stays.
 
-    ``n_chars``, if there is one, follows. A character that a cut goes through is dropped.
+    ``n_chars``, if there is one, follows. A character that a cut goes through is dropped. Null text stays null and short
+    texts stay whole; repeated rows are cut alike, and count as one when the first place of a passage is sought; a null
+    doc_id is larger than any other; other columns may have any type or name; an empty table gives an empty one.
     """
     plain, schema = docs.columns, docs.schema
 
@@ -354,6 +368,6 @@ def cut_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
                     columns.append(rest.field(name))
             yield pa.RecordBatch.from_arrays(columns, plain)
 
-    rest = F.struct(*[c for c in plain if c != "text"]).alias("rest")  # so that no name can clash
+    rest = F.struct(*[quoted(c) for c in plain if c != "text"]).alias("rest")  # so that no name can clash
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", rest, F.xxhash64("doc_id", "text").alias("_k"))
     return spans(keyed, window, True).select("text", "rest", "_cut").mapInArrow(run, schema)

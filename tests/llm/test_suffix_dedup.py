@@ -53,7 +53,10 @@ def corpus() -> dict:
 
 @pytest.mark.parametrize("keep_first", [False, True])
 @pytest.mark.parametrize("crowd", [4000, 3])
-def test_equals_brute_force(spark, keep_first, crowd):
+def test_equals_brute_force(spark, monkeypatch, keep_first, crowd):
+    if crowd == 3:
+        monkeypatch.setattr(S, "SPREAD", 2)  # nearly all hashes go the way of heavy ones
+        monkeypatch.setattr(S, "HEAVY", 0)
     texts = corpus()
     docs = spark.createDataFrame([(k, t, "clash", 5) for k, t in texts.items()], SCHEMA)
     got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in S.suffix_dedup(docs, keep_first=keep_first, crowd=crowd).collect()}
