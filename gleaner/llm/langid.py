@@ -9,6 +9,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -17,7 +18,14 @@ from gleaner.llm.common import held_out, text_column
 #: Parameters of the model: documents to learn from (chosen by hash), words kept, longest n-gram.
 MAX_TRAIN, MAX_WORDS, LONGEST = 30_000, 150_000, 5
 CACHE = 300_000
-WORD = re.compile(r"[^\W\d_]+")
+#: A word: letters, each with the marks that combine with it. ASCII texts need no tables of categories.
+WORD, ASCII_WORD = regex.compile(r"(?:\p{L}\p{M}*)+"), re.compile(r"[a-z]+")
+
+
+def words_in(text: str) -> list[str]:
+    """The words of a text, lower-cased."""
+    text = text.lower()
+    return ASCII_WORD.findall(text) if text.isascii() else WORD.findall(text)
 
 
 def shares(counts: dict[str, int], bound: int) -> dict[str, float]:
@@ -51,7 +59,7 @@ def word_counts(rows: DataFrame, most: int = MAX_WORDS) -> list:
 
         for batch in batches:
             for text, lang in zip(text_column(batch, "text"), batch.column("lang").to_pylist(), strict=True):
-                seen.setdefault(lang, Counter()).update(WORD.findall(text.lower()))
+                seen.setdefault(lang, Counter()).update(words_in(text))
             if sum(map(len, seen.values())) > 200_000:
                 yield flush()
         yield flush()
@@ -116,7 +124,7 @@ class Reader:
         self.model, self.at, self.table = model, {}, np.zeros((CACHE, len(model.langs)))
 
     def __call__(self, texts: list[str]) -> list[tuple[str, float]]:
-        return [self._one(words) for words in self._known([WORD.findall(t.lower()) for t in texts])]
+        return [self._one(words) for words in self._known([words_in(t) for t in texts])]
 
     def _known(self, split: list[list[str]]) -> Iterator[list[str]]:
         new = [w for w in set().union(*split) if w not in self.at]
