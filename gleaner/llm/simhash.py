@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gleaner.llm.common import binary_column
-from gleaner.operators.components import components
+from gleaner.operators.components import components, spread_join
 from gleaner.sources.shared import written
 
 #: Fixed values of the contract.
@@ -151,7 +151,7 @@ def near_links(fps: DataFrame, radius: int = RADIUS, bands: int = BANDS, tile: i
     picked = F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.lit(m).alias("m")) for i, m in enumerate(masks(bands, radius))])).alias("p")
     keyed = fps.select("fp", picked).select("fp", F.xxhash64("p.i", F.col("fp").bitwiseAND(F.col("p.m"))).alias("block"), F.bit_count("fp").alias("ones"))
     crowd = keyed.groupBy("block").agg(F.count("*").alias("n")).where("n > 1")
-    keyed = keyed.join(crowd, "block")
+    keyed = spread_join(keyed, crowd, ["block"], F.col("n") > tile)  # at most rows / tile blocks, of a few numbers each
     plain = keyed.where(F.col("n") <= tile).select("block", "fp", F.lit(2).alias("side"))
     # A crowded block: tiles are (population count, part); each pair of tiles within the radius is a block of its own.
     parts = F.ceil(F.col("n") / tile / 4)
