@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DataType, MapType, StructType, VariantType
 
 
 def binary_column(batch: pa.RecordBatch, name: str) -> Iterator[bytes]:
@@ -24,3 +25,26 @@ def text_column(batch: pa.RecordBatch, name: str) -> Iterator[str]:
 def held_out(doc_id: Column) -> Column:
     """Rows that no model may learn from."""
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(4)) == 2, F.lit(False))
+
+
+def quoted(name: str) -> Column:
+    """A column by its name, whatever stands in it."""
+    return F.col(f"`{name.replace('`', '``')}`")
+
+
+def named(docs: DataFrame) -> list[Column]:
+    return [quoted(c) for c in docs.columns]
+
+
+def _hashes(kind: DataType) -> bool:
+    """Whether Spark hashes values of a type."""
+    if isinstance(kind, ArrayType):
+        return _hashes(kind.elementType)
+    if isinstance(kind, StructType):
+        return all(_hashes(f.dataType) for f in kind.fields)
+    return not isinstance(kind, (MapType, VariantType))
+
+
+def row_hash(docs: DataFrame) -> Column:
+    """A number of each row, from all columns that Spark can hash."""
+    return F.xxhash64(*[quoted(f.name) for f in docs.schema.fields if _hashes(f.dataType)])

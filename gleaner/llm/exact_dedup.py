@@ -12,6 +12,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from gleaner.llm.common import named, row_hash
 from gleaner.sources.shared import written
 
 #: What counts as white space, and what a run of it becomes.
@@ -57,9 +58,13 @@ def exact_dedup(docs: DataFrame, salts: int = SALTS, digest: Callable[[Column],
 
 
 def drop_exact(docs: DataFrame, salts: int = SALTS) -> DataFrame:
-    """``docs`` with all its columns, less the later copies; of repeated rows of one doc_id and text one stays."""
-    gone = exact_dedup(docs, salts).where("not kept").select(F.col("doc_id").alias("__gleaner_gone_id"), F.col("text_sha256").alias("__gleaner_gone_sha")).distinct()
-    keyed = docs.withColumn("__gleaner_sha", sha256(normalised(F.col("text"))))
+    """``docs`` with all its columns, less the later copies; of repeated rows of one doc_id and text one stays.
+
+    Null text counts as empty, a null doc_id as larger than any other; other columns may have any type or name; which of the
+    rows that agree in doc_id and text stays is told by a hash of all columns; an empty table gives an empty one.
+    """
+    gone = exact_dedup(docs.select("doc_id", "text"), salts).where("not kept").select(F.col("doc_id").alias("__gleaner_gone_id"), F.col("text_sha256").alias("__gleaner_gone_sha")).distinct()
+    keyed = docs.select("*", sha256(normalised(F.col("text"))).alias("__gleaner_sha"), row_hash(docs).alias("__gleaner_row"))
     kept = keyed.join(gone, F.col("doc_id").eqNullSafe(F.col("__gleaner_gone_id")) & (F.col("__gleaner_sha") == F.col("__gleaner_gone_sha")), "left_anti")
-    first = F.row_number().over(Window.partitionBy("doc_id", "__gleaner_sha").orderBy(F.xxhash64(*docs.columns)))
-    return kept.withColumn("__gleaner_n", first).where("__gleaner_n = 1").select(*docs.columns)
+    first = F.row_number().over(Window.partitionBy("doc_id", "__gleaner_sha").orderBy("__gleaner_row"))
+    return kept.withColumn("__gleaner_n", first).where("__gleaner_n = 1").select(*named(docs))

@@ -16,8 +16,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
-from gleaner.llm.common import held_out, text_column
+from gleaner.llm.common import held_out, named, text_column
 from gleaner.llm.merges import TwoAges
 
 #: Parameters: labelled rows to learn from (chosen by hash of doc_id), candidate features, lexicon size, threshold.
@@ -275,15 +276,21 @@ def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """``docs`` with all its columns, less the rows predicted toxic."""
+    """``docs`` with all its columns, less the rows predicted toxic.
+
+    Null and empty texts stay; repeated rows stay or go together; a null doc_id changes nothing; other columns may have any
+    type or name; without labels all rows stay; an empty table gives an empty one.
+    """
     lm = language_model(docs)
     lexicon, rest = learn(docs, labels, lm)
     shared = docs.sparkSession.sparkContext.broadcast((lm, lexicon, rest))
-    schema = docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         score = Scorer(*shared.value)
         for batch in batches:
-            yield batch.filter(pa.array([score(t) < THRESHOLD for t in text_column(batch, "text")], pa.bool_()))
+            rows = batch.column("row")
+            stays = [score(t.as_py() or "") < THRESHOLD for t in rows.field("text")]
+            yield pa.RecordBatch.from_arrays([rows.filter(pa.array(stays, pa.bool_()))], ["row"])
 
-    return docs.mapInArrow(run, schema)
+    whole = docs.select(F.struct(*named(docs)).alias("row"))  # so that no name stands in the way
+    return whole.mapInArrow(run, StructType([StructField("row", docs.schema)])).select("row.*")

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
+import random
 from itertools import combinations
 
 import numpy as np
 import xxhash
 
-from gleaner.llm import html_text, langid, licenses, merge_dropout, packing, toxicity
+from gleaner.llm import exact_dedup, html_text, langid, licenses, merge_dropout, near_dedup, packing, suffix_dedup, toxicity
 
 
 def test_dropout_is_drawn_for_each_occurrence(spark):
@@ -118,6 +119,68 @@ def test_short_sections_of_a_page_stay():
     assert one == f"{long}{short}" and two == f"{long}{long}Brief."
 
 
+def test_pages_of_known_parts(spark):
+    """Pages put together of known parts, with an article element or without, against the parts that belong to the text."""
+    dice = random.Random(8)
+    said = lambda n: " ".join("".join(dice.choice("abcdefgh") for _ in range(dice.randrange(3, 9))) for _ in range(n))
+    noise = [
+        lambda: "<nav><ul>" + "".join(f"<li><a href=/{i}>{said(1)}</a></li>" for i in range(6)) + "</ul></nav>", lambda: f'<div class="ad">{said(30)}</div>', lambda: f"<script>var x = '<p>{said(20)}</p>';</script>",
+        lambda: f'<div id="cookie-notice"><p>{said(25)}</p><button>ok</button></div>', lambda: f"<aside><p>{said(40)}</p></aside>", lambda: f"<form><label>{said(3)}</label><input name=q></form>", lambda: f"<!-- {said(30)} -->",
+        lambda: "".join(f"<div><a href=/{i}>{said(3)}</a></div>" for i in range(5)), lambda: f'<ul class="related">{"".join(f"<li>{said(6)}</li>" for _ in range(4))}</ul>',
+    ]
+    after = [lambda: f'<section class="comments"><p>{said(40)}</p><p>{said(30)}</p></section>', lambda: f"<footer>&copy; {said(12)}</footer>"]
+    rows, want = [], {}
+    for page in range(200):
+        article = page % 2 == 0
+        body = []
+        for _ in range(dice.randrange(2, 7)):
+            text = said(dice.randrange(20, 60))
+            tag = dice.choice(["p", "div", "blockquote", 'p class="related-work"', 'p id="notice"', 'div class="side"']) if article else dice.choice(["p", "div", "blockquote"])
+            body.append((f"<{tag}>{text.replace(' ', dice.choice([' ', '  ', chr(10)]), 1)} &amp; <b>so</b></{tag.split()[0]}>", f"{text} & so"))
+            if article and dice.random() < 0.3:
+                body.append((f"<h2>{said(2)}</h2>", None))
+                body[-1] = (body[-1][0], body[-1][0][4:-5])
+            if article and dice.random() < 0.3:
+                body.append((f'<div class="ad">{said(30)}</div>', None))
+        inner = "".join(h for h, _ in body)
+        before, behind = "".join(n() for n in dice.sample(noise, 4)), "".join(n() for n in dice.sample(noise, 2)) + "".join(n() for n in after)
+        rows.append((page, f"http://x/{page}", f"<html><head><title>t</title></head><body>{before}{'<article>' if article else '<div>'}{inner}{'</article>' if article else '</div>'}{behind}</body></html>", "clash"))
+        want[page] = " ".join(t for _, t in body if t)
+    rows += [(1000, None, None, ""), (None, "u", "", ""), (1001, "u", "<p>One.</p><p>Two more.</p><p>Three.</p>", ""), (1001, "u", "<p>One.</p><p>Two more.</p><p>Three.</p>", ""), (1002, "u", "<div><a href=x>Home</div><p>" + "main text " * 20 + "</p>", "")]
+    rows.append((1003, "u", "<p>" + "very long " * 200_000 + "</p>", ""))
+    want |= {1000: "", None: "", 1001: "One. Two more. Three.", 1003: ("very long " * 200_000).strip()}
+    got = html_text.extract(spark.createDataFrame(rows, "page_id long, url string, html string, text string")).collect()
+    assert len(got) == len(rows) and all(r.n_chars == len(r.text) for r in got)
+    for r in got:
+        if r.page_id in want:
+            assert r.text == want[r.page_id], r.page_id
+    assert next(r.text for r in got if r.page_id == 1002).endswith(("main text " * 20).strip())
+    assert html_text.extract(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
+
+
+def test_words_are_letters_with_their_marks(spark):
+    assert langid.words_in("Été ½ ² naïve x1y हिन्दी 42 A") == ["été", "naïve", "x", "y", "हिन्दी", "a"]
+    docs = spark.createDataFrame([(i, "wim wam wom", "aa") for i in range(40)] + [(100, "½ ² 42", "aa"), (101, None, "aa"), (None, "wim", None), (100, "wim wam", "bb")], "doc_id long, text string, lang string")
+    got = [(r.doc_id, r.lang_pred) for r in langid.identify(docs).collect()]
+    assert (100, "und") in got and (101, "und") in got and (None, "aa") in got and len(got) == 44
+
+
+def test_rows_with_any_columns(spark):
+    """Maps, dotted names, shared and null ids: stages keep what they should."""
+    long = lambda k: " ".join(f"w{k}x{i}" for i in range(60))
+    rows = [(1, long(1), {"a": 1}, 5), (1, long(1), {"a": 1}, 5), (2, long(1), {"b": 2}, 6), (None, long(3), None, 7), (None, long(4), {}, 8), (2, long(5), {}, 9), (3, None, {}, 1), (4, "", {}, 1)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, m map<string,int>, `a.b` int")
+    want = sorted([(1, long(1)), (None, long(3)), (None, long(4)), (2, long(5)), (3, None)], key=str)
+    for stage in (exact_dedup.drop_exact, near_dedup.drop_near):
+        out = stage(docs)
+        assert out.columns == docs.columns and sorted(((r.doc_id, r.text) for r in out.collect()), key=str) == want
+        assert stage(docs.limit(0)).count() == 0
+    cut = suffix_dedup.cut_repeats(docs)
+    assert cut.columns == docs.columns and cut.count() == 8 and suffix_dedup.cut_repeats(docs.limit(0)).count() == 0
+    labels = spark.createDataFrame([], "doc_id long, toxic int")
+    assert toxicity.drop_toxic(docs, labels).count() == 8
+
+
 def test_small_languages_keep_their_words(spark):
     big = [(f"big{chr(97 + i % 26)}{chr(97 + i // 26)} " * 5, "aa") for i in range(400)]
     small = [("wim wam wom", "bb"), ("kri kra", "cc")]
