@@ -39,10 +39,15 @@ SPACED = re.compile(rf"(?<![^\s.\-_*]){_UNIT}(?:[\s.\-_*]{{1,3}}{_UNIT.replace(c
 _MARKS = re.escape("".join(c for c in LOOKS if not c.isalnum()))
 EDGE = re.compile(rf"^[^\w{_MARKS}]+|[^\w{_MARKS}]+$")
 TWICE = re.compile(r"(.)\1")
+#: Letters none of which is doubled, or a run of one character.
+RUN = re.compile(rf"(?:([{LETTERS}])(?!\1))+|(.)\2*", re.DOTALL)
 #: Costs of a gap in a run: inside a word, between two.
 INSIDE_WORD, BETWEEN = 0.3, 0.0
 
 
+#: Logarithms by first, second and third character: nested lists, which plain Python reads faster than arrays.
+Model = list[list[list[float]]]
+
 # --- character language model -------------------------------------------------------------------------------------
 
 
@@ -53,7 +58,7 @@ def trigram_counts(texts: list[str]) -> np.ndarray:
     return np.bincount(code[:-2] * A * A + code[1:-1] * A + code[2:], minlength=A**3)
 
 
-def language_model(docs: DataFrame) -> np.ndarray:
+def language_model(docs: DataFrame) -> Model:
     """Log probability of the third character after two, over every document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -79,21 +84,25 @@ def language_model(docs: DataFrame) -> np.ndarray:
     cube = counts.reshape(A, A, A)
     single = (cube.sum(axis=(0, 1)) + 0.5) / (cube.sum() + 0.5 * A)
     double = (cube.sum(axis=0) + 20 * single) / (cube.sum(axis=(0, 2))[:, None] + 20)
-    return np.log((cube + 20 * double[None]) / (cube.sum(axis=2)[:, :, None] + 20))
+    return np.log((cube + 20 * double[None]) / (cube.sum(axis=2)[:, :, None] + 20)).tolist()
 
 
 # --- lattice ------------------------------------------------------------------------------------------------------
 
 
 def lattice(token: str) -> list[list[tuple[str, float]]]:
-    """For each run of one character, what it may stand for, with the channel's cost."""
+    """For each run of one character, or stretch of single letters, what it may stand for, with the channel's cost."""
     out = []
-    for run in re.finditer(r"(.)\1*", token, re.DOTALL):
-        c, n = run[1], len(run[0])
+    for run in RUN.finditer(token):
+        c, said = run[2], run[0]
+        if c is None:
+            out.append([(said, 0.0)])
+            continue
+        n = len(said)
         if c == " ":  # only runs have it
             out.append([("", INSIDE_WORD), (" ", BETWEEN)])
         elif c in _INDEX:
-            out.append([(c, 0.0)] if n == 1 else [(c, 1.0 if n == 2 else 0.2), (c * 2, 0.0 if n == 2 else 0.7)])
+            out.append([(c, 1.0 if n == 2 else 0.2), (c * 2, 0.0 if n == 2 else 0.7)])
         else:
             drop = [("", 2.0)] if not c.isalnum() or n == 1 else []
             looks = [(x * k, 0.7 + 0.5 * (k - 1)) for x in LOOKS.get(c, "") for k in range(1, min(n, 2) + 1)]
@@ -101,7 +110,7 @@ def lattice(token: str) -> list[list[tuple[str, float]]]:
     return out
 
 
-def decode(token: str, lm: np.ndarray) -> str:
+def decode(token: str, lm: Model) -> str:
     """The likeliest word behind ``token``: Viterbi over states of the last two characters."""
     best: dict[tuple[int, int], tuple[float, tuple]] = {(0, 0): (0.0, ())}  # score, and the way back: (earlier, letters)
     for choices in lattice(token):
@@ -111,13 +120,13 @@ def decode(token: str, lm: np.ndarray) -> str:
                 x, y, s = a, b, score - cost
                 for c in letters:
                     z = _INDEX.get(c, 0)  # 0: between words
-                    s += lm[x, y, z]
+                    s += lm[x][y][z]
                     x, y = y, z
                 if (x, y) not in after or after[x, y][0] < s:
                     after[x, y] = (s, (way, letters))
         best = after
     ends = [ab for ab in best if ab != (0, 0)] or [*best]  # without any letter only if there is no other reading
-    way = best[max(ends, key=lambda ab: (best[ab][0] + lm[ab[0], ab[1], 0], ab))][1]
+    way = best[max(ends, key=lambda ab: (best[ab][0] + lm[ab[0]][ab[1]][0], ab))][1]
     parts = []
     while way:
         way, letters = way
@@ -125,7 +134,7 @@ def decode(token: str, lm: np.ndarray) -> str:
     return "".join(reversed(parts))
 
 
-def restored(token: str, lm: np.ndarray) -> str:
+def restored(token: str, lm: Model) -> str:
     """A word of plain letters, none doubled, stands for itself; any other with a letter or look-alike goes through the lattice."""
     token = EDGE.sub("", token)
     if not token or token.isalpha() and not TWICE.search(token):
@@ -142,12 +151,12 @@ def parts(text: str) -> set[str]:
     return found
 
 
-def read(part: str, lm: np.ndarray) -> list[str]:
+def read(part: str, lm: Model) -> list[str]:
     """The words behind a token or a run."""
     return decode(part, lm).split() if " " in part else [w] if (w := restored(part, lm)) else []
 
 
-def words_of(text: str, lm: np.ndarray, known: dict[str, list[str]]) -> set[str]:
+def words_of(text: str, lm: Model, known: dict[str, list[str]]) -> set[str]:
     """Restored words of a text, among them those joined from letters set apart."""
     if len(known) > CACHE:
         known.clear()
@@ -163,8 +172,12 @@ def words_of(text: str, lm: np.ndarray, known: dict[str, list[str]]) -> set[str]
 # --- lexicon ------------------------------------------------------------------------------------------------------
 
 
-def features(word: str) -> list[str]:
-    return [word + "$", *(word[:k] for k in (4, 5, 6) if len(word) >= k)]
+def features(word: str) -> tuple[str, ...]:
+    """The word as a whole, and its beginnings of four to six letters."""
+    n = len(word)
+    if n >= 6:
+        return word + "$", word[:4], word[:5], word[:6]
+    return (word + "$", word[:4], word) if n == 5 else (word + "$", word) if n == 4 else (word + "$",)
 
 
 def _train_rows(docs: DataFrame, labels: DataFrame, bound: int) -> DataFrame:
@@ -174,7 +187,7 @@ def _train_rows(docs: DataFrame, labels: DataFrame, bound: int) -> DataFrame:
     return docs.select("doc_id", "text").join(F.broadcast(few), "doc_id")  # at most about `bound` rows of two numbers
 
 
-def learn(docs: DataFrame, labels: DataFrame, lm: np.ndarray, bound: int = MAX_TRAIN) -> tuple[dict[str, float], float]:
+def learn(docs: DataFrame, labels: DataFrame, lm: Model, bound: int = MAX_TRAIN) -> tuple[dict[str, float], float]:
     """Lexicon {feature: probability that a document with it is toxic}, and that of documents without any.
 
     Features are taken greedily, the surest first, as long as they explain toxic documents not explained yet: words that
@@ -237,13 +250,17 @@ def learn(docs: DataFrame, labels: DataFrame, lm: np.ndarray, bound: int = MAX_T
 class Scorer:
     """Scores texts; what a token counts is kept, up to a bound."""
 
-    def __init__(self, lm: np.ndarray, lexicon: dict[str, float], rest: float) -> None:
+    def __init__(self, lm: Model, lexicon: dict[str, float], rest: float) -> None:
         self.lm, self.lexicon, self.rest, self.hits = lm, lexicon, rest, TwoAges(CACHE)
 
     def weights(self, part: str) -> tuple[tuple[str, float], ...]:
         """The words behind a token or a run that are in the lexicon, and what each counts."""
-        lexicon = self.lexicon
-        return tuple((w, p) for w in read(part, self.lm) if (p := max(lexicon.get(f, 0.0) for f in features(w))))
+        lexicon, out = self.lexicon, []
+        for word in read(part, self.lm):
+            found = [lexicon[f] for f in features(word) if f in lexicon]
+            if found:
+                out.append((word, max(found)))
+        return tuple(out)
 
     def __call__(self, text: str) -> float:
         """Noisy-or of the words found; ``rest`` without any."""
@@ -256,6 +273,16 @@ class Scorer:
         return 1.0 - miss
 
 
+_last: list = [None, None]
+
+
+def scorer(model: tuple[Model, dict[str, float], float]) -> Scorer:
+    """One for all tasks of a worker process that have the same model."""
+    if _last[0] is not model:
+        _last[:] = model, Scorer(*model)
+    return _last[1]
+
+
 def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """(doc_id, held_out, score, predicted) for every row of ``docs`` (doc_id, text); ``labels``: (doc_id, toxic).
 
@@ -267,7 +294,7 @@ def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast((lm, lexicon, rest))  # A**3 and MAX_LEXICON numbers
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        score = Scorer(*shared.value)
+        score = scorer(shared.value)
         for batch in batches:
             got = [score(t) for t in text_column(batch, "text")]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array(got, pa.float64()), pa.array([int(x >= THRESHOLD) for x in got], pa.int32())], ["doc_id", "held_out", "score", "predicted"])
@@ -286,7 +313,7 @@ def drop_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast((lm, lexicon, rest))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        score = Scorer(*shared.value)
+        score = scorer(shared.value)
         for batch in batches:
             rows = batch.column("row")
             stays = [score(t.as_py() or "") < THRESHOLD for t in rows.field("text")]
