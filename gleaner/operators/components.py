@@ -21,7 +21,9 @@ HEAVY = 1 / 1000
 
 def spread_join(rows: DataFrame, side: DataFrame, key: list[str], heavy: Column) -> DataFrame:
     """``rows`` joined to ``side`` (one row a key). Heavy keys of ``side``, at most 1 / HEAVY by the way they are chosen, are
-    broadcast, so that no task gets all rows of such a key; the others are joined by shuffle."""
+    broadcast, so that no task gets all rows of such a key; the others are joined by shuffle. The rows are the same either way."""
+    if side.where(heavy).isEmpty():
+        return rows.join(side, key)
     hot = F.broadcast(side.where(heavy))
     rest = rows.join(F.broadcast(side.where(heavy).select(*key)), key, "left_anti")
     return rows.join(hot, key).unionByName(rest.join(side.where(~heavy), key))
