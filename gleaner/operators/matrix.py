@@ -38,6 +38,7 @@ def cells(sizes: DataFrame, most: int) -> DataFrame:
 
 def matrix_weights(packed: DataFrame, m: int = 1, M: int = 10) -> DataFrame:  # noqa: N803
     """(tid, w, cells): total utility from the last column, after filling the matrix. Refused above ``CELL_BUDGET``."""
+    packed = written(packed.select("tid", "w", "n"), "packed")
     refuse(packed, M)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -63,6 +64,7 @@ def refuse(packed: DataFrame, most: int) -> None:
 def stored(packed: DataFrame, most: int | None = None, budget: bool = True) -> DataFrame:
     """(tid, items, w, own, rest): the matrices of all transactions, written; columns flattened, item after item."""
     if budget:
+        packed = written(packed.select("tid", "items", "w", "n"), "packed")
         refuse(packed, most or 1 << 30)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
