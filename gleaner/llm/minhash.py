@@ -16,8 +16,11 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 WORDS, BINS, BITS, PROBES = 5, 256, 8, 12
-#: Buckets of doc_id that stand side by side for "the next document"; each is one sorted run.
-BUCKETS = 400
+#: "The next document" is found in buckets of doc_id, each one sorted run: quantiles of doc_id, cut further into equal widths
+#: until a bucket has about ROWS rows. The first row of every bucket is broadcast as two numbers; MOST bounds that.
+QUANTILES, ROWS, MOST = 400, 4096, 1_000_000
+#: Shuffle partitions, above which each takes more buckets.
+PARTITIONS = 100_000
 _MASK = (1 << 56) - 1
 
 
@@ -61,24 +64,37 @@ def likeness(a: Column, b: Column) -> Column:
     return F.when(a == b, 1.0).otherwise(F.greatest(F.lit(0.0), (equal - chance) / (1 - chance)))
 
 
-def _bucketed(docs: DataFrame, buckets: int) -> tuple[Column, list[tuple[int, int]]]:
-    """The bucket of a doc_id, of about equal counts and in descending order; and (largest doc_id, bucket before) of each."""
-    cuts = docs.agg(F.percentile_approx("doc_id", [i / buckets for i in range(1, buckets)], 10_000)).first()[0] or []
-    cuts = sorted(set(cuts))
+def _quantile(cuts: list[int], id_: str) -> str:
+    """SQL of the number of ``cuts`` below ``id_``, looked up in two steps."""
     wide = max(1, int(len(cuts) ** 0.5))
     blocks = [cuts[i : i + wide] for i in range(0, len(cuts), wide)]
-    id_ = "coalesce(doc_id, -9223372036854775808)"
-    if not cuts:
-        place = F.lit(0)
+    tops, nested = _ints([b[-1] for b in blocks], "bigint"), f"array({','.join(_ints(b, 'bigint') for b in blocks)})"
+    high = f"size(filter({tops}, c -> c < {id_}))"
+    return f"({high} * {wide} + coalesce(size(filter(get({nested}, {high}), c -> c < {id_})), 0))"
+
+
+def _bucketed(docs: DataFrame, rows: int) -> tuple[str, DataFrame, int]:
+    """SQL of the bucket of a doc_id, larger ids in larger buckets; (top, bucket): the largest doc_id of each bucket and the bucket that comes before it in descending order; the number of rows."""
+    spread = docs.agg(F.count("*").alias("n"), F.min("doc_id").alias("low"), F.max("doc_id").alias("high"), F.percentile_approx("doc_id", [i / QUANTILES for i in range(1, QUANTILES)], 10_000).alias("cuts")).first()
+    cuts, id_ = sorted(set(spread.cuts or [])), "coalesce(doc_id, -9223372036854775808)"
+    parts = max(1, min(-(-spread.n // (QUANTILES * rows)), MOST // QUANTILES))
+    if cuts:
+        edges = [float(x) for x in (spread.low, *cuts, spread.high)]
+        q = _quantile(cuts, id_)
+        docs = docs.withColumn("q", F.expr(q))
+        low, wide = (f"array({','.join(f'{x!r}D' for x in xs)})" for xs in (edges[:-1], [max(b - a, 1.0) for a, b in zip(edges, edges[1:], strict=False)]))
+        # In doubles, whose rounding keeps the order.
+        place = f"cast({q} * {parts} + greatest(0, least({parts - 1}, floor((cast({id_} as double) - get({low}, {q})) / get({wide}, {q}) * {parts}))) as int)"
     else:
-        tops, nested = _ints([b[-1] for b in blocks], "bigint"), f"array({','.join(_ints(b, 'bigint') for b in blocks)})"
-        high = f"size(filter({tops}, c -> c < {id_}))"
-        place = F.expr(f"{high} * {wide} + coalesce(size(filter(get({nested}, {high}), c -> c < {id_})), 0)")
-    heads = docs.groupBy(place.alias("b")).agg(F.max("doc_id").alias("top")).orderBy(F.desc("b")).collect()  # one row a bucket
-    return place, [(r.top, heads[i - 1].b) for i, r in enumerate(heads)]
+        docs, place = docs.withColumn("q", F.lit(0)), "0"
+    tops = docs.groupBy("q", F.expr(place).alias("b")).agg(F.max("doc_id").alias("top"))
+    ends = tops.groupBy("q").agg(F.min("b").alias("b")).orderBy(F.desc("q")).collect()  # one row a quantile
+    ahead = F.create_map(*[F.lit(x).cast("int") for i, r in enumerate(ends) for x in (r.q, ends[i - 1].b)]) if ends else F.lit(None)
+    before = F.lag("b").over(Window.partitionBy("q").orderBy(F.desc("b")))
+    return place, tops.select("top", F.coalesce(before, ahead[F.col("q")] if ends else F.lit(0)).alias("bucket")), spread.n
 
 
-def fingerprints(docs: DataFrame, buckets: int = BUCKETS) -> DataFrame:
+def fingerprints(docs: DataFrame, bucket_rows: int = ROWS) -> DataFrame:
     """For every row of ``docs`` (doc_id, text): doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next.
 
     The edited text: the last floor(n_chars / 2) code points replaced by as many (or all) of the first of the next
@@ -88,12 +104,12 @@ def fingerprints(docs: DataFrame, buckets: int = BUCKETS) -> DataFrame:
     """
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    place, heads = _bucketed(docs.select("doc_id"), buckets)
-    rows = docs.withColumn("bucket", place.cast("int")).withColumn("copy", F.lit(0))
+    place, tops, n = _bucketed(docs.select("doc_id"), bucket_rows)
+    rows = docs.withColumn("bucket", F.expr(place)).withColumn("copy", F.lit(0))
     # The first row of each bucket is also put at the end of the bucket before it, so that no row looks outside its bucket.
-    tops = spark.createDataFrame(heads, "top long, before int")
-    heads_of = docs.join(F.broadcast(tops), F.col("doc_id").eqNullSafe(F.col("top"))).select("doc_id", "text", F.col("before").alias("bucket"), F.lit(1).alias("copy"))
-    binned = with_bins(rows.unionByName(heads_of), "text", "bins")
+    heads = docs.join(F.broadcast(tops), F.col("doc_id").eqNullSafe(F.col("top"))).select("doc_id", "text", "bucket", F.lit(1).alias("copy"))
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), min(PARTITIONS, -(-n // ROWS)))
+    binned = with_bins(rows.unionByName(heads), "text", "bins").repartition(parts, "bucket")
     order = Window.partitionBy("bucket").orderBy("copy", F.desc_nulls_last("doc_id"), F.xxhash64("text"))
     following = binned.withColumn("next_text", F.lead("text").over(order)).withColumn("next_bins", F.lead("bins").over(order)).where("copy = 0")
     size = F.char_length("text")
