@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Callable
+from math import factorial
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -333,8 +334,8 @@ _SEED_SQL = f"""{TX}, {_pick_sql('s * pow(2, n - 1)')}, {_length_sql()},
 query("draw_seed_split_basket", _SEED_SQL)(lambda s, d: _drawn(jump.seed_split(_picked(s, d), basket(s, d), SEED)))
 
 
-def _uniform_sql(share: str) -> str:
-    return f"""{TX}, {_pick_sql('1')}, law AS (SELECT n, l, sum(c) OVER (PARTITION BY n ORDER BY l) AS hi, sum(c) OVER (PARTITION BY n) AS all_c FROM (SELECT n, l, {share} AS c FROM (SELECT DISTINCT n FROM t), range(1, 6) r(l) WHERE l <= n)),
+def _uniform_sql(share: str, weight: str = "1") -> str:
+    return f"""{TX}, {_pick_sql(weight)}, law AS (SELECT n, l, sum(c) OVER (PARTITION BY n ORDER BY l) AS hi, sum(c) OVER (PARTITION BY n) AS all_c FROM (SELECT n, l, {share} AS c FROM (SELECT DISTINCT n FROM t), range(1, 6) r(l) WHERE l <= n)),
       dl AS (SELECT draw_id, tid, pk.n, min(l) AS l FROM pk JOIN law ON pk.n = law.n AND hi / all_c >= {duck_uniform(str(SEED), 'draw_id', "'length'")} GROUP BY 1, 2, 3),
       k AS (SELECT draw_id, dl.tid, l, item, row_number() OVER (PARTITION BY draw_id ORDER BY {duck_uniform(str(SEED), 'draw_id', 'item', "'subset'")}, item) AS rank FROM dl JOIN q ON dl.tid = q.tid)
       SELECT draw_id, tid, array_to_string(list(item ORDER BY item), ',') AS pattern, count(*) AS length FROM k WHERE rank <= l GROUP BY 1, 2"""
@@ -391,11 +392,21 @@ query("representativeness", None)(lambda s, d: metrics.representativeness(q := _
 query("normalised_utility", None)(lambda s, d: metrics.normalised(metrics.representativeness(q := _graph(s, d), _two_samples(q))).select("method", "pattern", "times", "share"))
 query("ci_summary", None)(lambda s, d: metrics.spread(metrics.normalised(metrics.representativeness(q := _graph(s, d), _two_samples(q)))))
 query("fit_graph_marginals", None)(lambda s, d: metrics.marginals(sampler.sample(q := _graph(s, d), K, SUM, SEED, pick="prefix"), model.item_marginals(q)))
-query("fit_basket", None)(lambda s, d: metrics.fit(sampler.sample(q := basket(s, d), K, f := LengthUtility("const", 1, 2), SEED, pick="prefix"), mining.target(q, f)))
+_FIT_SQL = f"""WITH drawn AS ({_jump_sql("least(n, 2)").replace("s * c AS DOUBLE", "s * n AS DOUBLE")}), c AS (SELECT pattern, count(*) AS times FROM drawn GROUP BY pattern),
+  law AS ({_occurrences("basket", 2)} SELECT {_DUCK_KEY}, CAST(utility AS DOUBLE) / (SELECT sum(CAST(utility AS DOUBLE)) FROM e) AS p FROM e),
+  b AS (SELECT coalesce(p, 0) AS p, coalesce(times, 0) / {K} AS q FROM law FULL JOIN c USING (pattern))
+  SELECT CAST({K} AS BIGINT) AS k, count(*) AS patterns, round(sum(abs(q - p)) / 2, 6) AS tv, round(max(abs(q - p)), 6) AS max_error,
+    round(sum(CASE WHEN q > 0 THEN q * ln(q / p) END), 6) AS kl, round({K} * sum((q - p) * (q - p) / p), 4) AS chi2 FROM b"""
+query("fit_basket", _FIT_SQL)(
+    lambda s, d: metrics.fit(sampler.sample(q := basket(s, d), K, f := LengthUtility("const", 1, 2), SEED, pick="prefix"), mining.target(q, f))
+    .select("k", "patterns", *[F.round(c, 4 if c == "chi2" else 6).alias(c) for c in ("tv", "max_error", "kl", "chi2")])
+)
 query("diversity", f"WITH drawn AS ({_jump_sql()}), c AS (SELECT pattern, count(*) AS t FROM drawn GROUP BY pattern) SELECT CAST(sum(t) AS BIGINT) AS k, count(*) AS distinct, round(ln(sum(t)) - sum(t * ln(t)) / sum(t), 6) AS entropy FROM c".replace(" AS distinct", ' AS "distinct"'))(
     lambda s, d: metrics.diversity(sampler.sample(basket(s, d), K, seed=SEED, pick="prefix", engine="sql")).select("k", "distinct", F.round("entropy", 6).alias("entropy"))
 )
-query("mean_jaccard", None)(lambda s, d: metrics.mean_jaccard(sampler.sample(basket(s, d), K, seed=SEED, pick="prefix")))
+query("mean_jaccard", f"WITH drawn AS ({_jump_sql()}), l AS (SELECT draw_id, string_split(pattern, ',') AS p FROM drawn), m AS (SELECT len(list_intersect(a.p, b.p)) AS i, len(a.p) + len(b.p) AS n FROM l a JOIN l b ON b.draw_id = a.draw_id + 1) SELECT count(*) AS pairs, round(avg(i / (n - i)), 6) AS jaccard FROM m")(
+    lambda s, d: metrics.mean_jaccard(sampler.sample(basket(s, d), K, seed=SEED, pick="prefix")).select("pairs", F.round("jaccard", 6).alias("jaccard"))
+)
 
 
 @query("draw_costs", None)
@@ -408,7 +419,9 @@ def _(s: SparkSession, d: str) -> DataFrame:
     return by("jump", jump.jump_in_arrow(rows, SEED), "length").unionByName(by("sequential", jump.sequential_in_arrow(rows, SEED), "visited"))
 
 
-query("draw_support_basket", None)(lambda s, d: _drawn(sampler.support_sample(basket(s, d), K, 1, 5, SEED)))
+#: Subsets of 1 to 5 of n items, which a shorter transaction has fewer sizes of.
+_SUBSETS = " + ".join("n" + "".join(f" * (n - {i})" for i in range(1, x)) + f" / {factorial(x)}" for x in range(1, 6))
+query("draw_support_basket", _uniform_sql(CHOOSE.format("n", "l"), _SUBSETS))(lambda s, d: _drawn(sampler.support_sample(basket(s, d), K, 1, 5, SEED)))
 for _name, _triples in (("schema", encode.schema_triples), ("links", encode.link_triples)):
     query(f"violin_{_name}", None)(lambda s, d, triples=_triples: metrics.violin(metrics.normalised(metrics.representativeness(q := _graph(s, d, triples), _two_samples(q)))))
 query("spread_links", None)(lambda s, d: metrics.spread(metrics.normalised(metrics.representativeness(q := _graph(s, d, encode.link_triples), _two_samples(q)))))
