@@ -25,6 +25,8 @@ from gleaner.sources.shared import written
 SEED, WIDTH, RADIUS = 42, 3, 2
 BANDS = 4
 TILE = 8192
+#: Blocks of at most so many rows are compared together, in small tiles.
+SHORT = 64
 
 
 def fingerprint(text: bytes) -> int:
@@ -78,6 +80,36 @@ def _links(fp: np.ndarray, side: np.ndarray, radius: int, tile: int = 2048) -> I
             yield order[x[keep]], order[y[keep]]
 
 
+def _short_links(block: np.ndarray, fp: np.ndarray, side: np.ndarray, radius: int, tile: int = 8, at_once: int = 1 << 14) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """As ``_links`` within each of many short blocks, whose tiles are small; tile pairs of all blocks are compared together."""
+    ones = np.bitwise_count(fp).astype(np.int64)
+    order = np.lexsort((ones, block))
+    block, fp, side, ones = block[order], fp[order], side[order], ones[order]
+    cut = np.flatnonzero(np.r_[True, block[1:] != block[:-1]])
+    size = np.diff(np.r_[cut, len(block)])
+    count = -(-size // tile)  # tiles a block
+    owner = np.repeat(np.arange(len(cut)), count)
+    first = np.cumsum(count) - count
+    start = cut[owner] + (np.arange(len(owner)) - first[owner]) * tile
+    end = np.minimum(start + tile, (cut + size)[owner])
+    low, high, lane = ones[start], ones[end - 1], np.arange(tile)
+    for step in range(int(count.max(initial=0))):
+        i = np.arange(len(owner) - step)
+        j = i + step
+        # Tiles of a block stand in order of population count: those too far apart are not compared.
+        live = np.flatnonzero((owner[i] == owner[j]) & (low[j] <= high[i] + radius))
+        for k in range(0, len(live), at_once):
+            p, q = i[live[k : k + at_once]], j[live[k : k + at_once]]
+            x, y = start[p][:, None] + lane, start[q][:, None] + lane
+            full_x, full_y = x < end[p][:, None], y < end[q][:, None]
+            x, y = np.minimum(x, len(fp) - 1), np.minimum(y, len(fp) - 1)
+            near = np.bitwise_count(fp[x][:, :, None] ^ fp[y][:, None, :]) <= radius
+            near &= full_x[:, :, None] & full_y[:, None, :] & (x[:, :, None] < y[:, None, :])
+            near &= (side[x][:, :, None] != side[y][:, None, :]) | (side[x][:, :, None] == 2)
+            pair, u, v = np.nonzero(near)
+            yield order[x[pair, u]], order[y[pair, v]]
+
+
 def forest(n: int, pairs: Iterator[tuple[np.ndarray, np.ndarray]]) -> list[tuple[int, int]]:
     """Spanning forest of the pairs on 0..n-1 (union by halving paths)."""
     up, out = list(range(n)), []
@@ -105,24 +137,15 @@ def _compare(radius: int):
     def solve(block: np.ndarray, fp: np.ndarray, side: np.ndarray) -> tuple[list[int], list[int]]:
         cut = np.flatnonzero(np.diff(block, prepend=block[:1] - 1))
         size = np.diff(np.append(cut, len(block)))
-        a: list[int] = []
-        b: list[int] = []
         signed = fp.view(np.int64)
-        small = size <= 16
-        start_of = np.repeat(cut, size)
-        in_small = np.repeat(small, size)
-        at = np.arange(len(block))
-        for step in range(1, int(size[small].max(initial=1))):  # all small blocks together: each row with the one `step` further
-            x = at[:-step] if step < len(at) else at[:0]
-            ok = in_small[x] & (start_of[x] == start_of[x + step]) & (np.bitwise_count(fp[x] ^ fp[x + step]) <= radius)
-            ok &= (side[x] != side[x + step]) | (side[x] == 2)
-            a += signed[x[ok]].tolist()
-            b += signed[x[ok] + step].tolist()
-        for s, n in zip(cut[~small].tolist(), size[~small].tolist(), strict=True):
+        long = size > SHORT
+        at = np.flatnonzero(np.repeat(~long, size))
+        found = [at[list(x)] for x in forest(len(at), _short_links(block[at], fp[at], side[at], radius))]
+        for s, n in zip(cut[long].tolist(), size[long].tolist(), strict=True):
             own = slice(s, s + n)
-            for x, y in forest(n, _links(fp[own], side[own], radius)):
-                a.append(int(signed[s + x]))
-                b.append(int(signed[s + y]))
+            found += [np.array(x) + s for x in forest(n, _links(fp[own], side[own], radius))]
+        pairs = np.array(found, dtype=np.int64).reshape(-1, 2)
+        a, b = signed[pairs[:, 0]].tolist(), signed[pairs[:, 1]].tolist()
         return a, b
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

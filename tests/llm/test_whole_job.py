@@ -8,7 +8,7 @@ from itertools import combinations
 import numpy as np
 import xxhash
 
-from gleaner.llm import exact_dedup, html_text, langid, licenses, merge_dropout, near_dedup, packing, suffix_dedup, toxicity
+from gleaner.llm import exact_dedup, html_text, langid, licenses, merge_dropout, near_dedup, packing, simhash, suffix_dedup, toxicity
 
 
 def test_dropout_is_drawn_for_each_occurrence(spark):
@@ -191,3 +191,21 @@ def test_small_languages_keep_their_words(spark):
     may = docs.where(~langid.held_out(docs.doc_id)).groupBy("lang").count().collect()
     assert all(taken[r["lang"]] == r["count"] for r in may if r["lang"] != "aa") and 100 < taken["aa"] < 250
     assert langid.shares({"aa": 1000, "bb": 10}, 110) == {"bb": 1.0, "aa": 0.1}
+
+
+def test_tiles_of_short_blocks():
+    """Links within blocks of every size, and sides, as by brute force."""
+    dice = np.random.default_rng(3)
+    block = np.sort(dice.integers(-40, 40, 900))
+    block[:70] = block[0]
+    centre = dice.integers(0, 1 << 63, 6, dtype=np.uint64)
+    flips = np.uint64(1) << dice.integers(0, 64, (900, 2), dtype=np.uint64)
+    fp = centre[dice.integers(0, 6, 900)] ^ flips[:, 0] ^ np.where(dice.random(900) < 0.5, flips[:, 1], np.uint64(0))
+    side = np.where(block % 3 == 0, dice.integers(0, 2, 900), 2)
+    got = [tuple(sorted(p)) for x, y in simhash._short_links(block, fp, side, 2, at_once=7) for p in zip(x.tolist(), y.tolist(), strict=True)]
+    brute = {
+        (i, j) for i in range(900) for j in range(i + 1, 900)
+        if block[i] == block[j] and int(fp[i] ^ fp[j]).bit_count() <= 2 and (side[i] != side[j] or side[i] == 2)
+    }
+    assert brute and len(got) == len(set(got)) and set(got) == brute
+    assert list(simhash._short_links(block[:0], fp[:0], side[:0], 2)) == []
