@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import bisect
 import random
 from collections.abc import Callable, Iterator
 from functools import reduce
@@ -103,39 +104,99 @@ def mine_on_sample(qdb: DataFrame, share: float, least: float, M: int | None = N
     return mine_threshold(kept, least * share, M).withColumn("utility", F.col("utility") / share)
 
 
+#: Rows of item sets that a walk keeps in memory; beyond, each step is a query over them.
+WALK_ROWS = 200_000
+
+
+def _item_sets(qdb: DataFrame) -> DataFrame:
+    """(items, item, w): weights summed over transactions of the same items, which give each pattern the same utility."""
+    packed = qdb.groupBy("tid").agg(F.array_sort(F.collect_list(F.struct("item", F.col("w").cast("double").alias("w")))).alias("r"))
+    rows = packed.select(F.expr("transform(r, x -> x.item)").alias("items"), F.explode("r").alias("x"))
+    return rows.groupBy("items", F.col("x.item").alias("item")).agg(F.sum("x.w").alias("w"))
+
+
+class _Walk:
+    """One chain: ``propose`` gives the next pattern to be weighed, ``settle`` takes it or not."""
+
+    def __init__(self, chain: int, items: list, seed: int) -> None:
+        self.dice, self.items, self.now, self.u = random.Random(seed * 1_000_003 + chain), items, frozenset(), 0.0
+
+    def start(self) -> frozenset:
+        self.new = frozenset([self.dice.choice(self.items)])
+        return self.new
+
+    def propose(self) -> frozenset:
+        dice, items, now = self.dice, self.items, self.now
+        if dice.random() < 0.3 and len(now) < len(items):
+            gone = dice.choice(sorted(now))
+            at = dice.randrange(len(items) - len(now))
+            for i in sorted(bisect.bisect_left(items, x) for x in now):  # the place among items that are not in the pattern
+                at += i <= at
+            self.new = now - {gone} | {items[at]}
+        else:
+            self.new = now ^ {dice.choice(items)}
+        return self.new
+
+    def settle(self, v: float) -> None:
+        if not self.now or v and self.dice.random() * self.u < v:
+            self.now, self.u = self.new, v
+
+
+def _utilities(sets: DataFrame, patterns: list[frozenset]) -> dict[frozenset, float]:
+    """The utility of each pattern over item sets, by one query."""
+    spark, kind = sets.sparkSession, dict(sets.dtypes)["item"]
+    asked = spark.createDataFrame([(k, sorted(p), x) for k, p in enumerate(patterns) for x in p], f"k int, p array<{kind}>, item {kind}")
+    met = sets.join(F.broadcast(asked), "item").where("forall(p, x -> array_contains(items, x))")  # asked: the patterns' items
+    got = {r.k: r.u for r in met.groupBy("k").agg(F.sum("w").alias("u")).collect()}
+    return {p: got.get(k, 0.0) for k, p in enumerate(patterns)}
+
+
+def _walk_in_steps(sets: DataFrame, items: list, chains: int, steps: int, f: LengthUtility, seed: int) -> list[tuple]:
+    """(chain, pattern) of all chains side by side: the patterns they propose in a step are weighed together, and those met are remembered."""
+    walks, known = [_Walk(c, items, seed) for c in range(chains)], {frozenset(): 0.0}
+    for step in range(steps + 1):
+        asked = [w.propose() if step else w.start() for w in walks]
+        if fresh := [p for p in dict.fromkeys(asked) if p not in known]:
+            known |= _utilities(sets, fresh)
+        for w, p in zip(walks, asked, strict=True):
+            w.settle(float(f(len(p))) * known[p])
+    return [(c, sorted(w.now)) for c, w in enumerate(walks)]
+
+
 def mcmc(qdb: DataFrame, chains: int, steps: int, f: LengthUtility = SUM, seed: int = 0) -> DataFrame:
-    """(chain, pattern): Metropolis walks over patterns of a small database, by toggling an item or by swapping a member for another one.
+    """(chain, pattern): Metropolis walks over patterns, by toggling an item or by swapping a member for another one.
 
-    Both proposals are symmetric, so the walk's law is in proportion to utility. A database above 200,000 rows is refused.
+    Both proposals are symmetric, so the walk's law is in proportion to utility. Transactions of the same items count as one;
+    up to ``WALK_ROWS`` rows of such sets each task walks in memory, beyond that all chains walk side by side, each step being a query.
     """
-    if qdb.limit(200_001).count() > 200_000:
-        raise ValueError("the walk needs the whole database in memory: it is refused above 200,000 rows")
-    rows = [(r.tid, r.item, float(r.w)) for r in qdb.select("tid", "item", "w").collect()]  # bounded above
-    items = sorted({r[1] for r in rows})
+    sets = written(_item_sets(qdb), "sets")
+    items = sorted(r.item for r in sets.select("item").distinct().collect())  # one value an item
+    spark, kind = qdb.sparkSession, dict(qdb.dtypes)["item"]
+    if not items:
+        return spark.createDataFrame([], f"chain long, pattern array<{kind}>")
+    if sets.count() > WALK_ROWS:
+        return spark.createDataFrame(_walk_in_steps(sets, items, chains, steps, f, seed), f"chain long, pattern array<{kind}>")
     tx: dict = {}
-    for t, i, w in rows:
-        tx.setdefault(t, {})[i] = w
-
-    def utility(p: frozenset) -> float:
-        return float(f(len(p))) * sum(sum(t[i] for i in p) for t in tx.values() if p <= t.keys())
+    for r in sets.orderBy("items", "item").collect():  # bounded above
+        tx.setdefault(tuple(r["items"]), {})[r["item"]] = r["w"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[frozenset, float] = {}
+
+        def utility(p: frozenset) -> float:
+            if p not in held:
+                held[p] = float(f(len(p))) * sum(sum(t[i] for i in p) for t in tx.values() if p <= t.keys()) if p else 0.0
+            return held[p]
+
         for batch in batches:
             ids, pats = batch.column("chain").to_pylist(), []
             for c in ids:
-                dice = random.Random(seed * 1_000_003 + c)
-                now = frozenset([dice.choice(items)])
-                u = utility(now)
+                walk = _Walk(c, items, seed)
+                walk.start()
+                walk.settle(utility(walk.new))
                 for _ in range(steps):
-                    if dice.random() < 0.3 and len(now) < len(items):
-                        new = now - {dice.choice(sorted(now))} | {dice.choice([i for i in items if i not in now])}
-                    else:
-                        new = now ^ {dice.choice(items)}
-                    v = utility(new) if new else 0.0
-                    if v and dice.random() * u < v:
-                        now, u = new, v
-                pats.append(sorted(now))
+                    walk.settle(utility(walk.propose()))
+                pats.append(sorted(walk.now))
             yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(pats, pa.list_(pa.from_numpy_dtype("int64") if isinstance(items[0], int) else pa.string()))], ["chain", "pattern"])
 
-    kind = dict(qdb.dtypes)["item"]
-    return qdb.sparkSession.range(chains).withColumnRenamed("id", "chain").mapInArrow(run, f"chain long, pattern array<{kind}>")
+    return spark.range(chains).withColumnRenamed("id", "chain").mapInArrow(run, f"chain long, pattern array<{kind}>")

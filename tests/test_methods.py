@@ -262,3 +262,14 @@ def test_toy_graph(spark):
     nodes, edges = kg.sub_profile(drawn, kg.toy_profile(spark))
     assert sorted(tuple(r.labels) for r in nodes.collect()) == [("C1", "C3"), ("C4",), ("e1", "e2")]
     assert sorted((r.pred, r.weight) for r in edges.collect()) == [("P2", 12), ("P3", 34)] and kg.isolated(nodes, edges).count() == 0
+
+
+def test_walks_side_by_side_are_those_in_memory(spark, monkeypatch):
+    dice = random.Random(8)
+    rows = [(t, i, dice.randrange(1, 30)) for t in range(60) for i in dice.sample("abcdef", dice.randrange(1, 5))]
+    qdb = spark.createDataFrame(rows, "tid long, item string, w long")
+    f = LengthUtility("const", 1, 3)
+    memory = sorted(map(tuple, mining.mcmc(qdb, 5, 8, f, 2).collect()))
+    monkeypatch.setattr(mining, "WALK_ROWS", 10)  # a database that was refused before
+    assert sorted(map(tuple, mining.mcmc(qdb, 5, 8, f, 2).collect())) == memory and len(memory) == 5
+    assert mining.mcmc(qdb.limit(0), 5, 8).count() == 0
