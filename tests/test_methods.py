@@ -273,3 +273,13 @@ def test_walks_side_by_side_are_those_in_memory(spark, monkeypatch):
     monkeypatch.setattr(mining, "WALK_ROWS", 10)  # a database that was refused before
     assert sorted(map(tuple, mining.mcmc(qdb, 5, 8, f, 2).collect())) == memory and len(memory) == 5
     assert mining.mcmc(qdb.limit(0), 5, 8).count() == 0
+
+
+def test_many_small_matrices_are_not_refused(spark, monkeypatch):
+    monkeypatch.setattr(matrix, "CELL_BUDGET", 40)
+    qdb = spark.createDataFrame([(t, i, t + i) for t in range(30) for i in range(5)], "tid long, item long, w long")
+    got = {r.tid: (r.w, r.cells) for r in matrix.matrix_weights(model.pack(qdb), 1, 5).collect()}
+    assert got == {t: (16.0 * sum(t + i for i in range(5)), 30) for t in range(30)}
+    assert matrix.stored(model.pack(qdb)).count() == 30
+    assert tuple(matrix.cells(model.sizes(qdb), 5).first()) == (900, True)
+    assert tuple(matrix.cells(model.sizes(qdb), 5, whole=False).first()) == (900, False)
