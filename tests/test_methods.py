@@ -283,3 +283,24 @@ def test_many_small_matrices_are_not_refused(spark, monkeypatch):
     assert matrix.stored(model.pack(qdb)).count() == 30
     assert tuple(matrix.cells(model.sizes(qdb), 5).first()) == (900, True)
     assert tuple(matrix.cells(model.sizes(qdb), 5, whole=False).first()) == (900, False)
+
+
+def test_picks_do_not_depend_on_the_number_of_rows_a_stretch_has(spark, monkeypatch):
+    w = model.weights(spark.createDataFrame([(t * t, i, 1 + t * i % 7) for t in range(1, 900) for i in range(1, 4)], "tid long, item long, w long")).persist()
+    want = sorted(map(tuple, jump.pick_by_prefix(w, 500, 3).collect()))
+    z = {r.tid: r.w for r in w.collect()}
+    by_bucket = {b: [t for t in sorted(z) if t % 256 == b] for b in range(256)}
+    ends, run = [], 0.0
+    for b in range(256):
+        run += sum(z[t] for t in by_bucket[b])
+        ends.append(run)
+    for k, tid, _ in want:  # the 256 buckets of the SQL, whatever the number of rows
+        b = next(i for i, e in enumerate(ends) if e >= uniform_value(3, k, "bucket") * run)
+        y, at = uniform_value(3, k, "tx") * sum(z[t] for t in by_bucket[b]), 0.0
+        for t in by_bucket[b]:
+            at += z[t]
+            if y <= at:
+                break
+        assert t == tid
+    monkeypatch.setattr(jump, "PER_BUCKET", 1)
+    assert sorted(map(tuple, jump.pick_by_prefix(w, 500, 3).collect())) == want
