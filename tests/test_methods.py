@@ -304,3 +304,16 @@ def test_picks_do_not_depend_on_the_number_of_rows_a_stretch_has(spark, monkeypa
         assert t == tid
     monkeypatch.setattr(jump, "PER_BUCKET", 1)
     assert sorted(map(tuple, jump.pick_by_prefix(w, 500, 3).collect())) == want
+
+
+NO_TABLE = ("binom_table", "coefficients", "math_log_binom", "math_prefix_mass", "pascal_cells", "scan_triples_text", "synthetic_stats", "toy_graph", "toy_patterns", "toy_weights")
+
+
+@pytest.mark.parametrize("name", NO_TABLE)
+def test_query_reads_a_given_table(spark, name, tmp_path):
+    """Without the given tables the query has nothing to answer from."""
+    from gleaner import catalogue
+
+    assert catalogue.queries()[name](spark, "/root/testdata/sf0.001").count() > 0
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        catalogue.queries()[name](spark, str(tmp_path)).collect()
