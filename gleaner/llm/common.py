@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -10,6 +10,19 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, DataType, MapType, StructType, VariantType
 
 
+_held: list = [None, None]
+
+
+def one(key: object, make: Callable[[], object]):  # noqa: ANN201
+    """What ``make`` gives, kept for all tasks of a worker process that ask with the same key. A worker keeps one such thing at
+    a time: that of a later stage takes the place of an earlier one's, whose memory goes back."""
+    if _held[0] is not key and not (isinstance(key, str) and _held[0] == key):
+        _held[:] = None, None
+        pa.default_memory_pool().release_unused()
+        _held[:] = key, make()
+    return _held[1]
+
+
 def binary_column(batch: pa.RecordBatch, name: str) -> Iterator[bytes]:
     """UTF-8 bytes of each row; null counts as empty."""
     column = batch.column(name)

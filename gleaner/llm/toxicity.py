@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructField, StructType
 
-from gleaner.llm.common import held_out, named, text_column
+from gleaner.llm.common import held_out, named, one, text_column
 from gleaner.llm.merges import TwoAges
 
 #: Parameters: labelled rows to learn from (chosen by hash of doc_id), candidate features, lexicon size, threshold.
@@ -273,14 +273,9 @@ class Scorer:
         return 1.0 - miss
 
 
-_last: list = [None, None]
-
-
 def scorer(model: tuple[Model, dict[str, float], float]) -> Scorer:
     """One for all tasks of a worker process that have the same model."""
-    if _last[0] is not model:
-        _last[:] = model, Scorer(*model)
-    return _last[1]
+    return one(model, lambda: Scorer(*model))
 
 
 def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
